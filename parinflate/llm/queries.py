@@ -2,11 +2,12 @@
 
 from __future__ import annotations
 
-from parinflate.llm import byte_bpe, exact_dedup, minhash_dedup, mixing, token_counts
+from parinflate.llm import byte_bpe, exact_dedup, minhash_dedup, mixing, quality_rules, token_counts
 
 QUERIES = {
     "op3_byte_bpe": byte_bpe.op3_byte_bpe,
     "op4_token_counts": token_counts.op4_token_counts,
+    "op7_quality_rules": quality_rules.op7_quality_rules,
     "op8_exact_dedup": exact_dedup.op8_exact_dedup,
     "op9_minhash_dedup": minhash_dedup.op9_minhash_dedup,
     "op10_mix_sources": mixing.op10_mix_sources,
