@@ -1,6 +1,6 @@
 """Toxicity: a counterfactual-regularised classifier.
 
-A logistic model over the presence of words and of their first letters. Words and prefixes are chosen by counts over the labelled
+A logistic model over the presence of words and of their first letters, and of several different words that share these. Words and prefixes are chosen by counts over the labelled
 sample; the model is fitted with a penalty on the change of a sentence's logit when an identity term in it is swapped for another,
 which pulls the weights of all identity terms together and so keeps neutral mentions of groups from scoring.
 
@@ -27,7 +27,9 @@ from parinflate.llm.importance import sampled
 from parinflate.runtime import ship, table
 
 MOST_LABELLED, MOST_FEATURES, THRESHOLD = 20_000, 4096, 0.3
-PREFIXES = (4, 5, 6)
+PREFIXES = (3, 4, 5, 7)
+#: Several different tokens with a feature are a feature of their own, and so are several among at most so many different tokens each.
+DENSE = 60
 CACHE = 400_000
 #: Identity terms by language, swapped for one another.
 IDENTITY = {
@@ -49,6 +51,13 @@ def tokens(text: str | None) -> set[str]:
     return set(text.lower().split()) if text else set()
 
 
+def present(found: Iterator[str], n_tokens: int) -> set[str]:
+    """Features of a text from those of its different tokens."""
+    count = Counter(found)
+    more = {f for f, n in count.items() if n > 1}
+    return {*count, *(f"{f}|2" for f in more), *(f"{f}|d" for f in more if count[f] * DENSE >= n_tokens)}
+
+
 def _counts(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
     """(feature, toxic, clean): documents of this task with each feature; a full table is handed on."""
     found = {1: Counter(), 0: Counter()}
@@ -62,33 +71,36 @@ def _counts(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
 
     for batch in batches:
         for text, y in zip(batch.column(0), batch.column(1), strict=True):
-            found[y.as_py()].update({f for t in tokens(text.as_py()) for f in features(t)})
+            ts = tokens(text.as_py())
+            found[y.as_py()].update(present((f for t in ts for f in features(t)), len(ts)))
             if len(found[0]) + len(found[1]) > CACHE:
                 yield flush()
     yield flush()
 
 
 class _Hits(dict):
-    """Chosen features of a token; most tokens have none."""
+    """Features of a token that the chosen ones are made of; most tokens have none."""
 
     def __init__(self, chosen: dict[str, int]):
-        self.chosen = chosen
+        self.chosen, self.parts = chosen, {f[:-2] if f[-2:] in ("|2", "|d") else f for f in chosen}
 
-    def __missing__(self, token: str) -> tuple[int, ...]:
+    def __missing__(self, token: str) -> tuple[str, ...]:
         if len(self) >= CACHE:
             self.clear()
-        v = self[token] = tuple(self.chosen[f] for f in features(token) if f in self.chosen)
+        v = self[token] = tuple(f for f in features(token) if f in self.parts)
         return v
 
-    def of(self, text: str | None) -> set[int]:
-        return {i for hit in filter(None, map(self.__getitem__, tokens(text))) for i in hit}
+    def of(self, text: str | None) -> list[int]:
+        ts = tokens(text)
+        found = [f for hit in filter(None, map(self.__getitem__, ts)) for f in hit]
+        return sorted(self.chosen[f] for f in present(found, len(ts)) if f in self.chosen) if found else []
 
 
 def _active(chosen: dict[str, int]) -> Callable:
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         hits = _Hits(chosen)
         for batch in batches:
-            yield pa.RecordBatch.from_arrays([batch.column(1), pa.array([sorted(hits.of(x.as_py())) for x in batch.column(0)], pa.list_(pa.int32()))], ["toxic", "active"])
+            yield pa.RecordBatch.from_arrays([batch.column(1), pa.array([hits.of(x.as_py()) for x in batch.column(0)], pa.list_(pa.int32()))], ["toxic", "active"])
 
     return run
 
@@ -132,7 +144,7 @@ class Model:
         self.chosen, self.weights, self.bias = chosen, weights, bias
 
     def logit(self, active) -> float:
-        return self.bias + float(self.weights[list(active)].sum()) if active else self.bias
+        return self.bias + float(self.weights[active].sum()) if active else self.bias
 
     def score(self, text: str | None) -> float:
         return 1 / (1 + math.exp(-max(-500.0, min(500.0, self.logit(_Hits(self.chosen).of(text))))))
