@@ -4,8 +4,9 @@
 2. Bands of four minima are buckets. Each bucket links its members to its least member (a star: as many pairs as members).
 3. Star pairs are confirmed on full sets; components follow.
 4. Buckets that still span several components are compared across components only, in blocks of bounded size: each pair once,
-   in the first band that both share. Pairs that their minima leave possible are confirmed on full sets, too, and components
-   are taken again. So every pair of different texts that shares a bucket is either connected already or compared.
+   in the first band that both share. Pairs that their minima leave possible are confirmed on full sets right there, a block
+   hands on the forest of its links, and components are taken again. So every pair of different texts that shares a bucket is
+   either connected already or compared.
 
 With 32 bands of 4 minima a pair of similarity 0.85 shares no bucket with probability 6e-11, one of 0.8 with 5e-8.
 
@@ -16,7 +17,7 @@ Columns beyond id and text are not read.
 
 from __future__ import annotations
 
-from collections.abc import Iterator
+from collections.abc import Callable, Iterator
 
 import numpy as np
 import pyarrow as pa
@@ -56,15 +57,16 @@ def _bands(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         yield pa.RecordBatch.from_arrays([pa.array(ids, pa.int64()), pa.array(keys.ravel().view(np.int64), pa.int64())], ["rep", "key"])
 
 
-def _verify(least: int) -> callable:
+def similar(x: np.ndarray, y: np.ndarray, least: int) -> bool:
+    """Whether two sets are similar to ``least`` percent."""
+    both = len(np.intersect1d(x, y, assume_unique=True))
+    return 100 * both >= least * (len(x) + len(y) - both)
+
+
+def _verify(least: int) -> Callable:
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            a, b = batch.column(2), batch.column(3)
-            keep = []
-            for i in range(batch.num_rows):
-                x, y = np.frombuffer(a[i].as_py(), np.uint64), np.frombuffer(b[i].as_py(), np.uint64)
-                both = len(np.intersect1d(x, y, assume_unique=True))
-                keep.append(100 * both >= least * (len(x) + len(y) - both))
+            keep = [similar(np.frombuffer(x.as_py(), np.uint64), np.frombuffer(y.as_py(), np.uint64), least) for x, y in zip(batch.column(2), batch.column(3), strict=True)]
             yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(1)], ["a", "b"]).filter(pa.array(keep, pa.bool_()))
 
     return run
@@ -76,39 +78,48 @@ def _tagged(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         yield pa.RecordBatch.from_arrays([batch.column(0), pa.array([S.digest(w) for w in ws], pa.binary()), pa.array([S.shingle_set(w).tobytes() for w in ws], pa.binary())], ["id", "digest", "elems"])
 
 
-def _block_pairs(key: int, rep: np.ndarray, comp: np.ndarray, n: np.ndarray, sig: np.ndarray, left: np.ndarray, right: np.ndarray, same: bool, least: int) -> tuple[list[np.ndarray], list[np.ndarray]]:
-    """Possible pairs across components between the rows ``left`` and ``right`` of one bucket, if this is the first band they share."""
+def _block_links(key: int, t: pa.Table, least: int) -> tuple[list[int], list[int]]:
+    """Links across components within one block of a bucket, as a forest: a pair is compared if this is the first band that it shares, its sizes and minima leave it possible and the links found before do not connect it."""
     bound = least / 100 - SLACK * (least / 100 * (1 - least / 100) / (BANDS * ROWS)) ** 0.5
+    rep, comp, n, own = (t.column(c).to_numpy().copy() for c in ("rep", "comp", "n", "own"))
+    i, j = t.column("i")[0].as_py(), t.column("j")[0].as_py()
+    sig = np.frombuffer(b"".join(t.column("sig").to_pylist()), np.uint32).reshape(len(rep), -1)
+    elems = t.column("elems").combine_chunks()
     band = int(np.flatnonzero(S.band_keys(sig[0], ROWS).view(np.int64) == key)[0])
     out_a, out_b = [], []
-    for i in left:
-        js = right[comp[right] != comp[i]]
-        if same:
-            js = js[rep[js] > rep[i]]
-        js = js[100 * np.minimum(n[js], n[i]) >= least * np.maximum(n[js], n[i])]
-        if not len(js):
+    right = np.flatnonzero(own == j)
+    for x in np.flatnonzero(own == i):
+        ys = right[comp[right] != comp[x]]
+        if i == j:
+            ys = ys[rep[ys] > rep[x]]
+        ys = ys[100 * np.minimum(n[ys], n[x]) >= least * np.maximum(n[ys], n[x])]
+        if not len(ys):
             continue
-        eq = sig[js] == sig[i]
+        eq = sig[ys] == sig[x]
         near = eq.mean(axis=1) >= bound
-        js, eq = js[near], eq[near]
-        js = js[eq.reshape(len(js), BANDS, ROWS).all(axis=2).argmax(axis=1) == band]
-        out_a.append(np.full(len(js), rep[i]))
-        out_b.append(rep[js])
+        ys, eq = ys[near], eq[near]
+        ys = ys[eq.reshape(len(ys), BANDS, ROWS).all(axis=2).argmax(axis=1) == band]
+        if not len(ys):
+            continue
+        mine = np.frombuffer(elems[int(x)].as_py(), np.uint64)
+        for y in ys:
+            if comp[y] == comp[x]:
+                continue
+            if similar(mine, np.frombuffer(elems[int(y)].as_py(), np.uint64), least):
+                out_a.append(int(rep[x]))
+                out_b.append(int(rep[y]))
+                comp[comp == comp[y]] = comp[x]
     return out_a, out_b
 
 
-def _cross(least: int) -> callable:
-    """Over rows sorted by (key, i, j): the pairs of each block. A block has at most a few times BLOCK rows; only one is held at a time."""
+def _cross(least: int) -> Callable:
+    """Over rows sorted by (key, i, j): the links of each block. A block has at most a few times BLOCK rows; only one is held at a time."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         def flush(parts: list[pa.RecordBatch]) -> pa.RecordBatch:
             t = pa.Table.from_batches(parts)
-            rep, comp, n, own = (t.column(c).to_numpy() for c in ("rep", "comp", "n", "own"))
-            i, j = t.column("i")[0].as_py(), t.column("j")[0].as_py()
-            sig = np.frombuffer(b"".join(t.column("sig").to_pylist()), np.uint32).reshape(len(rep), -1)
-            a, b = _block_pairs(t.column("key")[0].as_py(), rep, comp, n, sig, np.flatnonzero(own == i), np.flatnonzero(own == j), i == j, least)
-            a, b = (np.concatenate(x) if x else np.empty(0, np.int64) for x in (a, b))
-            return pa.RecordBatch.from_arrays([pa.array(np.minimum(a, b), pa.int64()), pa.array(np.maximum(a, b), pa.int64())], ["a", "b"])
+            a, b = _block_links(t.column("key")[0].as_py(), t, least)
+            return pa.RecordBatch.from_arrays([pa.array(a, pa.int64()), pa.array(b, pa.int64())], ["a", "b"])
 
         held: list[pa.RecordBatch] = []
         at: tuple | None = None
@@ -147,15 +158,12 @@ class NearDedup:
         best = self.rows.where("n > 0 AND id IS NOT NULL").groupBy("digest").agg(F.min(F.struct("id", "n", "sig")).alias("x"))
         self.reps = materialize(best.select(F.col("x.id").alias("rep"), "digest", "x.n", "x.sig"), "reps")
 
-    def confirm(self, pairs: DataFrame) -> DataFrame:
-        """Those of ``pairs`` (a, b), a written table, that are similar by their full sets."""
-        need = materialize(pairs.select(F.col("a").alias("need")).union(pairs.select("b")).distinct(), "need")
+    def sets(self, need: DataFrame) -> DataFrame:
+        """(id, elems): full sets of the representatives in ``need`` (need), a written table."""
         elems = self.texts.join(_bounded(need), F.col("id") == F.col("need"), "left_semi").mapInArrow(_tagged, "id long, digest binary, elems binary")
         # A repeated id may stand for other texts as well; the representative's digest tells its text.
         own = self.reps.select(F.col("rep").alias("id"), "digest").join(need, F.col("id") == F.col("need"), "left_semi")
-        elems = materialize(elems.join(own, ["id", "digest"], "left_semi").select("id", "elems"), "sets")
-        both = pairs.join(elems.select(F.col("id").alias("a"), F.col("elems").alias("sa")), "a").join(elems.select(F.col("id").alias("b"), F.col("elems").alias("sb")), "b").select("a", "b", "sa", "sb")
-        return both.mapInArrow(_verify(self.least), "a long, b long")
+        return materialize(elems.join(own, ["id", "digest"], "left_semi").select("id", "elems"), "sets")
 
     def run(self) -> DataFrame:
         """(id, digest, n, component) of every row."""
@@ -163,17 +171,17 @@ class NearDedup:
         buckets = bands.groupBy("key").agg(F.count(F.lit(1)).alias("size"), F.min("rep").alias("first")).where("size > 1")
         members = materialize(bands.join(buckets, "key").where("rep <> first").select("key", "rep", "first", "size"), "members")
         star = materialize(members.select(F.col("first").alias("a"), F.col("rep").alias("b")).distinct(), "star")
-        links = materialize(self.confirm(star), "links")
-        comp = components(links)
-        rest = materialize(self.across(members, comp).distinct().join(star, ["a", "b"], "left_anti"), "across")
-        more = materialize(self.confirm(rest), "links2")
+        elems = self.sets(materialize(star.select(F.col("a").alias("need")).union(star.select("b")).distinct(), "need"))
+        both = star.join(elems.select(F.col("id").alias("a"), F.col("elems").alias("sa")), "a").join(elems.select(F.col("id").alias("b"), F.col("elems").alias("sb")), "b").select("a", "b", "sa", "sb")
+        links = materialize(both.mapInArrow(_verify(self.least), "a long, b long"), "links")
+        more = materialize(self.across(members, components(links), elems), "links2")
         comp = components(links.union(more))
         named = self.reps.select("digest", "rep").join(comp, F.col("rep") == F.col("node"), "left").select("digest", F.coalesce("component", "rep").alias("component"))
         own = F.when(F.col("n") > 0, F.col("component")).otherwise(F.col("id"))
         return self.rows.select("id", "digest", "n").join(named, "digest", "left").select("id", "digest", "n", F.when(F.col("id").isNotNull(), own).alias("component"))
 
-    def across(self, members: DataFrame, comp: DataFrame) -> DataFrame:
-        """Possible pairs within buckets but across components, by bounded blocks; the star's centre has been compared already."""
+    def across(self, members: DataFrame, comp: DataFrame, elems: DataFrame) -> DataFrame:
+        """Links within buckets but across components, by bounded blocks; the star's centre has been compared already."""
         placed = members.where("size > 2").join(comp, F.col("rep") == F.col("node"), "left").select("key", "rep", F.coalesce("component", "rep").alias("comp"))
         placed = materialize(placed, "placed")
         spans = placed.groupBy("key").agg(F.min("comp").alias("lo"), F.max("comp").alias("hi"), F.count(F.lit(1)).alias("size"))
@@ -182,7 +190,8 @@ class NearDedup:
         # Block i meets block j for i <= j: a row goes to as many tasks as its bucket has blocks.
         rows = placed.join(spans, "key").withColumn("own", own).withColumn("other", F.explode(F.sequence(F.lit(0), F.col("blocks") - 1)))
         rows = rows.select("key", F.least("own", "other").alias("i"), F.greatest("own", "other").alias("j"), "own", "rep", "comp")
-        rows = rows.join(self.reps.select("rep", "n", "sig"), "rep").select("key", "i", "j", "own", "rep", "comp", "n", "sig")
+        sketch = self.reps.select("rep", "n", "sig").join(elems.withColumnRenamed("id", "rep"), "rep")
+        rows = rows.join(sketch, "rep").select("key", "i", "j", "own", "rep", "comp", "n", "sig", "elems")
         return rows.repartition("key", "i", "j").sortWithinPartitions("key", "i", "j").mapInArrow(_cross(self.least), "a long, b long")
 
 
