@@ -36,13 +36,13 @@ TEMPLATES = (
     ("BSD-3-Clause", "Redistribution and use in source and binary forms, with or without modification, are permitted provided that the following conditions are met"),
     ("MPL-2.0", "This Source Code Form is subject to the terms of the Mozilla Public License, v. 2.0. If a copy of the MPL was not distributed with this file, You can obtain one at http://mozilla.org/MPL/2.0/."),
 )
-#: Common words, which filter nothing; a template gives them up first.
+#: Common words, which vectors leave out.
 COMMON = frozenset("a an and any are as at be by can for from if in is it may not of on or that the this to under was with without you your".split())
 LICENCE_FILE = r"(?i)^(licen[cs]e|copying|unlicense)(\..*|-.*)?$"
 
 
 def terms(text: str) -> list[str]:
-    return [t for t in re.split(r"[^a-z0-9]+", text.lower()) if t]
+    return [t for t in re.split(r"[^a-z0-9]+", text.lower()) if t and t not in COMMON]
 
 
 class Templates:
@@ -61,7 +61,7 @@ class Templates:
             self.rows += [(k, name, t, x / norm) for t, x in w.items()]
             # Terms that may be all a unit shares without reaching the threshold; it needs one of the others.
             spare = threshold**2 * 0.999
-            for t in sorted(w, key=lambda t: (t not in COMMON, w[t], t)):
+            for t in sorted(w, key=lambda t: (w[t], t)):
                 spare -= (w[t] / norm) ** 2
                 if spare <= 0:
                     first.add(t)
@@ -84,7 +84,7 @@ def matches(files: DataFrame, templates: Templates) -> DataFrame:
     known = F.broadcast(spark.createDataFrame([(t, w) for t, w in templates.idf.items()], "term string, idf double"))
     weights = F.broadcast(spark.createDataFrame(templates.rows, "template int, license string, term string, weight double"))
     found = files.where(F.col("path").isNotNull() & holds(F.col("text"), templates.first)).select("path", F.explode(units(F.col("text"), templates.first)).alias("unit")).distinct()
-    found = found.withColumn("term", F.explode(F.array_remove(F.split(F.lower("unit"), "[^a-z0-9]+"), "")))
+    found = found.withColumn("term", F.explode(F.array_remove(F.split(F.lower("unit"), "[^a-z0-9]+"), ""))).where(~F.col("term").isin(*sorted(COMMON)))
     tf = found.groupBy("path", "unit", "term").agg(F.count(F.lit(1)).alias("tf")).join(known, "term", "left")
     tf = tf.select("path", "unit", "term", (F.col("tf") * F.coalesce("idf", F.lit(templates.unseen))).alias("w"))
     norm = tf.groupBy("path", "unit").agg(F.sqrt(F.sum(F.col("w") * F.col("w"))).alias("norm"))
