@@ -4,7 +4,10 @@ Twin dictionaries: inflate the span twice, after histories that differ at every
 that do not come from the history are equal in both results; an unequal pair is a marker for its place in the unknown window.
 
 Splice test: a span [s, e) ends at a block boundary if its bits, an empty final block and a sentinel inflate to the end and leave just
-the sentinel.
+the sentinel. Before a stored block, whose first bit padding hides, its own header with no content is fed as well.
+
+Priming: the library begins at a byte, so a start inside a byte is led by an empty dynamic block that fills whole bytes up to that bit.
+Bytes of the file keep their boundaries, which stored blocks and footers go by.
 """
 
 from __future__ import annotations
@@ -15,8 +18,7 @@ from functools import lru_cache
 
 import numpy as np
 
-from parinflate.functions.bits import realign
-from parinflate.functions.gzipfmt import MAGIC, CorruptBlock, ParinflateError, Truncated, parse_footer, parse_header
+from parinflate.functions.gzipfmt import CorruptBlock, ParinflateError, Truncated, parse_footer, parse_header
 
 WINDOW = 32768
 FLAG = 32768
@@ -34,11 +36,53 @@ def twins() -> tuple[bytes, bytes, np.ndarray]:
     return a.astype(np.uint8).tobytes(), b.astype(np.uint8).tobytes(), place
 
 
-def spliced(bits: bytes, n_bits: int) -> bytes:
-    """``n_bits`` of ``bits``, then an empty final block of the fixed code, then the sentinel."""
-    k, r = n_bits >> 3, n_bits & 7
-    tail = (bits[k] if r else 0) | (3 << r)
-    return bits[:k] + tail.to_bytes(3, "little")[: (r + 10 + 7) // 8] + SENTINEL
+@lru_cache
+def primer(residue: int) -> bytes:
+    """An empty, non-final dynamic block of a length that is ``residue`` modulo 8, the last byte unfinished.
+
+    Its literal code is 256 codes of eight bits for symbols 1 to 256; the precode has one, two and two bits for repeat, zero and eight, and as
+    many zero lengths after them as the length asks for.
+    """
+    for n in range(5, 13):
+        fields = [(0, 1), (2, 2), (0, 5), (0, 5), (n - 4, 4)]
+        fields += [({0: 1, 3: 2, 4: 2}.get(k, 0), 3) for k in range(n)]
+        # Canonical codes, first bit lowest: repeat 0; zero 10; eight 11.
+        zero, eight, again = (1, 2), (3, 2), (0, 1)
+        fields += [zero, eight]
+        for count in [6] * 42 + [3]:
+            fields += [again, (count - 3, 2)]
+        fields += [zero, (255, 8)]
+        if sum(w for _, w in fields) % 8 == residue:
+            value = at = 0
+            for v, w in fields:
+                value |= v << at
+                at += w
+            return value.to_bytes((at + 7) // 8, "little")
+    raise AssertionError(residue)
+
+
+def primed(buf: bytes, start_bit: int, end_byte: int) -> bytes:
+    """Input for the library that begins at ``start_bit`` of ``buf`` and ends before ``end_byte``."""
+    k, r = start_bit >> 3, start_bit & 7
+    if not r:
+        return buf[k:end_byte]
+    lead = primer(r)
+    if k >= end_byte:
+        return lead[:-1]
+    return b"".join((lead[:-1], bytes([lead[-1] | buf[k] >> r << r]), buf[k + 1 : end_byte]))
+
+
+def closed(buf: bytes, start_bit: int, end_bit: int, before_stored: bool = False) -> bytes:
+    """Input for the splice test of [start_bit, end_bit)."""
+    if before_stored:
+        return primed(buf, start_bit, (end_bit + 3) >> 3) + b"\0\0\xff\xff\x03\0" + SENTINEL
+    k, r = end_bit >> 3, end_bit & 7
+    if not r:
+        return primed(buf, start_bit, k) + b"\x03\0" + SENTINEL
+    cut = buf[: k + 1] if start_bit >> 3 == k else buf
+    whole = primed(cut, start_bit, k + 1)
+    tail = whole[-1] & ((1 << r) - 1) | 3 << r
+    return whole[:-1] + tail.to_bytes(2 if r <= 6 else 3, "little") + SENTINEL
 
 
 @dataclass
@@ -123,6 +167,7 @@ def decode_span(buf: bytes, start_bit: int, end_bit: int | None, kind: str = "bl
 
     Without ``window`` the history of the first piece is unknown and becomes markers. Bits are counted in ``buf``.
     """
+    # ``end_kind`` stored: ``end_bit`` is the last bit that may begin the block, three before its length.
     size = 8 * len(buf)
     stop = size if end_bit is None else end_bit
     pieces: list[Piece] = []
@@ -140,8 +185,8 @@ def decode_span(buf: bytes, start_bit: int, end_bit: int | None, kind: str = "bl
             first = False
             if at > stop:
                 return Decoded(False, at, pieces, "a header crosses the end")
-            bits = realign(buf, at, stop)
-            data = spliced(bits, stop - at) if end_bit is not None and end_kind == "block" else bits
+            spliced = end_bit is not None and end_kind != "member"
+            data = closed(buf, at, stop, end_kind == "stored") if spliced else primed(buf, at, (stop + 7) >> 3)
             if unknown:
                 out, places, markers, rest, eof = _twin(data, fallback)
             else:
@@ -151,21 +196,18 @@ def decode_span(buf: bytes, start_bit: int, end_bit: int | None, kind: str = "bl
                 return Decoded(False, at, pieces, "no block ends at the end" if end_bit is not None else "truncated")
             piece = Piece(out, places, markers)
             pieces.append(piece)
-            if end_bit is not None and end_kind == "block" and rest == SENTINEL:
+            if spliced and rest == SENTINEL:
                 return Decoded(True, stop, pieces)
-            # A final block: the footer begins at the next byte of the file; which one, the realigned bits leave open by one.
-            used = len(data) - len(rest)
-            lo = (at >> 3) + used
+            # A final block: the footer begins at the next byte of the file.
+            lead = len(primer(at & 7)) - 1 if at & 7 else 0
+            foot = (at >> 3) + len(data) - len(rest) - lead
             if container != "gzip":
-                at = 8 * (lo if at & 7 == 0 else lo + 1) + (32 if container == "zlib" else 0)
                 piece.ends = True
+                at = 8 * (foot + (4 if container == "zlib" else 0))
                 continue
-            for foot in (lo, lo + 1) if at & 7 else (lo,):
-                after = foot + 8
-                if after <= len(buf) and (after == len(buf) or buf[after : after + 3] == MAGIC or not buf[after:].strip(b"\0")):
-                    break
-            else:
-                return Decoded(False, at, pieces, "no footer after a final block")
+            after = foot + 8
+            if 8 * after > size:
+                return Decoded(False, at, pieces, "truncated footer")
             piece.ends, (piece.crc, piece.isize) = True, parse_footer(buf, foot)
             at = 8 * after
             if end_bit is None and not buf[after:].strip(b"\0"):

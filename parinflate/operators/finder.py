@@ -15,7 +15,7 @@ import numpy as np
 
 from parinflate.functions import bits, deflate_ref, huffman
 from parinflate.functions.gzipfmt import MAGIC, CorruptBlock, ParinflateError, parse_header
-from parinflate.functions.probe import twins
+from parinflate.functions.probe import primed, twins
 
 STEPS = ("final_bit", "block_type", "literal_count", "precode_invalid", "precode_unused", "precode_data", "distance_invalid", "distance_unused", "literal_invalid", "literal_unused", "accepted")
 VARIANTS = ("zlib", "parser", "text_only", "skip", "packed", "histset")
@@ -141,7 +141,7 @@ def cascade(buf: bytes, start: int = 0, end: int | None = None, variant: str = "
 
 def _trial(buf: bytes, pos: int, least: int, text: bool = False) -> bool:
     """Whether inflating at ``pos`` gives ``least`` bytes or reaches a clean end, of text bytes only if asked."""
-    data = bits.realign(buf, pos, min(8 * len(buf), pos + 64 * 8 * 1024))
+    data = primed(buf, pos, (pos >> 3) + (64 << 10))
     d = zlib.decompressobj(-15, zdict=twins()[0])
     try:
         out = d.decompress(data, least)
