@@ -107,12 +107,12 @@ def repair(spans: DataFrame, max_rounds: int = 32, fallback: bool = True, contai
         rows = cur.select("file_id", "start_bit", "end_bit", "end_kind", "ok").withColumns({"rn": F.row_number().over(w), "before": F.lag("ok").over(w), "n": F.count(F.lit(1)).over(Window.partitionBy("file_id"))})
         bad = rows.where(~F.col("ok") & F.coalesce("before", F.lit(True)) & (F.col("rn") < F.col("n")))
         if reach > 1:
-            bad = bad.join(broken(cur).select(F.col("file_id").alias("b_file"), "bad_bit"), (F.col("file_id") == F.col("b_file")) & (F.col("start_bit") == F.col("bad_bit")), "left_semi")
+            bad = bad.join(broken(cur).withColumnRenamed("bad_bit", "start_bit"), ["file_id", "start_bit"], "left_semi")
         bad = materialize(bad.select("file_id", F.col("start_bit").alias("from_bit"), F.col("rn").alias("from_rn"), F.least(F.col("rn") + reach, F.col("n")).alias("to_rn")), "bad")
         if rounds == max_rounds or not bad.take(1):
             break
-        ends = rows.join(bad, "file_id").where("rn = to_rn").select("file_id", "from_bit", F.col("end_bit").alias("new_end"), F.col("end_kind").alias("new_kind"))
-        again = cur.select("file_id", "path", "size", "start_bit", "kind").join(ends, (cur.file_id == ends.file_id) & (F.col("start_bit") == F.col("from_bit"))).select(cur.file_id, "path", "size", "start_bit", F.col("new_end").alias("end_bit"), "kind", F.col("new_kind").alias("end_kind"))
+        ends = rows.join(bad, "file_id").where("rn = to_rn").select("file_id", F.col("from_bit").alias("start_bit"), F.col("end_bit").alias("new_end"), F.col("end_kind").alias("new_kind"))
+        again = cur.select("file_id", "path", "size", "start_bit", "kind").join(ends, ["file_id", "start_bit"]).select("file_id", "path", "size", "start_bit", F.col("new_end").alias("end_bit"), "kind", F.col("new_kind").alias("end_kind"))
         gone = rows.join(bad, "file_id").where("rn >= from_rn AND rn <= to_rn").select("file_id", "start_bit").distinct()
         cur = materialize(cur.join(gone, ["file_id", "start_bit"], "left_anti").unionByName(decode(again, fallback, container)), "spans")
         reach = reach if rounds < 3 else 2 * reach
