@@ -23,11 +23,12 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from parinflate.llm.chunks import chunks
+from parinflate.llm.tables import claim
 from parinflate.runtime import ship, table
 
 VOCABULARY = "byte_bpe_multi_50k.tiktoken"
 #: Entries of either table of a worker; a full table starts anew.
-CACHE = 500_000
+CACHE = 400_000
 _NONE = 1 << 62
 
 
@@ -139,9 +140,16 @@ def codec(path: str) -> Codec:
     return Codec(path)
 
 
+def _mine(path: str) -> Codec:
+    """The codec of a task."""
+    c = codec(path)
+    claim(f"bpe {path}", codec.cache_clear)
+    return c
+
+
 def _encode(path: str) -> Callable:
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        c = codec(path)
+        c = _mine(path)
         for batch in batches:
             ids = [c.encode(x.as_py()) for x in batch.column(1)]
             yield pa.RecordBatch.from_arrays([batch.column(0), pa.array([len(x) // 4 for x in ids], pa.int64()), pa.array(ids, pa.binary())], ["id", "n_tokens", "ids"])
@@ -151,7 +159,7 @@ def _encode(path: str) -> Callable:
 
 def _decode(path: str) -> Callable:
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        c = codec(path)
+        c = _mine(path)
         for batch in batches:
             yield pa.RecordBatch.from_arrays([batch.column(0), pa.array([c.decode(x.as_py() or b"") for x in batch.column(1)], pa.binary())], ["id", "text_bytes"])
 
@@ -160,7 +168,7 @@ def _decode(path: str) -> Callable:
 
 def _round(path: str) -> Callable:
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        c = codec(path)
+        c = _mine(path)
         for batch in batches:
             n, coded, decoded, out = [], [], [], []
             for x in batch.column(1):

@@ -25,6 +25,7 @@ from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
+from parinflate.llm.tables import claim
 from parinflate.runtime import materialize, ship, table
 
 BUCKETS = 10_000
@@ -32,7 +33,7 @@ MOST_LABELLED = 200_000
 #: Share of the target that may lie below the tail, and nats below it that a Gumbel variate rarely spans.
 TAIL, MARGIN = 0.001, 4.0
 SEED = 77
-CACHE = 400_000
+CACHE = 300_000
 _tokens = re.compile(r"\w+|[^\w\s]+").findall
 _K1, _K2, _REPEAT = np.uint64(0x9E3779B97F4A7C15), np.uint64(0xBF58476D1CE4E5B9), np.uint64(0x5BD1E995)
 
@@ -63,6 +64,7 @@ def grams(text: str | None) -> np.ndarray:
 
 def _count(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
     """(bucket, raw, target) counts of this task's rows."""
+    claim("importance", _hashes.clear)
     raw, target = np.zeros(BUCKETS, np.int64), np.zeros(BUCKETS, np.int64)
     for batch in batches:
         for text, good in zip(batch.column(0), batch.column(1), strict=True):
@@ -98,6 +100,7 @@ def _scorer(ratios: np.ndarray) -> Callable:
     def score(texts):
         import pandas as pd
 
+        claim("importance", _hashes.clear)
         return pd.Series([float(ratios[grams(t)].sum()) for t in texts], dtype="float64")
 
     return F.pandas_udf(score, T.DoubleType())

@@ -26,6 +26,7 @@ from pyspark.sql import functions as F
 
 from parinflate.llm import shingles as S
 from parinflate.llm.components import components
+from parinflate.llm.tables import claim
 from parinflate.runtime import materialize, ship, table
 
 BANDS, ROWS = 32, 4
@@ -36,6 +37,7 @@ SLACK = 5.0
 
 
 def _sketch(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    claim("shingles", S.clear)
     for batch in batches:
         dig, size, sigs = [], [], []
         for text in batch.column(1):
@@ -73,6 +75,7 @@ def _verify(least: int) -> Callable:
 
 
 def _tagged(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    claim("shingles", S.clear)
     for batch in batches:
         ws = [S.words(x.as_py()) for x in batch.column(1)]
         yield pa.RecordBatch.from_arrays([batch.column(0), pa.array([S.digest(w) for w in ws], pa.binary()), pa.array([S.shingle_set(w).tobytes() for w in ws], pa.binary())], ["id", "digest", "elems"])

@@ -9,7 +9,7 @@ import numpy as np
 import xxhash
 
 #: Word hashes that a worker keeps; the table starts anew when it is full.
-CACHE = 400_000
+CACHE = 300_000
 WIDTH = 5
 _M1, _M2 = np.uint64(0xBF58476D1CE4E5B9), np.uint64(0x94D049BB133111EB)
 
@@ -23,6 +23,7 @@ class _Hashes(dict):
 
 
 _hashes = _Hashes()
+clear = _hashes.clear
 
 
 def words(text: bytes | None) -> list[bytes]:

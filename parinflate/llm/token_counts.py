@@ -22,6 +22,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from parinflate.llm.chunks import chunks
+from parinflate.llm.tables import claim
 from parinflate.runtime import ship, table
 
 VOCABULARY = "byte_bpe_50k.json"
@@ -105,6 +106,7 @@ def counter(path: str) -> Counter:
 def _count(path: str) -> Callable:
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         c = counter(path)
+        claim(f"counts {path}", counter.cache_clear)
         for batch in batches:
             n = c.counts([x or "" for x in batch.column(2).to_pylist()])
             yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(1), pa.array(n, pa.int64())], ["id", "n_bytes", "n_tokens"])
