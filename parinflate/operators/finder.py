@@ -190,13 +190,13 @@ def members(buf: bytes, start: int = 0, end: int | None = None) -> Iterator[int]
         yield 8 * k
 
 
-def follow_stored(buf: bytes, lo: int) -> bool:
-    """Whether what follows a stored candidate's payload is the header of a block, or beyond the buffer."""
+def follow_stored(buf: bytes, lo: int, final: bool = False) -> bool:
+    """Whether what follows a stored candidate's payload is the header of a block, or unknown: beyond a buffer that is not the file's end (``final``)."""
     p = (lo + 3 + 7) >> 3
     n = int.from_bytes(buf[p : p + 2], "little")
     q = p + 4 + n
     if q >= len(buf):
-        return True
+        return not final
     kind = (buf[q] >> 1) & 3
     if kind == 3:
         return False
@@ -205,7 +205,7 @@ def follow_stored(buf: bytes, lo: int) -> bool:
     return kind == 1 or _trial(buf, 8 * q, 64)
 
 
-def candidates(buf: bytes, start: int = 0, end: int | None = None, confirm: int = 1024, variant: str = "packed", step: int = 1 << 16) -> Iterator[tuple[int, int, str]]:
+def candidates(buf: bytes, start: int = 0, end: int | None = None, confirm: int = 1024, variant: str = "packed", step: int = 1 << 16, final: bool = False) -> Iterator[tuple[int, int, str]]:
     """(first bit, last bit that means the same, kind) of confirmed candidates in order, searched ``step`` bytes at a time."""
     end = min(8 * len(buf), end if end is not None else 8 * len(buf))
     at = start
@@ -214,7 +214,7 @@ def candidates(buf: bytes, start: int = 0, end: int | None = None, confirm: int
         found = [(p, p, "dynamic") for p in dynamic(buf, at, to, variant, confirm)]
         lo_byte = max(0, (at >> 3) - 2)
         piece = buf[lo_byte : (to >> 3) + 70_000]
-        found += [(int(a) + 8 * lo_byte, int(b) + 8 * lo_byte, "stored") for a, b in stored(piece, at - 8 * lo_byte, to - 8 * lo_byte) if follow_stored(buf, int(b) + 8 * lo_byte)]
+        found += [(int(a) + 8 * lo_byte, int(b) + 8 * lo_byte, "stored") for a, b in stored(piece, at - 8 * lo_byte, to - 8 * lo_byte) if follow_stored(buf, int(b) + 8 * lo_byte, final)]
         found += [(p, p, "member") for p in members(buf, at, to)]
         yield from sorted(x for x in found if at <= x[1] and x[0] < to)
         at = to

@@ -33,7 +33,8 @@ def build(archive: DataFrame, slot_bytes: int = spans_.SLOT_BYTES, variant: str
     slots = materialize(spans_.plan(archive, slot_bytes), "slots")
     limit = None
     if upto is not None:
-        limit = max(1, -(-upto // (2 * slot_bytes)))
+        limit = 1 + max(1, -(-upto // (4 * slot_bytes)))
+        files = archive.count()
     while True:
         part = slots if limit is None else slots.where(F.col("slot_no") < limit)
         found = materialize(spans_.find(part, confirm, variant, container), "candidates")
@@ -41,7 +42,7 @@ def build(archive: DataFrame, slot_bytes: int = spans_.SLOT_BYTES, variant: str
         if limit is not None:  # the last span has no end yet unless the file ends there
             todo = todo.where(F.col("end_bit").isNotNull() | (F.col("size") <= limit * slot_bytes))
         spans, rounds = spans_.repair(spans_.decode(todo, fallback, container), max_rounds, fallback, container)
-        if limit is None or not spans.groupBy("file_id").agg(F.sum("out_len").alias("n"), F.max("size").alias("size")).where((F.col("n") < upto) & (F.col("size") > limit * slot_bytes)).take(1):
+        if limit is None or spans.groupBy("file_id").agg(F.sum("out_len").alias("n"), F.max("size").alias("size")).where((F.col("n") >= upto) | (F.col("size") <= limit * slot_bytes)).count() == files:
             break
         limit *= 2
     broken = spans_.broken(spans)

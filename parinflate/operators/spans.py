@@ -37,7 +37,7 @@ def find(slots: DataFrame, confirm: int = 1024, variant: str = "packed", contain
                     continue
                 lo, hi = max(0, r["guess_bit"] // 8 - 8), r["limit_bit"] // 8
                 buf = read_range(r["path"], lo, hi - lo + LOOKAHEAD)
-                for a, b, kind in finder.candidates(buf, r["guess_bit"] - 8 * lo, r["limit_bit"] - 8 * lo, confirm, variant):
+                for a, b, kind in finder.candidates(buf, r["guess_bit"] - 8 * lo, r["limit_bit"] - 8 * lo, confirm, variant, final=lo + len(buf) >= r["size"]):
                     rows.append((r["file_id"], r["slot_no"], a + 8 * lo, b + 8 * lo, kind))
                     break
             yield pa.RecordBatch.from_pylist([dict(zip(("file_id", "slot_no", "start_bit", "last_bit", "kind"), x, strict=True)) for x in rows], schema=pa.schema([("file_id", pa.int64()), ("slot_no", pa.int64()), ("start_bit", pa.int64()), ("last_bit", pa.int64()), ("kind", pa.string())]))

@@ -85,9 +85,9 @@ def indexed(spark: SparkSession, sf_dir: str, name: str, layout: str = "pigz_lik
 
 
 def trace(spark: SparkSession, sf_dir: str, chunks: int = 8) -> DataFrame:
-    """Accesses of readers: (reader_id, seq, point_no) from the events, in order of time."""
+    """Accesses of readers: (reader_id, seq, point_no) from the events, whose ids follow time."""
     e = table(spark, sf_dir, "events")
-    return e.select(F.col("user_id").alias("reader_id"), (F.unix_micros("ts") * 1_000_000 + F.col("event_id")).alias("seq"), F.pmod(F.floor(F.abs("value")), F.lit(chunks)).cast("long").alias("point_no"))
+    return e.select(F.col("user_id").alias("reader_id"), F.col("event_id").alias("seq"), F.pmod(F.floor(F.abs("value")), F.lit(chunks)).cast("long").alias("point_no"))
 
 
 def requests(spark: SparkSession, sf_dir: str, records: int, width: int = 25, most: int = 4) -> DataFrame:

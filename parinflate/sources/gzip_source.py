@@ -1,7 +1,8 @@
 """``spark.read.format("parinflate")``: decompressed bytes or lines, pruned by position through an index.
 
-Options: ``path`` (a file), ``index`` (a saved index; without one the file is read by one task), ``format`` bytes or lines. Filters
-on file_id, point_no and out_start that compare with constants leave only the index points that can satisfy them.
+Options: ``path`` (a file), ``index`` (a saved index; without one the file is read by one task), ``format`` bytes or lines. With
+``pushdown`` true (and spark.sql.python.filterPushdown.enabled) filters on file_id, point_no and out_start that compare with constants
+leave only the index points that can satisfy them.
 """
 
 from __future__ import annotations
@@ -26,18 +27,11 @@ class Point(InputPartition):
         self.row = row
 
 
-class _Reader(DataSourceReader):
+class _Plain(DataSourceReader):
     def __init__(self, options):
         self.path, self.index, self.format = options.get("path"), options.get("index"), options.get("format", "bytes")
         self.limits: list[tuple[str, str, int]] = []
 
-    def pushFilters(self, filters: list[Filter]) -> Iterator[Filter]:
-        for f in filters:
-            op = _COMPARE.get(type(f))
-            if op and len(f.attribute) == 1 and f.attribute[0] in ("file_id", "point_no", "out_start"):
-                self.limits.append((f.attribute[0], op, f.value))
-            yield f  # points are pruned; Spark still tests the rows
-
     def _may(self, r: dict) -> bool:
         for col, op, v in self.limits:
             lo, hi = (r["out_start"], r["out_start"] + max(1, r["out_len"]) - 1) if col == "out_start" else (r[col], r[col])
@@ -93,6 +87,15 @@ def serial(path: str, step: int = 4 << 20) -> Iterator[bytes]:
                 part, d = d.unused_data, zlib.decompressobj(31)
 
 
+class _Pruned(_Plain):
+    def pushFilters(self, filters: list[Filter]) -> Iterator[Filter]:
+        for f in filters:
+            op = _COMPARE.get(type(f))
+            if op and len(f.attribute) == 1 and f.attribute[0] in ("file_id", "point_no", "out_start"):
+                self.limits.append((f.attribute[0], op, f.value))
+            yield f  # points are pruned; Spark still tests the rows
+
+
 class ParinflateSource(DataSource):
     """Registered as ``parinflate``."""
 
@@ -106,4 +109,4 @@ class ParinflateSource(DataSource):
     def reader(self, schema) -> DataSourceReader:
         if self.options.get("format") == "lines" and self.options.get("index"):
             raise ValueError("lines across points need records.lines; with an index use format bytes")
-        return _Reader(self.options)
+        return (_Pruned if self.options.get("pushdown", "false") == "true" else _Plain)(self.options)

@@ -5,7 +5,7 @@ from __future__ import annotations
 from collections.abc import Iterator
 
 import pandas as pd
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql.streaming.state import GroupState, GroupStateTimeout
 
@@ -17,7 +17,16 @@ from parinflate.runtime import scratch_path, ship
 def events(spark: SparkSession, sf_dir: str) -> DataFrame:
     """The events table as a file stream."""
     path = f"{sf_dir}/events.parquet"
-    return spark.readStream.schema(spark.read.parquet(path).schema).parquet(path)
+    jvm = spark.sparkContext._jvm
+    p = jvm.org.apache.hadoop.fs.Path(path)
+    one = p.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration()).getFileStatus(p).isFile()  # streams read folders
+    reader = spark.readStream.schema(spark.read.parquet(path).schema)
+    return reader.option("pathGlobFilter", "events.parquet").parquet(sf_dir) if one else reader.parquet(path)
+
+
+def micros(ts: str) -> Column:
+    """Microseconds since 1970 of a timestamp, in no time zone."""
+    return F.expr(f"timestampdiff(MICROSECOND, TIMESTAMP_NTZ'1970-01-01 00:00:00', CAST({ts} AS TIMESTAMP_NTZ))")
 
 
 def run(df: DataFrame, mode: str, name: str) -> DataFrame:
@@ -44,7 +53,7 @@ def sessions(stream: DataFrame, gap: str = "30 minutes") -> DataFrame:
 
 def on_time(stream: DataFrame, delay: str = "10 minutes", width: str = "1 hour") -> DataFrame:
     """Windows that the watermark has closed; rows behind it are dropped."""
-    return stream.withWatermark("ts", delay).groupBy(F.window("ts", width).alias("w")).agg(F.count(F.lit(1)).alias("n")).select(F.col("w.start").alias("start"), "n")
+    return stream.withColumn("ts", F.col("ts").cast("timestamp")).withWatermark("ts", delay).groupBy(F.window("ts", width).alias("w")).agg(F.count(F.lit(1)).alias("n")).select(F.col("w.start").alias("start"), "n")
 
 
 def decompress_new(spark: SparkSession, folder: str) -> DataFrame:
