@@ -78,8 +78,8 @@ def base_failed() -> Column:
 
 def rule_failed() -> Column:
     """Any document rule: the base rule, symbols, repeated lines, odd word lengths."""
-    mean = F.col("word_chars") / F.col("n_words")
-    return base_failed() | (F.col("n_symbols") > MOST_SYMBOLS * F.col("word_chars")) | (F.col("n_dup_lines") > MOST_DUP_LINES * F.col("n_lines")) | (mean < WORD_LENGTH[0]) | (mean > WORD_LENGTH[1])
+    short, long = (F.col("word_chars") < WORD_LENGTH[0] * F.col("n_words")), (F.col("word_chars") > WORD_LENGTH[1] * F.col("n_words"))
+    return base_failed() | (F.col("n_symbols") > MOST_SYMBOLS * F.col("word_chars")) | (F.col("n_dup_lines") > MOST_DUP_LINES * F.col("n_lines")) | short | long
 
 
 def host_rates(measured: DataFrame) -> DataFrame:

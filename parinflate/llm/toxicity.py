@@ -178,7 +178,7 @@ def _score(model: Model) -> Callable:
         hits = _Hits(model.chosen)
         for batch in batches:
             z = np.array([model.logit(hits.of(x.as_py())) for x in batch.column(1)], float)
-            yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(1 / (1 + np.exp(-np.clip(z, -500, 500))))], ["id", "score"])
+            yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(np.where(np.isneginf(z), 0.0, 1 / (1 + np.exp(-np.clip(z, -500, 500)))))], ["id", "score"])
 
     return run
 
