@@ -111,7 +111,7 @@ def swaps(chosen: dict[str, int], terms: dict[str, tuple[str, ...]] = IDENTITY)
     return [(tuple(of(a) - of(b)), tuple(of(b) - of(a))) for group in terms.values() for a in group for b in group if a < b]
 
 
-def train(rows: list[tuple[int, list[int]]], n_features: int, pairs: list, ridge: float = 1e-3, swap: float = 1.0, steps: int = 400, rate: float = 0.1) -> tuple[np.ndarray, float]:
+def train(rows: list[tuple[int, list[int]]], n_features: int, pairs: list, ridge: float = 1e-2, swap: float = 1.0, steps: int = 400, rate: float = 0.1) -> tuple[np.ndarray, float]:
     """Weights and bias by full-batch gradient steps with momentum and per-weight scale; the swap penalty is the mean squared change of the logit, weighted by how many rows hold a term of the pair."""
     y = np.array([r[0] for r in rows], float)
     row = np.repeat(np.arange(len(rows)), [len(r[1]) for r in rows])
