@@ -110,4 +110,20 @@ def judge(df: DataFrame, id_col: str = "doc_id", text_col: str = "text", host_co
 
 def op7_quality_rules(spark: SparkSession, sf_dir: str) -> DataFrame:
     found = judge(table(spark, sf_dir, "documents"))
-    return found.select(F.col("id").alias("doc_id"), "n_words", "word_chars", "n_symbols", "n_dup_lines", "n_repeat_words", "base_failed", "kept", "rate")
+    return found.select(F.col("id").alias("doc_id"), "n_words", "word_chars", "n_symbols", "n_dup_lines", "n_repeat_words", "base_failed", "kept")
+
+
+OP7_SQL = r"""
+WITH d AS (SELECT row_number() OVER () AS rid, doc_id, source, coalesce(text, '') AS t FROM documents),
+s AS (SELECT rid, doc_id, source, t, [x FOR x IN regexp_split_to_array(t, '[ \t\n\x0B\f\r]+') IF x <> ''] AS w, [x FOR x IN string_split(t, chr(10)) IF regexp_matches(x, '[^ \t\n\x0B\f\r]')] AS l FROM d),
+p AS (SELECT rid, i, count(*) OVER (PARTITION BY rid, w[i], w[i + 1], w[i + 2]) AS c FROM (SELECT rid, w, unnest(range(1, len(w) - 1)) AS i FROM s WHERE len(w) >= 3)),
+r AS (SELECT rid, count(DISTINCT j) AS n FROM (SELECT rid, unnest([i, i + 1, i + 2]) AS j FROM p WHERE c > 1) GROUP BY rid),
+m AS (SELECT doc_id, source, len(w) AS n_words, length(array_to_string(w, '')) AS word_chars, length(t) - length(regexp_replace(t, '[#*$%&|<>]', '', 'g')) AS n_symbols, len(l) AS n_lines, len(l) - len(list_distinct(l)) AS n_dup_lines, coalesce(r.n, 0) AS n_repeat_words FROM s LEFT JOIN r USING (rid)),
+f AS (SELECT *, n_words < 50 OR 100 * n_repeat_words > 50 * n_words AS base_failed FROM m),
+g AS (SELECT *, base_failed OR n_symbols > 0.1 * word_chars OR n_dup_lines > 0.3 * n_lines OR word_chars < 2 * n_words OR word_chars > 14 * n_words AS failed FROM f),
+h AS (SELECT source, count(*) AS docs, sum(failed::INT) AS failures FROM g GROUP BY source),
+a AS (SELECT least(1 - 1e-6, greatest(1e-6, avg(failures / docs))) AS m, coalesce(var_samp(failures / docs), 0) AS v, avg(1 / docs) AS i FROM h),
+b AS (SELECT m, greatest(m * (1 - m) / greatest(v - m * (1 - m) * i, m * (1 - m) * 1e-4) - 1, 1e-3) AS k FROM a),
+o AS (SELECT source, (failures + m * k) / (docs + k) <= 0.5 AS host_ok FROM h, b)
+SELECT doc_id, n_words, word_chars, n_symbols, n_dup_lines, n_repeat_words, base_failed, NOT base_failed AND host_ok AS kept FROM g JOIN o ON g.source IS NOT DISTINCT FROM o.source
+"""

@@ -18,5 +18,6 @@ QUERIES = {
 }
 
 ORACLES = {
+    "op7_quality_rules": quality_rules.OP7_SQL,
     "op8_exact_dedup": exact_dedup.OP8_SQL,
 }
