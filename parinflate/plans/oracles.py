@@ -39,7 +39,7 @@ ORACLES: dict[str, str] = {
     "cr_orders_rows": "SELECT o_orderkey, o_custkey, o_orderstatus, round(o_totalprice * 100)::BIGINT AS price_cents, o_orderpriority FROM orders",
     "cr_events_props": "SELECT event_id, user_id, event_type, props FROM events",
     "cr_level_matrix": f"SELECT layout, level, count(*) AS n, sum(octet_length(encode(text)))::BIGINT AS n_bytes FROM (VALUES {_LEVELS}) v(layout, level), documents GROUP BY layout, level",
-    **dict.fromkeys(("cr_fixed_only", "cr_stored_only", "cr_single_dynamic", "cr_multi_member", "cr_bgzf", "cr_sync_flush", "cr_nested_gzip", "serial_vs_scan_windows", "marker_resolve_docs", "builtin_codec_lines", "zstd_frames_rows", "bzip2_rows", "bgzf_blocks_lines"), DOCS),
+    **dict.fromkeys(("cr_fixed_only", "cr_stored_only", "cr_single_dynamic", "cr_multi_member", "cr_bgzf", "cr_sync_flush", "cr_nested_gzip", "serial_vs_scan_windows", "marker_resolve_docs", "serial_stage2_docs", "builtin_codec_lines", "zstd_frames_rows", "bzip2_rows", "bgzf_blocks_lines"), DOCS),
     "cr_small_file": "SELECT n_nationkey, n_name, n_regionkey FROM nation",
     "cr_empty_members": "SELECT n_nationkey, n_name, true AS gz FROM nation",
     "base64_random_rows": f"SELECT to_base64(unhex({HEX})) AS line, count(*) AS n FROM lineitem GROUP BY 1",
@@ -70,6 +70,7 @@ ORACLES: dict[str, str] = {
     "amdahl_bound": "SELECT slot_kib, cores, (slot_kib / 32)::BIGINT AS less_work, round(cores / (cores + slot_kib / 32), 6) AS serial_share FROM (VALUES (128), (512), (1024), (4096), (32768)) s(slot_kib), (VALUES (1), (16), (48), (64), (128)) c(cores)",
     "seek_cost_bound": "SELECT spacing_kib, length, spacing_kib * 1024 + length AS most_bytes, round((spacing_kib * 1024 + length) / length, 6) AS amplification FROM (VALUES (32), (1024), (4096)) s(spacing_kib), (VALUES (1), (100), (4096), (1048576)) l(length)",
     "baseline_bytes": f"SELECT baseline, (SELECT sum({_CSV} + 1)::BIGINT FROM lineitem) AS n_bytes FROM (VALUES ('one_task'), ('helper_threads'), ('text_only_unsynchronised'), ('text_only_synchronised'), ('bgzf'), ('serial_index')) v(baseline)",
+    "parquet_codec_rows": "SELECT codec, count(*) AS n, sum(o_orderkey)::BIGINT AS keys FROM orders, (VALUES ('lz4'), ('zstd'), ('snappy'), ('gzip')) v(codec) GROUP BY codec",
     "text_only_range_check": r"SELECT doc_id, NOT regexp_matches(coalesce(text, ''), '[^\x09-\x7e]') AS accepted FROM documents",
     "prefetch_replay_next_k": _hits("WHERE c = p OR c = p + 1 OR c = p + 2"),
     "prefetch_replay_lru": _hits("WHERE c = p"),

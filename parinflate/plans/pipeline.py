@@ -28,12 +28,12 @@ def decompress(spark: SparkSession, source: str | DataFrame, *, slot_bytes: int
     and windows replace their markers. ``variant`` text_only is the predecessor: content must be bytes 9 to 126.
     """
     archive = _archive(spark, source)
-    idx, counters = index.build(archive, slot_bytes, variant, mode, group, upto=upto_byte, max_rounds=max_rounds, on_error=on_error, fallback=fallback)
+    idx, _ = index.build(archive, slot_bytes, variant, mode, group, upto=upto_byte, max_rounds=max_rounds, on_error=on_error, fallback=fallback)
     if verify_crc:
         index.verify(idx, strict=True)
     if upto_byte is not None:
         idx = index.points_upto(idx, upto_byte)
-    out = resolve(counters["linked"], idx, max_out_bytes) if materialize_as == "symbols" else index.read(idx, max_out_bytes)
+    out = resolve(idx, max_out_bytes) if materialize_as == "symbols" else index.read(idx, max_out_bytes)
     if variant == "text_only":
         out = out.mapInArrow(_text_only, schemas.STREAM)
     return out.repartitionByRange("file_id", "out_start").sortWithinPartitions("file_id", "out_start") if ordered else out
@@ -49,8 +49,8 @@ def _text_only(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         yield batch
 
 
-def resolve(linked: DataFrame, idx: DataFrame, most: int = 64 << 20) -> DataFrame:
-    """Stage 2 by whole-chunk marker replacement: the symbols of a span meet its window in the task that decodes it."""
+def resolve(idx: DataFrame, most: int = 64 << 20, serial: bool = False) -> DataFrame:
+    """Stage 2 by whole-chunk marker replacement: the symbols of a span meet its window in the task that decodes it. ``serial`` is the ablation in which one task per file does all of it."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
@@ -60,7 +60,8 @@ def resolve(linked: DataFrame, idx: DataFrame, most: int = 64 << 20) -> DataFram
                 for at in range(0, len(data) or 1, most):
                     yield pa.RecordBatch.from_arrays([pa.array([r["file_id"]]), pa.array([r["point_no"]]), pa.array([r["out_start"] + at]), pa.array([data[at : at + most]], pa.binary())], ["file_id", "point_no", "out_start", "bytes"])
 
-    return idx.mapInArrow(run, schemas.STREAM)
+    rows = idx.repartition("file_id").sortWithinPartitions("file_id", "out_start") if serial else idx
+    return rows.mapInArrow(run, schemas.STREAM)
 
 
 def lines(spark: SparkSession, source: str | DataFrame, numbered: bool = False, **how) -> DataFrame:

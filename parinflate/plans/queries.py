@@ -190,6 +190,13 @@ def marker_resolve_docs(spark, sf_dir):
     return _docs(lines.select(F.from_json("line", workloads.SCHEMA["documents"]).alias("r")).select("r.*"))
 
 
+@query
+def serial_stage2_docs(spark, sf_dir):
+    """The ablation: only stage 1 is parallel, markers of a file are replaced by one task."""
+    idx, _ = workloads.indexed(spark, sf_dir, "documents", "single")
+    return _docs(_stitched(pipeline.resolve(idx, serial=True).withColumnRenamed("out_start", "seq"), workloads.SCHEMA["documents"]))
+
+
 @query
 def twin_equals_reference(spark, sf_dir):
     """Each page cut in two halves of its blocks: symbols of the twin decoder against the symbol decoder."""
@@ -526,6 +533,18 @@ def bgzf_blocks_lines(spark, sf_dir):
     return _docs(records.json_table(idx, workloads.SCHEMA["documents"]))
 
 
+@query
+def parquet_codec_rows(spark, sf_dir):
+    """Block codecs that columns can have, lz4 among them: rows that come back by codec."""
+    orders, out = table(spark, sf_dir, "orders"), None
+    for codec in ("lz4", "zstd", "snappy", "gzip"):
+        path = scratch_path(spark, f"codec-{codec}")
+        orders.write.option("compression", codec).parquet(path)
+        got = spark.read.parquet(path).agg(F.count(F.lit(1)).alias("n"), F.sum("o_orderkey").alias("keys")).select(F.lit(codec).alias("codec"), "n", "keys")
+        out = got if out is None else out.union(got)
+    return out
+
+
 @query
 def text_only_range_check(spark, sf_dir):
     """Which documents the text-only predecessor accepts: all bytes 9 to 126."""
