@@ -66,12 +66,24 @@ class Templates:
                 if spare <= 0:
                     first.add(t)
         self.first = sorted(first)
+        #: Most that a term adds to the shared mass of any template.
+        self.mass: dict[str, float] = {}
+        for _, _, t, x in self.rows:
+            self.mass[t] = max(self.mass.get(t, 0.0), x * x)
 
 
-def units(text: Column, first: list[str]) -> Column:
-    """Lines, and paragraphs of more than one line, that hold one of the ``first`` terms."""
+def units(text: Column, templates: Templates) -> Column:
+    """Lines, and paragraphs of more than one line, whose terms can reach the threshold: the cosine is at most the root of the shared mass."""
     paragraphs = F.filter(F.split(text, r"\n[ \t\r]*\n"), lambda p: p.contains("\n"))
-    return F.array_distinct(F.filter(F.concat(F.split(text, "\n"), paragraphs), lambda u: holds(u, first)))
+    vocabulary = F.lit(list(templates.mass))
+    mass = F.create_map(*[F.lit(x) for pair in templates.mass.items() for x in pair])
+    least = templates.threshold**2 * 0.999
+
+    def reaches(u: Column) -> Column:
+        shared = F.array_intersect(F.split(F.lower(u), "[^a-z0-9]+"), vocabulary)
+        return F.aggregate(shared, F.lit(0.0), lambda a, t: a + F.coalesce(F.element_at(mass, t), F.lit(0.0))) >= least
+
+    return F.array_distinct(F.filter(F.concat(F.split(text, "\n"), paragraphs), lambda u: holds(u, templates.first) & reaches(u)))
 
 
 def holds(text: Column, first: list[str]) -> Column:
@@ -83,8 +95,10 @@ def matches(files: DataFrame, templates: Templates) -> DataFrame:
     spark = files.sparkSession
     known = F.broadcast(spark.createDataFrame([(t, w) for t, w in templates.idf.items()], "term string, idf double"))
     weights = F.broadcast(spark.createDataFrame(templates.rows, "template int, license string, term string, weight double"))
-    found = files.where(F.col("path").isNotNull() & holds(F.col("text"), templates.first)).select("path", F.explode(units(F.col("text"), templates.first)).alias("unit")).distinct()
-    found = found.withColumn("term", F.explode(F.array_remove(F.split(F.lower("unit"), "[^a-z0-9]+"), ""))).where(~F.col("term").isin(*sorted(COMMON)))
+    found = files.where(F.col("path").isNotNull() & holds(F.col("text"), templates.first)).select("path", F.explode(units(F.col("text"), templates)).alias("words"))
+    # From here a unit is its digest and its terms; its text does not move.
+    found = found.select("path", F.unhex(F.md5("words")).alias("unit"), F.array_remove(F.split(F.lower("words"), "[^a-z0-9]+"), "").alias("terms")).dropDuplicates(["path", "unit"])
+    found = found.select("path", "unit", F.explode("terms").alias("term")).where(~F.col("term").isin(*sorted(COMMON)))
     tf = found.groupBy("path", "unit", "term").agg(F.count(F.lit(1)).alias("tf")).join(known, "term", "left")
     tf = tf.select("path", "unit", "term", (F.col("tf") * F.coalesce("idf", F.lit(templates.unseen))).alias("w"))
     norm = tf.groupBy("path", "unit").agg(F.sqrt(F.sum(F.col("w") * F.col("w"))).alias("norm"))
