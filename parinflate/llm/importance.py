@@ -5,8 +5,9 @@ own) are counted: one of target text, one of all text. A document's log weight i
 Gumbel variate from a hash of the row is added, and the k largest keys are the sample. ``k`` is the number of rows whose weight
 is not below the lower tail of the target's own weights, so text like the target stays and text unlike it goes.
 
-The counts cover every row; the target is the labelled rows of quality 1, at most about ``MOST_LABELLED`` of them by hash. Only the
-two tables of ``BUCKETS`` counts and counts of keys reach the driver.
+The counts cover every text once, however many rows hold it, so copies do not lower their own weight: rows are counted by how many
+hold their text and each count is divided by that number, which is exact. The target is the labelled rows of quality 1, at most about
+``MOST_LABELLED`` of them by hash; its texts count once too. Only the two tables of ``BUCKETS`` counts and counts of keys reach the driver.
 
 Defined results: null or empty texts have weight 0; rows that tie on the key at the cut stay together; without target rows all
 weights are 0 and every row stays. Columns beyond id and text are not read.
@@ -34,6 +35,8 @@ MOST_LABELLED = 200_000
 TAIL, MARGIN = 0.001, 4.0
 SEED = 77
 CACHE = 300_000
+#: Tables of counts that a task holds before it hands them on.
+MOST_HELD = 128
 _tokens = re.compile(r"\w+|[^\w\s]+").findall
 _K1, _K2, _REPEAT = np.uint64(0x9E3779B97F4A7C15), np.uint64(0xBF58476D1CE4E5B9), np.uint64(0x5BD1E995)
 
@@ -63,17 +66,32 @@ def grams(text: str | None) -> np.ndarray:
 
 
 def _count(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-    """(bucket, raw, target) counts of this task's rows."""
+    """(bucket, copies, raw, target) counts of this task's rows: raw by rows that hold the text, target by target rows that hold it."""
     claim("importance", _hashes.clear)
-    raw, target = np.zeros(BUCKETS, np.int64), np.zeros(BUCKETS, np.int64)
+    raw: dict[int, np.ndarray] = {}
+    target: dict[int, np.ndarray] = {}
+
+    def rows() -> Iterator[pa.RecordBatch]:
+        none = np.zeros(BUCKETS, np.int64)
+        for copies in sorted(raw.keys() | target.keys()):
+            r, t = raw.get(copies, none), target.get(copies, none)
+            at = np.flatnonzero(r + t)
+            yield pa.RecordBatch.from_arrays([pa.array(at), pa.array(np.full(len(at), copies)), pa.array(r[at]), pa.array(t[at])], ["bucket", "copies", "raw", "target"])
+        raw.clear()
+        target.clear()
+
     for batch in batches:
-        for text, good in zip(batch.column(0), batch.column(1), strict=True):
+        for text, good, n, m in zip(*batch.columns, strict=True):
             b = np.bincount(grams(text.as_py()), minlength=BUCKETS)
-            raw += b
-            if good.as_py():
-                target += b
-    at = np.flatnonzero(raw)
-    yield pa.RecordBatch.from_arrays([pa.array(at), pa.array(raw[at]), pa.array(target[at])], ["bucket", "raw", "target"])
+            for counts, copies in ((raw, n.as_py()), (target, m.as_py() if good.as_py() else 0)):
+                if copies:
+                    if copies in counts:
+                        counts[copies] += b
+                    else:
+                        counts[copies] = b
+        if len(raw) + len(target) > MOST_HELD:
+            yield from rows()
+    yield from rows()
 
 
 def sampled(labels: DataFrame, most: int, *key: str) -> DataFrame:
@@ -86,8 +104,13 @@ def fit(docs: DataFrame, labels: DataFrame, id_col: str = "doc_id", text_col: st
     """Log ratio of target to raw probability by bucket; zeros without a target."""
     ship(docs.sparkSession)
     good = sampled(labels.where(F.col("quality") == 1).select(F.col("doc_id").alias("good_id")).distinct(), most, "good_id")
-    flagged = docs.join(F.broadcast(good), docs[id_col] == F.col("good_id"), "left").select(F.col(text_col).cast("string").alias("text"), F.col("good_id").isNotNull().alias("good"))
-    rows = flagged.mapInArrow(_count, "bucket long, raw long, target long").groupBy("bucket").agg(F.sum("raw").alias("raw"), F.sum("target").alias("target")).collect()
+    flagged = docs.join(F.broadcast(good), docs[id_col] == F.col("good_id"), "left").select(F.col(text_col).cast("string").alias("text"), F.col("good_id").isNotNull().alias("good")).where("text <> ''")
+    flagged = flagged.withColumn("digest", F.unhex(F.md5("text")))
+    copied = flagged.groupBy("digest").agg(F.count(F.lit(1)).alias("n"), F.sum(F.col("good").cast("long")).alias("m")).where("n > 1")
+    # The digests of copied texts are few and thin: Spark broadcasts them, or joins by digest where they are many.
+    once = flagged.join(materialize(copied, "copied"), "digest", "left").select("text", "good", F.coalesce("n", F.lit(1)).alias("n"), F.coalesce("m", F.lit(1)).alias("m"))
+    counted = once.mapInArrow(_count, "bucket long, copies long, raw long, target long").groupBy("bucket", "copies").agg(F.sum("raw").alias("raw"), F.sum("target").alias("target"))
+    rows = counted.groupBy("bucket").agg(F.sum(F.expr("raw div copies")).alias("raw"), F.sum(F.expr("target div copies")).alias("target")).collect()
     raw, target = np.zeros(BUCKETS), np.zeros(BUCKETS)
     for r in rows:
         raw[r.bucket], target[r.bucket] = r.raw, r.target
@@ -141,17 +164,17 @@ class Resampler:
         self.id, self.text = id_col, text_col
         self.ratios = fit(docs, labels, id_col, text_col, most)
         self.score = _scorer(self.ratios)
-        thin = docs.select(F.col(id_col).alias("id"), F.xxhash64(id_col, text_col).alias("row"), self.score(F.col(text_col).cast("string")).alias("log_weight"), key(F.lit(0.0), F.col(id_col), F.col(text_col)).alias("gumbel"))
-        self.keys = materialize(thin.select("id", "log_weight", (F.col("log_weight") + F.col("gumbel")).alias("key")), "importance")
+        thin = docs.select(F.col(id_col).alias("id"), F.xxhash64(text_col).alias("text"), self.score(F.col(text_col).cast("string")).alias("log_weight"), key(F.lit(0.0), F.col(id_col), F.col(text_col)).alias("gumbel"))
+        self.keys = materialize(thin.select("id", "text", "log_weight", (F.col("log_weight") + F.col("gumbel")).alias("key")), "importance")
         good = sampled(labels.where(F.col("quality") == 1).select(F.col("doc_id").alias("id")).distinct(), most, "id")
-        tail = self.keys.join(F.broadcast(good), "id", "left_semi").agg(F.percentile_approx("log_weight", TAIL, 100_000).alias("t")).first()["t"]
+        tail = self.keys.join(F.broadcast(good), "id", "left_semi").dropDuplicates(["text"]).agg(F.percentile_approx("log_weight", TAIL, 100_000).alias("t")).first()["t"]
         self.floor = -math.inf if tail is None or not self.ratios.any() else tail - MARGIN
         self.k = self.keys.where(F.col("log_weight") >= self.floor).count()
         self.cut = kth_largest(self.keys, "key", self.k)
 
     def marked(self) -> DataFrame:
         """(id, log_weight, key, kept) of every row."""
-        return self.keys.withColumn("kept", F.col("key") >= self.cut)
+        return self.keys.drop("text").withColumn("kept", F.col("key") >= self.cut)
 
     def sample(self, docs: DataFrame) -> DataFrame:
         """The rows of ``docs`` in the sample, scored again where they are instead of joined: no text moves."""

@@ -4,6 +4,7 @@ import re
 import pytest
 from pyspark.sql import functions as F
 
+import corpus_pipeline
 from parinflate.llm import components, exact_dedup, html_extract, importance, licenses, minhash_dedup, mixing, quality_rules, toxicity
 
 DOCS = "doc_id long, text string, lang string, source string, n_chars long"
@@ -144,6 +145,21 @@ def test_importance(spark, odd, sf):
     assert none.sample(odd).count() == odd.count() and none.sample(odd).columns == odd.columns
 
 
+def test_a_hot_group_of_copies_keeps_a_representative(spark, sf):
+    docs, labels = spark.read.parquet(f"{sf}/documents.parquet"), spark.read.parquet(f"{sf}/labels.parquet")
+    kept = importance.Resampler(docs, labels).marked().where("kept").join(labels.withColumnRenamed("doc_id", "id"), "id", "left_anti")
+    at = [r.id for r in kept.join(docs, F.col("id") == F.col("doc_id")).where("n_chars BETWEEN 1500 AND 8000").orderBy(F.desc("log_weight"), "id").limit(3).select("id").collect()]
+    assert len(at) == 3
+    # Each document once more with 40 and once with 400 copies, all without labels, some of them whole rows.
+    for copies in (40, 400):
+        hot = docs.where(F.col("doc_id").isin(at)).withColumn("k", F.explode(F.sequence(F.lit(1), F.lit(copies))))
+        hot = hot.withColumn("doc_id", F.lit(10_000_000) + F.col("doc_id") * 1000 + F.col("k") - F.col("k") % 2).drop("k")
+        stay = corpus_pipeline.quality(spark, docs.union(hot), sf)
+        assert exact_dedup.survivors(stay).join(docs.where(F.col("doc_id").isin(at)).select("text"), "text", "left_semi").count() == 3
+        want, got = importance.fit(docs, labels), importance.fit(docs.union(hot), labels)
+        assert (want == got).all()
+
+
 def test_toxicity(spark, odd, sf):
     bad, groups = ["vileword", "foulword"], ["women", "men", "muslims"]
     rows = [(i, f"some plain text number{i} about the {groups[i % 3]} here" + (f" you {bad[i % 2]}" if i % 4 == 0 or i % 3 == 0 and i % 7 == 0 else "")) for i in range(1200)]
