@@ -134,15 +134,17 @@ def scan(files: DataFrame, templates: Templates | None = None) -> DataFrame:
 
 
 def document_path(id_: Column, source: Column) -> Column:
-    """A path for each document: sources are trees of directories of ten, and of a hundred tens; each directory's first is its licence file.
+    """A path for each document: sources are trees of a directory for each thousand ids and in it one for each two hundred.
 
-    A row without id lies in its source's root.
+    A hash of the id makes one row in ten a licence file, three of four in the lower directory and one in the upper. A row without
+    id lies in its source's root.
     """
     root = F.concat(F.coalesce(source, F.lit("none")), F.lit("/"))
-    high, mid = F.floor(id_ / 1000).cast("string"), F.floor(F.pmod(id_, F.lit(1000)) / 10).cast("string")
-    name = F.concat(F.lit("d"), id_.cast("string"), F.lit(".txt"))
-    path = F.when(F.pmod(id_, F.lit(1000)) == 0, F.concat(root, high, F.lit("/LICENSE"))).when(F.pmod(id_, F.lit(10)) == 0, F.concat(root, high, F.lit("/"), mid, F.lit("/LICENSE")))
-    return F.coalesce(path.otherwise(F.concat(root, high, F.lit("/"), mid, F.lit("/"), name)), F.concat(root, F.lit("unnamed.txt")))
+    high, mid = F.floor(id_ / 1000).cast("string"), F.floor(F.pmod(id_, F.lit(1000)) / 200).cast("string")
+    upper, draw, name = F.concat(root, high, F.lit("/")), F.pmod(F.xxhash64(id_), F.lit(40)), id_.cast("string")
+    lower = F.concat(upper, mid, F.lit("/"))
+    path = F.when(draw == 0, F.concat(upper, F.lit("LICENSE-"), name)).when(draw < 4, F.concat(lower, F.lit("LICENSE-"), name))
+    return F.coalesce(path.otherwise(F.concat(lower, F.lit("d"), name, F.lit(".txt"))), F.concat(root, F.lit("unnamed.txt")))
 
 
 def op5_license_scan(spark: SparkSession, sf_dir: str) -> DataFrame:

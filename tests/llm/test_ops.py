@@ -214,6 +214,17 @@ def test_licences(spark):
     assert got == {"a/LICENSE": ("MIT", "file", None), "a/x/f.py": ("Apache-2.0", "header", None), "a/x/g.py": ("GPL-3.0", "inherited", "a/x"), "b/h.py": (None, "none", None), "a/x/COPYING.txt": ("GPL-3.0", "file", None), "a/x/y/z.py": ("GPL-3.0", "inherited", "a/x")}
 
 
+def test_documents_inherit_licences(spark):
+    got = licenses.op5_license_scan(spark, "/root/testdata/sf0.01").collect()
+    assert len(got) == len({r.path for r in got}) == 1000
+    inherited = [r for r in got if r.how == "inherited"]
+    assert inherited and all(r.path.startswith(r.from_dir + "/") for r in inherited)
+    # The licence comes from a licence file of that directory.
+    held = {(r.path.rsplit("/", 1)[0], r.license) for r in got if r.how == "file"}
+    assert {(r.from_dir, r.license) for r in inherited} <= held
+    print("op5 counts", sorted(collections.Counter(r.how for r in got).items()), len({r.path.rsplit("/", 1)[0] for r in got}))
+
+
 def test_licence_filter_loses_nothing(spark):
     """Every unit that reaches the threshold holds one of the terms that filter."""
     t = licenses.Templates()
