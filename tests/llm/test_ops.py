@@ -214,6 +214,31 @@ def test_licences(spark):
     assert got == {"a/LICENSE": ("MIT", "file", None), "a/x/f.py": ("Apache-2.0", "header", None), "a/x/g.py": ("GPL-3.0", "inherited", "a/x"), "b/h.py": (None, "none", None), "a/x/COPYING.txt": ("GPL-3.0", "file", None), "a/x/y/z.py": ("GPL-3.0", "inherited", "a/x")}
 
 
+HEADERS = {
+    "Copyright (c) 2024 Example Corp. Released under the MIT License.": "MIT",
+    "# SPDX-License-Identifier: Apache-2.0": "Apache-2.0",
+    "/* SPDX-License-Identifier: GPL-2.0-or-later */": "GPL-2.0",
+    "// SPDX-License-Identifier: MIT OR Apache-2.0": "MIT OR Apache-2.0",
+    "# SPDX-License-Identifier: ISC\nReleased under the MIT License.": "ISC",
+    "GNU GENERAL PUBLIC LICENSE Version 3, 29 June 2007": "GPL-3.0",
+    "GNU LESSER GENERAL PUBLIC LICENSE\nVersion 2.1, February 1999": "LGPL-2.1",
+    "Apache License Version 2.0, January 2004": "Apache-2.0",
+    "plain words\nAll rights reserved.": "All-Rights-Reserved",
+    "Copyright 2024 A B. All rights reserved.\nRedistribution and use in source and binary forms, with or without modification, are permitted provided that the following conditions are met:": "BSD-3-Clause",
+    "all of us were right to go there": None,
+    "text of a story without any terms": None,
+}
+
+
+def test_headers_of_real_files(spark, sf):
+    rows = [(f"h/{k}.txt", x) for k, x in enumerate(HEADERS)]
+    docs = spark.read.parquet(f"{sf}/documents.parquet").select(F.concat(F.lit("p/"), "doc_id").alias("path"), "text")
+    got = {r.path: r.license for r in licenses.scan(docs.union(spark.createDataFrame(rows, "path string, text string"))).collect()}
+    assert {x: got[f"h/{k}.txt"] for k, x in enumerate(HEADERS)} == HEADERS
+    reserved = {f"p/{r.doc_id}" for r in spark.read.parquet(f"{sf}/documents.parquet").collect() if (r.text or "").split("\n")[-1] == "All rights reserved."}
+    assert all(got[p] for p in reserved)
+
+
 def test_documents_inherit_licences(spark):
     got = licenses.op5_license_scan(spark, "/root/testdata/sf0.01").collect()
     assert len(got) == len({r.path for r in got}) == 1000
