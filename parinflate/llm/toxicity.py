@@ -91,35 +91,51 @@ class _Hits(dict):
         return v
 
     def of(self, text: str | None) -> list[int]:
-        ts = tokens(text)
+        return self.of_tokens(tokens(text))
+
+    def of_tokens(self, ts: set[str]) -> list[int]:
         found = [f for hit in filter(None, map(self.__getitem__, ts)) for f in hit]
         return sorted(self.chosen[f] for f in present(found, len(ts)) if f in self.chosen) if found else []
 
 
+def swaps(text: str | None, hits: _Hits, terms: dict[str, tuple[str, ...]] = IDENTITY) -> list[tuple[list[int], list[int]]]:
+    """What each swap of an identity term of a text for another of its language takes from the text's features and adds to them."""
+    ts = tokens(text)
+    words = {t: _edges.sub("", t) for t in ts}
+    here = set(words.values())
+    if not any(here.intersection(group) for group in terms.values()):
+        return []
+    old, out = set(hits.of_tokens(ts)), []
+    for group in terms.values():
+        for a in sorted(here.intersection(group)):
+            for b in group:
+                if a != b:
+                    new = set(hits.of_tokens({t.replace(a, b) if words[t] == a else t for t in ts}))
+                    if new != old:
+                        out.append((sorted(old - new), sorted(new - old)))
+    return out
+
+
 def _active(chosen: dict[str, int]) -> Callable:
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         hits = _Hits(chosen)
+        kind = pa.list_(pa.struct([("out", pa.list_(pa.int32())), ("new", pa.list_(pa.int32()))]))
         for batch in batches:
-            yield pa.RecordBatch.from_arrays([batch.column(1), pa.array([hits.of(x.as_py()) for x in batch.column(0)], pa.list_(pa.int32()))], ["toxic", "active"])
+            texts = batch.column(0).to_pylist()
+            changes = [[{"out": o, "new": n} for o, n in swaps(x, hits)] for x in texts]
+            yield pa.RecordBatch.from_arrays([batch.column(1), pa.array([hits.of(x) for x in texts], pa.list_(pa.int32())), pa.array(changes, kind)], ["toxic", "active", "changes"])
 
     return run
 
 
-def swaps(chosen: dict[str, int], terms: dict[str, tuple[str, ...]] = IDENTITY) -> list[tuple[tuple[int, ...], tuple[int, ...]]]:
-    """What a swap of two terms of a language takes from a sentence's features and adds to them."""
-    of = lambda w: {chosen[f] for f in features(w) if f in chosen}
-    return [(tuple(of(a) - of(b)), tuple(of(b) - of(a))) for group in terms.values() for a in group for b in group if a < b]
-
-
-def train(rows: list[tuple[int, list[int]]], n_features: int, pairs: list, ridge: float = 1e-2, swap: float = 1.0, steps: int = 400, rate: float = 0.1) -> tuple[np.ndarray, float]:
-    """Weights and bias by full-batch gradient steps with momentum and per-weight scale; the swap penalty is the mean squared change of the logit, weighted by how many rows hold a term of the pair."""
+def train(rows: list[tuple[int, list[int]]], n_features: int, pairs: Counter, ridge: float = 1e-2, swap: float = 1.0, steps: int = 400, rate: float = 0.1) -> tuple[np.ndarray, float]:
+    """Weights and bias by full-batch gradient steps with momentum and per-weight scale; the swap penalty is the squared change of the logit, weighted by how many swaps of a row's term make this change."""
     y = np.array([r[0] for r in rows], float)
     row = np.repeat(np.arange(len(rows)), [len(r[1]) for r in rows])
     col = np.array([i for r in rows for i in r[1]], int)
-    held = np.bincount(col, minlength=n_features)
     w, b = np.zeros(n_features + 1), math.log((y.sum() + 1) / (len(y) - y.sum() + 1))
     m, v = np.zeros(n_features + 2), np.zeros(n_features + 2)
-    change = [(np.array(out, int), np.array(new, int), max(1, int(held[list(out + new)].max(initial=1))) / len(rows)) for out, new in pairs if out or new]
+    change = [(np.array(out, int), np.array(new, int), n / len(rows)) for (out, new), n in sorted(pairs.items())]
     for t in range(1, steps + 1):
         z = b + np.bincount(row, w[:-1][col], minlength=len(rows))
         g = (1 / (1 + np.exp(-np.clip(z, -30, 30))) - y) / len(rows)
@@ -169,8 +185,9 @@ def fit(docs: DataFrame, labels: DataFrame, id_col: str = "doc_id", text_col: st
         return Model({}, np.zeros(0), -math.inf)
     names = choose(rows.mapInArrow(_counts, "feature string, toxic long, clean long"), n[1], max(1, n.get(0, 0)))
     chosen = {f: i for i, f in enumerate(dict.fromkeys([*names, *(t for group in IDENTITY.values() for t in group)]))}
-    active = rows.mapInArrow(_active(chosen), "toxic int, active array<int>").collect()
-    return Model(chosen, *train([(r.toxic, list(r.active)) for r in active], len(chosen), swaps(chosen)))
+    active = rows.mapInArrow(_active(chosen), "toxic int, active array<int>, changes array<struct<out: array<int>, new: array<int>>>").collect()
+    changes = Counter((tuple(c.out), tuple(c.new)) for r in active for c in r.changes)
+    return Model(chosen, *train([(r.toxic, list(r.active)) for r in active], len(chosen), changes))
 
 
 def _score(model: Model) -> Callable:

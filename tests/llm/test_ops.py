@@ -176,6 +176,18 @@ def test_toxicity(spark, odd, sf):
     assert toxicity.op2_toxicity(spark, sf).count() == real.count()
 
 
+def test_swaps_of_texts_cover_derived_features():
+    chosen = {"women": 0, "men": 1, "wom-": 2, "wom-|2": 3, "wom-|d": 4, "vile": 5}
+    hits = toxicity._Hits(chosen)
+    found = toxicity.swaps("the Women, and a womanly vile word", hits)
+    assert ([0, 3, 4], [1]) in found and toxicity.swaps("no term", hits) == []
+    # All weight lies on the derived features; the penalty shrinks what a swap changes.
+    rows = [(1, hits.of("women womanly")), (0, hits.of("men womanly"))] * 50
+    changes = collections.Counter((tuple(o), tuple(n)) for x in ["women womanly", "men womanly"] * 50 for o, n in toxicity.swaps(x, hits))
+    gap = lambda w: abs(w[rows[0][1]].sum() - w[rows[1][1]].sum())
+    assert gap(toxicity.train(rows, len(chosen), changes)[0]) < 0.3 * gap(toxicity.train(rows, len(chosen), collections.Counter())[0])
+
+
 PAGES = {
     "<html><head><title>T</title><style>p{}</style></head><body><nav><ul><li><a>Home</a></ul></nav><article><h1>A &amp; B</h1><p>One   two\nthree.<p>Of.</article><footer>&copy; x": "A & B\nOne two three.\nOf.",
     "<div class=ad>Buy this now, it is very cheap and good for you.</div><main><p>Real text of the page is here.</p><aside>See also other things.</aside><form>Name <input></form><section id='comments'><p>I liked this text a lot, thanks for it!</p></section></main>": "Real text of the page is here.",
