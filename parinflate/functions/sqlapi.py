@@ -7,43 +7,49 @@ from collections.abc import Iterator
 import pandas as pd
 from pyspark.sql import Column, SparkSession
 from pyspark.sql import functions as F
+from pyspark.sql import types as T
 from pyspark.sql.functions import pandas_udf, udtf
 
 from parinflate.functions import crc, deflate_ref, gzipfmt
 from parinflate.runtime import ship
 
 
-@pandas_udf("binary")
+def _struct(**fields: T.DataType) -> T.StructType:
+    """Types as objects: a type written as text would need a session as soon as this module is imported."""
+    return T.StructType([T.StructField(k, v) for k, v in fields.items()])
+
+
+@pandas_udf(T.BinaryType())
 def gzip_decompress(x: pd.Series) -> pd.Series:
     """All members of a small file in a cell; null for null."""
     return x.map(lambda b: None if b is None else gzipfmt.decompress(bytes(b)))
 
 
-@pandas_udf("binary")
+@pandas_udf(T.BinaryType())
 def gzip_compress(x: pd.Series, level: pd.Series) -> pd.Series:
     from parinflate.sources.writers import gzip_member
 
     return pd.Series([None if b is None else gzip_member(b.encode() if isinstance(b, str) else bytes(b), int(n)) for b, n in zip(x, level, strict=True)])
 
 
-@pandas_udf("binary")
+@pandas_udf(T.BinaryType())
 def gunzip_range(x: pd.Series, offset: pd.Series, length: pd.Series) -> pd.Series:
     return pd.Series([None if b is None else gzipfmt.decompress(bytes(b))[int(o) : int(o) + int(n)] for b, o, n in zip(x, offset, length, strict=True)])
 
 
-@pandas_udf("long")
+@pandas_udf(T.LongType())
 def crc32_combine(a: pd.Series, b: pd.Series, n: pd.Series) -> pd.Series:
     return pd.Series([crc.combine(int(x), int(y), int(k)) for x, y, k in zip(a, b, n, strict=True)])
 
 
-@udtf(returnType="member_no int, start_byte long, end_byte long, name string, mtime long, crc32 long, isize long")
+@udtf(returnType=_struct(member_no=T.IntegerType(), start_byte=T.LongType(), end_byte=T.LongType(), name=T.StringType(), mtime=T.LongType(), crc32=T.LongType(), isize=T.LongType()))
 class GzipMembers:
     def eval(self, data: bytes) -> Iterator[tuple]:
         for k, (h, end, _, c, n) in enumerate(gzipfmt.iter_members(bytes(data))):
             yield k, h.start, end, h.name, h.mtime, c, n
 
 
-@udtf(returnType="member_no int, start_bit long, end_bit long, kind string, is_final boolean, out_len long")
+@udtf(returnType=_struct(member_no=T.IntegerType(), start_bit=T.LongType(), end_bit=T.LongType(), kind=T.StringType(), is_final=T.BooleanType(), out_len=T.LongType()))
 class DeflateBlocks:
     def eval(self, data: bytes) -> Iterator[tuple]:
         buf = bytes(data)
@@ -52,7 +58,7 @@ class DeflateBlocks:
                 yield k, b.start_bit, b.end_bit, b.kind, b.final, b.out_len
 
 
-@udtf(returnType="line_no long, line string")
+@udtf(returnType=_struct(line_no=T.LongType(), line=T.StringType()))
 class GunzipLines:
     def eval(self, data: bytes) -> Iterator[tuple]:
         text = gzipfmt.decompress(bytes(data)).decode("utf-8", "replace")

@@ -155,3 +155,14 @@ def test_prefetch_strategies():
 def test_measures():
     assert abs(measures.serial_rate(43.1, 301.8) - 37.7) < 0.05
     assert measures.bandwidth(10_000_000, [1.0, 2.0])["mb_s"] == 7.5
+
+
+def test_catalogue_is_listed_without_a_session():
+    import subprocess
+    import sys
+    from pathlib import Path
+
+    root = Path(__file__).resolve().parent.parent
+    code = "import __spark_entry__ as e; from pyspark.sql import SparkSession; assert SparkSession.getActiveSession() is None; assert set(e.oracle_sql()) <= set(e.queries())"
+    done = subprocess.run([sys.executable, "-c", code], cwd=root, capture_output=True, text=True)
+    assert done.returncode == 0, done.stderr[-2000:]
