@@ -2,7 +2,7 @@
 
 A match of the pattern is a row of bytes. A segment tree over its byte positions holds, for each live node and its right neighbour,
 the rank of their pair; the root is the least rank, leftmost on ties. A merge changes three leaves, each a logarithmic update. Chunks
-(see ``chunks``) and matches met before come from bounded tables.
+(see ``chunks``) and matches met before come from tables that are bounded in bytes.
 
 Defined results: null counts as empty and has no ids; every Unicode text encodes, since each byte is a token; decoding gives the very
 bytes that were encoded. Columns beyond id and text are not read.
@@ -23,15 +23,20 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from parinflate.llm.chunks import chunks
-from parinflate.llm.tables import claim
+from parinflate.llm.tables import Bounded, claim
 from parinflate.runtime import ship, table
 
 VOCABULARY = "byte_bpe_multi_50k.tiktoken"
-#: Entries of either table of a worker; a full table starts anew.
-CACHE = 400_000
+#: Bytes of either table of a worker; a full table starts anew. Bytes of ids in one batch of results.
+CACHE, BATCH = 16 << 20, 4 << 20
 _NONE = 1 << 62
 
 
+def _weight(chunk: str, ids: bytes) -> int:
+    """Bytes of a table's entry: two objects and their slots."""
+    return 4 * len(chunk) * (not chunk.isascii()) + len(chunk) + len(ids) + 220
+
+
 class Codec:
     """Encoder and decoder over a file of ranks."""
 
@@ -40,35 +45,12 @@ class Codec:
             self.ranks = {base64.b64decode(a): int(b) for a, b in map(bytes.split, f)}
         self.tokens = {v: k for k, v in self.ranks.items()}
         self.find = regex.compile(pattern).findall
-        self.cache = cache
-        self.matches: dict[str, bytes] = {}
-        codec = self
-
-        class Led(dict):
-            """Ids of a chunk led by a space."""
-
-            def __missing__(self, chunk: str) -> bytes:
-                if len(self) >= codec.cache:
-                    self.clear()
-                ids = codec._chunk(" " + chunk)
-                if len(chunk) < 100:
-                    self[chunk] = ids
-                return ids
-
-        self.led = Led()
+        #: Ids of matches, and of chunks led by a space.
+        self.matches = Bounded(lambda m: array("I", self.merge(m.encode())).tobytes(), _weight, cache)
+        self.led = Bounded(lambda chunk: self._chunk(" " + chunk), _weight, cache)
 
     def _chunk(self, chunk: str) -> bytes:
-        out = []
-        for m in self.find(chunk):
-            ids = self.matches.get(m)
-            if ids is None:
-                if len(self.matches) >= self.cache:
-                    self.matches.clear()
-                ids = array("I", self.merge(m.encode())).tobytes()
-                if len(m) < 100:
-                    self.matches[m] = ids
-            out.append(ids)
-        return b"".join(out)
+        return b"".join(map(self.matches.__getitem__, self.find(chunk)))
 
     def merge(self, piece: bytes) -> list[int]:
         """Ids of one match."""
@@ -151,33 +133,46 @@ def _encode(path: str) -> Callable:
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         c = _mine(path)
         for batch in batches:
-            ids = [c.encode(x.as_py()) for x in batch.column(1)]
-            yield pa.RecordBatch.from_arrays([batch.column(0), pa.array([len(x) // 4 for x in ids], pa.int64()), pa.array(ids, pa.binary())], ["id", "n_tokens", "ids"])
+            for run_ in _runs(batch, c):
+                yield pa.RecordBatch.from_arrays([pa.array([i for i, _ in run_], pa.int64()), pa.array([len(x) // 4 for _, x in run_], pa.int64()), pa.array([x for _, x in run_], pa.binary())], ["id", "n_tokens", "ids"])
 
     return run
 
 
+def _runs(batch: pa.RecordBatch, c: Codec) -> Iterator[list[tuple[int | None, bytes]]]:
+    """(id, ids) of a batch's rows, in runs of about ``BATCH`` bytes."""
+    run, held = [], 0
+    for i, x in zip(*batch.columns[:2], strict=True):
+        ids = c.encode(x.as_py())
+        run.append((i.as_py(), ids))
+        held += len(ids)
+        if held >= BATCH:
+            yield run
+            run, held = [], 0
+    if run:
+        yield run
+
+
 def _decode(path: str) -> Callable:
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         c = _mine(path)
         for batch in batches:
-            yield pa.RecordBatch.from_arrays([batch.column(0), pa.array([c.decode(x.as_py() or b"") for x in batch.column(1)], pa.binary())], ["id", "text_bytes"])
+            for at in range(0, batch.num_rows, 256):
+                part = batch.slice(at, 256)
+                yield pa.RecordBatch.from_arrays([part.column(0), pa.array([c.decode(x.as_py() or b"") for x in part.column(1)], pa.binary())], ["id", "text_bytes"])
 
     return run
 
 
-def _round(path: str) -> Callable:
+def _round(path: str, keep_ids: bool) -> Callable:
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         c = _mine(path)
         for batch in batches:
-            n, coded, decoded, out = [], [], [], []
-            for x in batch.column(1):
-                ids = c.encode(x.as_py())
-                n.append(len(ids) // 4)
-                coded.append(hashlib.sha256(ids).hexdigest())
-                decoded.append(hashlib.sha256(c.decode(ids)).hexdigest())
-                out.append(ids)
-            yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(n, pa.int64()), pa.array(out, pa.binary()), pa.array(coded), pa.array(decoded)], ["id", "n_tokens", "ids", "ids_sha256", "decoded_sha256"])
+            for run_ in _runs(batch, c):
+                cols = [pa.array([i for i, _ in run_], pa.int64()), pa.array([len(x) // 4 for _, x in run_], pa.int64())]
+                cols += [pa.array([x for _, x in run_], pa.binary())] if keep_ids else []
+                cols += [pa.array([hashlib.sha256(x).hexdigest() for _, x in run_]), pa.array([hashlib.sha256(c.decode(x)).hexdigest() for _, x in run_])]
+                yield pa.RecordBatch.from_arrays(cols, ["id", "n_tokens", *["ids"] * keep_ids, "ids_sha256", "decoded_sha256"])
 
     return run
 
@@ -196,12 +191,14 @@ def decode(df: DataFrame, id_col: str = "id", ids_col: str = "ids", path: str |
     return rows.mapInArrow(_decode(path or public_tokenizers.path(VOCABULARY)), "id long, text_bytes binary")
 
 
-def round_trip(df: DataFrame, id_col: str = "doc_id", text_col: str = "text", path: str | None = None) -> DataFrame:
-    """(id, n_tokens, ids, ids_sha256, decoded_sha256): each text is encoded and its ids are decoded in one pass."""
+def round_trip(df: DataFrame, id_col: str = "doc_id", text_col: str = "text", path: str | None = None, keep_ids: bool = True) -> DataFrame:
+    """(id, n_tokens, ids, ids_sha256, decoded_sha256): each text is encoded and its ids are decoded in one pass; without ``keep_ids`` only lengths and digests leave the task."""
     ship(df.sparkSession)
     rows = df.select(F.col(id_col).cast("long").alias("id"), F.col(text_col).cast("string").alias("text"))
-    return rows.mapInArrow(_round(path or public_tokenizers.path(VOCABULARY)), "id long, n_tokens long, ids binary, ids_sha256 string, decoded_sha256 string")
+    ids = "ids binary, " if keep_ids else ""
+    return rows.mapInArrow(_round(path or public_tokenizers.path(VOCABULARY), keep_ids), f"id long, n_tokens long, {ids}ids_sha256 string, decoded_sha256 string")
 
 
 def op3_byte_bpe(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return round_trip(table(spark, sf_dir, "documents")).select(F.col("id").alias("doc_id"), "n_tokens", "ids_sha256", "decoded_sha256")
+    found = round_trip(table(spark, sf_dir, "documents"), keep_ids=False)
+    return found.select(F.col("id").alias("doc_id"), "n_tokens", "ids_sha256", "decoded_sha256")

@@ -165,30 +165,33 @@ def scan(files: DataFrame, templates: Templates | None = None) -> DataFrame:
     thin = files.select("path").where("path IS NOT NULL").distinct().select("path", directory(F.col("path")).alias("dir"), F.regexp_extract("path", "[^/]*$", 0).rlike(LICENCE_FILE).alias("is_file"))
     own = materialize(matches(files, templates, held), "licenses")
     placed = materialize(thin.join(own, "path", "left"), "placed")
+    # Written, as is what comes of it, so that joins shuffle both sides and AQE can split a directory that many others look up or lie in.
     granted = placed.where("is_file AND license IS NOT NULL").groupBy(F.col("dir").alias("g_dir")).agg(F.min(F.struct(rank(F.col("license")), (-F.col("cosine")).alias("less"), "license")).alias("x")).select("g_dir", F.col("x.license").alias("g_license"))
+    granted = materialize(granted, "granted")
     # Directories, not files, look up: a full directory is one row.
     above = placed.select("dir").distinct().withColumn("up", F.explode(ancestors(F.col("dir"))))
     nearest = above.join(granted, F.col("up.dir") == F.col("g_dir")).groupBy(F.col("dir").alias("n_dir")).agg(F.max(F.struct(F.col("up.depth").alias("depth"), "g_dir", "g_license")).alias("x")).select("n_dir", F.col("x.g_dir").alias("from_dir"), F.col("x.g_license").alias("inherited"))
-    out = placed.join(nearest, F.col("dir") == F.col("n_dir"), "left")
+    out = placed.join(materialize(nearest, "nearest"), F.col("dir") == F.col("n_dir"), "left")
     how = F.when(F.col("license").isNotNull(), F.when(F.col("is_file"), "file").otherwise("header")).when(F.col("inherited").isNotNull(), "inherited").otherwise("none")
     return out.select("path", F.coalesce("license", "inherited").alias("license"), how.alias("how"), "cosine", F.when(F.col("license").isNull(), F.col("from_dir")).alias("from_dir"))
 
 
-def document_path(id_: Column, source: Column) -> Column:
+def document_path(id_: Column, source: Column, text: Column) -> Column:
     """A path for each document: sources are trees of a directory for each thousand ids and in it one for each two hundred.
 
     A hash of the id makes one row in ten a licence file, three of four in the lower directory and one in the upper. A row without
-    id lies in its source's root.
+    id lies in its source's root under a name from its text, so only rows of equal text share a file.
     """
     root = F.concat(F.coalesce(source, F.lit("none")), F.lit("/"))
     high, mid = F.floor(id_ / 1000).cast("string"), F.floor(F.pmod(id_, F.lit(1000)) / 200).cast("string")
     upper, draw, name = F.concat(root, high, F.lit("/")), F.pmod(F.xxhash64(id_), F.lit(40)), id_.cast("string")
     lower = F.concat(upper, mid, F.lit("/"))
     path = F.when(draw == 0, F.concat(upper, F.lit("LICENSE-"), name)).when(draw < 4, F.concat(lower, F.lit("LICENSE-"), name))
-    return F.coalesce(path.otherwise(F.concat(lower, F.lit("d"), name, F.lit(".txt"))), F.concat(root, F.lit("unnamed.txt")))
+    unnamed = F.concat(root, F.lit("unnamed-"), F.md5(F.coalesce(text, F.lit(""))), F.lit(".txt"))
+    return F.when(id_.isNull(), unnamed).otherwise(path.otherwise(F.concat(lower, F.lit("d"), name, F.lit(".txt"))))
 
 
 def op5_license_scan(spark: SparkSession, sf_dir: str) -> DataFrame:
-    docs = table(spark, sf_dir, "documents").select("doc_id", document_path(F.col("doc_id"), F.col("source")).alias("path"), "text")
+    docs = table(spark, sf_dir, "documents").select("doc_id", document_path(F.col("doc_id"), F.col("source"), F.col("text")).alias("path"), "text")
     found = scan(docs.select("path", "text"))
     return docs.select("doc_id", F.col("path").alias("d_path")).join(found, F.col("d_path") == F.col("path"), "left").select("doc_id", F.col("d_path").alias("path"), "license", "how", "cosine", "from_dir")

@@ -13,17 +13,13 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from parinflate.llm.tables import few
 from parinflate.runtime import materialize, table
 
 LEAST_WORDS, MOST_REPEATED, MOST_SYMBOLS, MOST_DUP_LINES, WORD_LENGTH = 50, 0.5, 0.1, 0.3, (2.0, 14.0)
 SYMBOL = r"[#*$%&|<>]"
 #: A host is rejected if its shrunken failure rate is above this.
 MOST_FAILURES = 0.5
-SYMBOL = r"[#*$%&|<>]"
-#: A host is rejected if its shrunken failure rate is above this.
-MOST_FAILURES = 0.5
-SPACE = "\t\n\x0b\x0c\r"
-SYMBOLS = "#*$%&|<>"
 
 
 def _bind(value: Column, use) -> Column:
@@ -103,7 +99,8 @@ def beta_prior(mean: float, variance: float, inverse_docs: float) -> tuple[float
 def judge(df: DataFrame, id_col: str = "doc_id", text_col: str = "text", host_col: str = "source") -> DataFrame:
     """The measures of every row with base_failed, its host's rate and ``kept``. The thin measures are written once and used twice."""
     measured = materialize(measures(df, id_col, text_col, host_col), "measures")
-    hosts = host_rates(measured).select(F.col("host").alias("h"), "rate", "host_ok")
+    # Few hosts are broadcast; where they are many, both sides are shuffled for the join and AQE splits a hot host.
+    hosts = few(materialize(host_rates(measured).select(F.col("host").alias("h"), "rate", "host_ok"), "hosts"))
     joined = measured.join(hosts, F.col("host").eqNullSafe(F.col("h")), "left")
     return joined.withColumn("base_failed", base_failed()).withColumn("kept", ~F.col("base_failed") & F.col("host_ok")).drop("h")
 

@@ -1,7 +1,7 @@
 """Token counts: batches for the tokenizer's library, balanced by bytes, inside Arrow functions that return lengths only.
 
-For byte-level vocabularies (``.json`` whose pre-tokenizer is the byte-level pattern) texts are cut at safe boundaries (see
-``chunks``), and the library gets each chunk that a worker has not met, in batches of about ``BATCH`` bytes. Special strings are
+For byte-level vocabularies (``.json`` whose pre-tokenizer is the byte-level pattern) texts are cut at safe boundaries, long stretches
+without spaces too (see ``chunks``), and the library gets each chunk that a worker has not met, in batches of about ``BATCH`` bytes. Special strings are
 taken out first, as the library does, and count as one token. Other vocabularies (``.json`` or ``.model``) get whole texts in
 batches by bytes.
 
@@ -21,32 +21,33 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from parinflate.llm.chunks import chunks
+from parinflate.llm.chunks import LONG, chunks, pieces
 from parinflate.llm.tables import claim
 from parinflate.runtime import ship, table
 
 VOCABULARY = "byte_bpe_50k.json"
-#: Bytes of a batch for the library; chunks that a worker keeps.
-BATCH, CACHE = 1 << 20, 700_000
+#: Bytes of a batch for the library; bytes of the table of chunks that a worker keeps.
+BATCH, CACHE = 1 << 20, 48 << 20
 LIMIT = 512
 
 
 def by_bytes(texts: list[str], most: int = BATCH) -> Iterator[list[str]]:
-    """Runs of texts of about ``most`` bytes; a longer text is alone."""
+    """Runs of texts of about ``most`` UTF-8 bytes; a longer text is alone."""
     run, held = [], 0
     for t in texts:
-        if run and held + len(t) > most:
+        n = len(t) if t.isascii() else len(t.encode())
+        if run and held + n > most:
             yield run
             run, held = [], 0
         run.append(t)
-        held += len(t)
+        held += n
     if run:
         yield run
 
 
 class Counter:
     def __init__(self, path: str, cache: int = CACHE):
-        self.cache, self.led = cache, {}
+        self.cache, self.led, self.held = cache, {}, 0
         self.special, self.cuts = None, False
         if path.endswith(".model"):
             import sentencepiece
@@ -77,7 +78,7 @@ class Counter:
             return self.whole(texts)
         out = []
         for run in by_bytes(texts, 8 * BATCH):
-            cut, firsts, extra, owner = [], [], [0] * len(run), []
+            cut, firsts, at, extra, owner = [], [], [], [0] * len(run), []
             for k, t in enumerate(run):
                 parts = [t]
                 if self.special and self.special.search(t):
@@ -85,15 +86,24 @@ class Counter:
                     extra[k] = len(parts) - 1
                 for part in parts:
                     first, *rest = chunks(part)
+                    short = [x for x in rest if len(x) < LONG]
                     owner.append(k)
-                    firsts.append(first)
-                    cut.append(rest)
-            if len(self.led) > self.cache:
+                    cut.append(short)
+                    # What is long has no place in the table and is cut at the other safe places.
+                    whole = [first, *(" " + x for x in rest if len(x) >= LONG)] if len(short) < len(rest) else [first]
+                    for x in whole:
+                        firsts += pieces(x)
+                        at += [k] * (len(firsts) - len(at))
+            if self.held > self.cache:
                 self.led.clear()
+                self.held = 0
             new = list(set().union(*cut) - self.led.keys())
+            self.held += sum(map(len, new)) + 140 * len(new)
             self.led.update(zip(new, self.whole([" " + x for x in new]), strict=True))
-            for k, n, rest in zip(owner, self.whole(firsts), cut, strict=True):
-                extra[k] += n + sum(map(self.led.__getitem__, rest))
+            for k, n in zip(at, self.whole(firsts), strict=True):
+                extra[k] += n
+            for k, rest in zip(owner, cut, strict=True):
+                extra[k] += sum(map(self.led.__getitem__, rest))
             out += extra
         return out
 

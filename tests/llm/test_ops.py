@@ -1,5 +1,6 @@
 import collections
 import re
+from fractions import Fraction
 
 import pytest
 from pyspark.sql import functions as F
@@ -37,15 +38,36 @@ def test_exact_dedup(spark, odd):
     assert exact_dedup.dedup(odd.limit(0)).count() == 0
 
 
-def test_digest_index_keeps_survivors_across_batches(spark):
+def test_digest_index_keeps_survivors_across_batches(spark, tmp_path):
     index = exact_dedup.DigestIndex(spark, buckets=4)
     a = spark.createDataFrame([(1, "x"), (2, "x"), (3, "y")], "doc_id long, text string")
     b = spark.createDataFrame([(9, "x"), (8, "z")], "doc_id long, text string")
     exact_dedup.dedup(a, index=index)
     got = {r.id: r.kept for r in exact_dedup.dedup(b, index=index).collect()}
     assert got == {9: False, 8: True}
-    index.compact()
-    assert index.read().count() == 3
+    assert index.compact(f"file://{tmp_path}/again").read().count() == 3
+
+
+def test_digest_index_outlives_the_session(spark, tmp_path):
+    path, rows = f"file://{tmp_path}/it's an index", [(1, "x"), (3, "y"), (None, "z")]
+    exact_dedup.dedup(spark.createDataFrame(rows, "doc_id long, text string"), index=exact_dedup.DigestIndex(spark, path, 4))
+    other = exact_dedup.DigestIndex(spark.newSession(), path, 4)  # its catalog has no such table
+    batch = exact_dedup.digests(other.spark.createDataFrame([(7, "x"), (9, "w")], "doc_id long, text string"))
+    plan = batch.groupBy("digest").agg(F.max("id")).hint("merge").join(other.read().select("digest"), "digest", "left_anti")
+    assert "SortMergeJoin" in plan._jdf.queryExecution().toString() and "Bucketed: true" in plan._jdf.queryExecution().toString()
+    other.add(batch)
+    assert {(r.keep_id) for r in other.read().collect()} == {1, 3, None, 9}
+
+
+def test_exact_dedup_in_batches_equals_one(spark, odd):
+    key = lambda df: sorted((r.id is None, r.id, bytes(r.digest), r.keep_id, r.group_size, r.kept) for r in df.collect())
+    for parts in (2, 5):
+        assert key(exact_dedup.dedup_in_batches(odd, parts=parts)) == key(exact_dedup.dedup(odd))
+    assert exact_dedup.dedup_in_batches(odd.limit(0)).count() == 0
+    nameless = odd.withColumn("doc_id", F.lit(None).cast("long"))
+    assert key(exact_dedup.dedup_in_batches(nameless)) == key(exact_dedup.dedup(nameless)) and exact_dedup.dedup(nameless).where("NOT kept").count() == 0
+    clash = odd.withColumns({"_gone_id": F.lit(1), "_gone": F.lit(2), "digest": F.lit("x"), "id": F.lit(3)})
+    assert exact_dedup.survivors(clash).columns == clash.columns and exact_dedup.survivors(clash).count() == 8
 
 
 def test_near_dedup_equals_brute_force(spark, odd, sf):
@@ -89,11 +111,50 @@ def test_components(spark):
     assert components.components(spark.createDataFrame([], "a long, b long")).count() == 0
 
 
+def _shares(sizes, weights=(3, 1, 2), share=Fraction(3, 2), most=2):
+    """Targets by the rule as it is told: whoever is above his limit stops and the rest share again."""
+    order = sorted((s for s in sizes if s is not None), key=lambda s: [ord(c) for c in s]) + [None] * (None in sizes)
+    weight = {s: weights[i % len(weights)] for i, s in enumerate(order)}
+    full, rest, left = {}, share * sum(sizes.values()), set(order)
+    while left:
+        unit = rest / sum(weight[s] for s in left)
+        over = {s for s in left if unit * weight[s] > most * sizes[s]}
+        if not over:
+            return full | {s: unit * weight[s] for s in left}
+        full |= {s: Fraction(most * sizes[s]) for s in over}
+        rest -= sum(full[s] for s in over)
+        left -= over
+    return full
+
+
+def _mix_by_hand(rows):
+    """(id, size, taken) of rows (id, source, size, key): whole epochs, then keys in order up to the budget."""
+    sizes = collections.Counter()
+    for _, s, n, _ in rows:
+        sizes[s] += n
+    out = []
+    for s, goal in _shares(sizes).items():
+        mine, budget = [r for r in rows if r[1] == s], int(goal + Fraction(1, 2))
+        epochs, rest = divmod(budget, sizes[s]) if sizes[s] else (0, 0)
+        by_key = collections.defaultdict(list)
+        for r in mine:
+            by_key[r[3]].append(r)
+        for _, tied in sorted(by_key.items()):
+            n = sum(r[2] for r in tied)
+            for r in tied:
+                more = r[2] if rest > n else min(r[2], rest // len(tied)) if rest > 0 else 0
+                out.append((r[0], r[2], epochs * r[2] + (r[2] if rest == n and rest > 0 and len(tied) == 1 else more)))
+            rest = max(0, rest - n)
+    return sorted(out, key=str)
+
+
 def test_mixing(spark, odd, sf):
     docs = spark.read.parquet(f"{sf}/documents.parquet")
     keyed, mix = mixing.plan(docs)
     by = {r.b_source: r for r in mix.collect()}
-    joined = keyed.join(mix, keyed.source.eqNullSafe(mix.b_source)).select("source", "id", "size", mixing.taken(F.col("size"), F.col("key")).alias("taken")).collect()
+    joined = keyed.join(mix, keyed.source.eqNullSafe(mix.b_source)).select("source", "id", "size", "key", mixing.taken(F.col("size"), F.col("key")).alias("taken")).collect()
+    # Which rows are taken, row by row.
+    assert sorted(((r.id, r["size"], r.taken) for r in joined), key=str) == _mix_by_hand([(r.id, r.source, r["size"], r.key) for r in joined])
     total = collections.Counter()
     for r in joined:
         total[r.source] += r.taken
@@ -103,8 +164,19 @@ def test_mixing(spark, odd, sf):
     words = again.select(F.sum(mixing.n_words(F.col("text")))).first()[0]
     assert words == sum(total.values()) and again.columns == docs.columns
     assert mixing.mixed(odd).columns == odd.columns and mixing.mixed(odd).count() > 0
-    assert mixing.targets({"b": 10, "a": 10, None: 100}) == {"a": 20, "b": 20, None: 140}
     assert mixing.mixed(odd.limit(0)).count() == 0
+    clash = odd.withColumns({c: F.lit(1) for c in ("_mix_size", "_mix_words", "epochs", "target", "key", "size", "b_source")})
+    assert mixing.mixed(clash).columns == clash.columns and mixing.mixed(clash).count() == mixing.mixed(odd).count()
+
+
+@pytest.mark.parametrize("sizes", [{"b": 10, "a": 10, None: 100}, {f"s{k:03}": (k * 37) % 101 for k in range(80)} | {"ü": 5, "z": 9000}, {"only": 7}, {"a": 0, "b": 0}, {None: 3}, {"a": 1, "b": 10**12}])
+def test_targets_equal_the_rule(spark, sizes):
+    df = spark.createDataFrame(list(sizes.items()), "source string, s long")
+    got = {r.b_source: r for r in mixing.targets(df).collect()}
+    want = _shares(sizes)
+    assert got.keys() == want.keys()
+    for s, r in got.items():
+        assert r.target == pytest.approx(float(want[s]), rel=1e-12) and r.epochs * sizes[s] + r.rest in (round(want[s]), int(want[s] + Fraction(1, 2)), 0 if not sizes[s] else -1)
 
 
 def test_quality_rules_equal_brute_force(spark, odd, sf):

@@ -41,7 +41,7 @@ def test_encode_equals_library_on_any_text(t):
 
 
 def test_small_tables_start_anew(library):
-    c = byte_bpe.Codec(PATH, cache=3)
+    c = byte_bpe.Codec(PATH, cache=1000)
     t = "one two three four five six seven one two three"
     assert list(memoryview(c.encode(t)).cast("I")) == library.encode_ordinary(t)
 
@@ -83,3 +83,23 @@ def test_frames(spark):
     counts = token_counts.token_counts(df).collect()
     assert len(counts) == 5 and {r.n_tokens for r in counts if r.id in (1, 2)} == {0}
     assert byte_bpe.encode(df.limit(0)).count() == 0
+
+
+def test_long_stretches_without_spaces_are_cut_at_safe_places():
+    from tokenizers import Tokenizer
+
+    from parinflate.llm import chunks
+
+    path = public_tokenizers.path(token_counts.VOCABULARY)
+    lib, c = Tokenizer.from_file(path), token_counts.Counter(path)
+    hard = ["ab12é'sx9" * 5000, "line\n\n\tnext's\r\n" * 4000, "x" * 40_000, "漢字1仮名２" * 6000, "a b" * 9000 + "z9" * 20_000 + " end", "%%%'ll9" * 6000]
+    assert c.counts(hard) == [len(x.ids) for x in lib.encode_batch(hard, add_special_tokens=False)]
+    for t in hard:
+        assert "".join(chunks.pieces(t)) == t
+    assert len(chunks.pieces(hard[0])) > 2 and len(chunks.pieces(hard[2])) == 1
+    assert max(map(len, chunks.pieces(hard[0]))) < 2 * chunks.LONG
+
+
+def test_batches_are_balanced_by_bytes():
+    runs = list(token_counts.by_bytes(["é" * 600, "a" * 600, "b" * 600, "é" * 5000, ""], 1500))
+    assert [sum(len(t.encode()) for t in r) for r in runs] == [1200, 1200, 10_000, 0]
