@@ -13,7 +13,7 @@ from parinflate.runtime import materialize, table
 
 def quality(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Documents in the importance sample stay."""
-    return importance.Resampler(docs, table(spark, sf_dir, "labels")).sample(docs)
+    return importance.sample(docs, table(spark, sf_dir, "labels"))
 
 
 def exact(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
