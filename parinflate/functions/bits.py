@@ -96,3 +96,14 @@ def skip_table(bits: int = 14) -> np.ndarray:
             ok &= ((x >> 3) & 31) < 30
         skip[ok] = d
     return skip
+
+
+@lru_cache
+def start_table() -> np.ndarray:
+    """For the 21 bits from a byte on: bit r is set if a dynamic, non-final header may begin r bits further. One lookup tests eight offsets."""
+    here = skip_table() == 0
+    v = np.arange(1 << 21, dtype=np.int32)
+    out = np.zeros(1 << 21, np.uint8)
+    for r in range(8):
+        out |= here[(v >> r) & 0x3FFF].astype(np.uint8) << r
+    return out

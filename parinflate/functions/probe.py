@@ -13,6 +13,7 @@ Bytes of the file keep their boundaries, which stored blocks and footers go by.
 from __future__ import annotations
 
 import zlib
+from collections.abc import Callable, Iterator
 from dataclasses import dataclass, field
 from functools import lru_cache
 
@@ -23,7 +24,7 @@ from parinflate.functions.gzipfmt import CorruptBlock, ParinflateError, Truncate
 WINDOW = 32768
 FLAG = 32768
 SENTINEL = b"\xff" * 8
-_STEP = 1 << 22
+_NONE = np.empty(0, np.int64)
 
 
 @lru_cache
@@ -119,103 +120,252 @@ class Decoded:
         return int(p[-1]) if len(p) else -1
 
 
-def _inflate(data: bytes, history: bytes, most: int | None) -> tuple[bytes, bytes, bool]:
-    d = zlib.decompressobj(-15, zdict=history) if history else zlib.decompressobj(-15)
-    if most is None:
-        out = d.decompress(data)
-    else:
-        out = d.decompress(data, most)
-        if d.unconsumed_tail:
-            raise CorruptBlock("more than max_out_bytes")
-    return out, d.unused_data, d.eof
-
-
-def _twin(data: bytes, fallback: bool) -> tuple[bytes, np.ndarray, np.ndarray, bytes, bool]:
-    """(bytes, marker places, markers, unused, eof). With ``fallback`` the second run ends once the last window holds no marker."""
-    ha, hb, place = twins()
-    da, db = zlib.decompressobj(-15, zdict=ha), zlib.decompressobj(-15, zdict=hb)
-    out, places, markers, at, twin = [], [], [], 0, True
-    step = 1 << 16 if fallback else len(data) or 1
-    for k in range(0, len(data), step):
-        part = data[k : k + step]
-        a = da.decompress(part)
-        out.append(a)
-        if twin:
-            b = db.decompress(part)
-            x, y = np.frombuffer(a, np.uint8), np.frombuffer(b, np.uint8)
-            diff = np.flatnonzero(x != y)
-            if len(diff):
-                m = place[x[diff].astype(np.int32) + 256 * y[diff].astype(np.int32)]
-                if (m < 0).any():
-                    raise CorruptBlock("a pair that names no place")
-                places.append(diff + at)
-                markers.append(m)
-            last = places[-1][-1] if places else -1
-            if fallback and at + len(a) - 1 - last > WINDOW:
-                twin = False
-        at += len(a)
-        if da.eof:
-            break
-    # Input after the end is in unused_data of the chunk in which the stream ended.
-    rest = da.unused_data + data[k + step :] if da.eof else b""
-    none = np.empty(0, np.int64)
-    return b"".join(out), np.concatenate(places) if places else none, np.concatenate(markers) if markers else none, rest, da.eof
+#: Bytes of input and of output that a stream holds at a time; input while both twins run.
+IN_STEP, OUT_STEP, TWIN_STEP = 1 << 20, 8 << 20, 1 << 16
 
 
-def decode_span(buf: bytes, start_bit: int, end_bit: int | None, kind: str = "block", end_kind: str = "block", window: bytes | None = None, container: str = "gzip", fallback: bool = True, most: int | None = None) -> Decoded:
-    """Decode from ``start_bit`` (of a block, or of a member's header) and check that a block or a member begins at ``end_bit``; None: the file's end.
+@dataclass
+class Part:
+    """Output of a stream: some bytes of a member, or with ``ends`` its end and footer."""
+
+    data: bytes = b""
+    places: np.ndarray = field(default_factory=lambda: _NONE)
+    markers: np.ndarray = field(default_factory=lambda: _NONE)
+    ends: bool = False
+    crc: int = 0
+    isize: int = 0
+
+
+class SpanStream:
+    """Decodes from ``start_bit`` (of a block, or of a member's header) and checks that a block or a member begins at ``end_bit``; None: the file's end.
 
-    Without ``window`` the history of the first piece is unknown and becomes markers. Bits are counted in ``buf``.
+    Iterating gives parts of bounded size, however long or dense the span is; then ``ok``, ``reason``, ``end_bit`` and ``eof`` say how it
+    ended. Without ``window`` the history of the first member is unknown and becomes markers. ``read(offset, length)`` gives bytes of
+    the file of ``size`` bytes; bits count from its start. ``end_kind`` stored: ``end_bit`` is the last bit that may begin the block,
+    three before its length. With ``fallback`` the second twin stops, at byte ``fallback_at``, once the last window holds no marker.
     """
-    # ``end_kind`` stored: ``end_bit`` is the last bit that may begin the block, three before its length.
-    size = 8 * len(buf)
-    stop = size if end_bit is None else end_bit
-    pieces: list[Piece] = []
-    at, first = start_bit, True
-    try:
+
+    def __init__(self, read: Callable[[int, int], bytes], size: int, start_bit: int, end_bit: int | None, kind: str = "block", end_kind: str = "block", window: bytes | None = None, container: str = "gzip", fallback: bool = True):
+        self.read, self.size, self.start, self.end, self.kind, self.end_kind = read, size, start_bit, end_bit, kind, end_kind
+        self.window, self.container, self.fallback = window, container, fallback
+        self.ok, self.reason, self.end_bit, self.eof, self.fallback_at = False, "", start_bit, False, -1
+
+    def _input(self, at: int, stop: int, spliced: bool, twin: list[bool]) -> Iterator[bytes]:
+        """Input for the library from bit ``at``: primed, as it is in the file, and closed for the splice test."""
+        first, last = at >> 3, stop >> 3
+        if last - first <= TWIN_STEP:
+            buf = self.read(first, last - first + 2)
+            shift = 8 * first
+            yield closed(buf, at - shift, stop - shift, self.end_kind == "stored") if spliced else primed(buf, at - shift, ((stop + 7) >> 3) - first)
+            return
+        upto = ((stop + 3) >> 3 if self.end_kind == "stored" else last) if spliced else (stop + 7) >> 3
+        k = first
+        while k < upto:
+            n = min(upto - k, TWIN_STEP if twin[0] and self.fallback else IN_STEP)
+            part = self.read(k, n)
+            if not part:
+                return
+            yield primed(part, at & 7, len(part)) if k == first else part
+            k += len(part)
+        if spliced and self.end_kind == "stored":
+            yield b"\0\0\xff\xff\x03\0" + SENTINEL
+        elif spliced and not stop & 7:
+            yield b"\x03\0" + SENTINEL
+        elif spliced:
+            r = stop & 7
+            yield (self.read(last, 1)[0] & ((1 << r) - 1) | 3 << r).to_bytes(2 if r <= 6 else 3, "little") + SENTINEL
+
+    def _member(self, at: int, stop: int, spliced: bool, history: bytes | None) -> Iterator[Part]:
+        """Parts of what is left of a member from bit ``at``; returns (bytes of the library's input used, bytes after the end or None)."""
+        ha, hb, place = twins()
+        twin = [history is None]
+        da = zlib.decompressobj(-15, zdict=ha if twin[0] else history) if twin[0] or history else zlib.decompressobj(-15)
+        db = zlib.decompressobj(-15, zdict=hb)
+        done, last, fed = 0, -1, 0
+        source = self._input(at, stop, spliced, twin)
+        for chunk in source:
+            fed += len(chunk)
+            todo = chunk
+            while todo or da.unconsumed_tail:
+                a = da.decompress(todo, OUT_STEP)
+                places = markers = _NONE
+                if twin[0]:
+                    b = db.decompress(todo, OUT_STEP)
+                    x, y = np.frombuffer(a, np.uint8), np.frombuffer(b, np.uint8)
+                    places = np.flatnonzero(x != y)
+                    if len(places):
+                        markers = place[x[places].astype(np.int32) + 256 * y[places].astype(np.int32)]
+                        if (markers < 0).any():
+                            raise CorruptBlock("a pair that names no place")
+                        last = done + int(places[-1])
+                    if self.fallback and done + len(a) - 1 - last > WINDOW:
+                        twin[0], self.fallback_at = False, done + len(a)
+                done += len(a)
+                if a:
+                    yield Part(a, places, markers)
+                todo = da.unconsumed_tail
+                if da.eof or not a:
+                    break
+            if da.eof:
+                # What the library has not used: of this chunk, and what a chunk that closes the span would add.
+                rest = da.unused_data
+                if spliced and len(rest) < len(SENTINEL):
+                    rest += b"".join(source)
+                    fed += len(rest) - len(da.unused_data)
+                return fed, rest
+        return fed, None
+
+    def __iter__(self) -> Iterator[Part]:
+        try:
+            yield from self._parts()
+        except (zlib.error, ParinflateError, ValueError, IndexError) as e:
+            self.ok, self.reason = False, f"{type(e).__name__}: {e}"
+
+    def _parts(self) -> Iterator[Part]:
+        stop = 8 * self.size if self.end is None else self.end
+        at, first = self.start, True
         while True:
-            if at == stop and not (first and kind == "block"):
-                return Decoded(True, at, pieces, eof=end_bit is None)
-            unknown = first and kind == "block" and window is None
-            history = window if first and kind == "block" else b""
-            if not (first and kind == "block"):
-                if container != "gzip":
-                    return Decoded(end_bit is None, at, pieces, "" if end_bit is None else "data after the stream", True)
-                at = 8 * parse_header(buf, at >> 3).end
+            self.end_bit = at
+            if at == stop and not (first and self.kind == "block"):
+                self.ok, self.eof = True, self.end is None
+                return
+            known = not (first and self.kind == "block")
+            if known:
+                if self.container != "gzip":
+                    self.ok, self.eof, self.reason = self.end is None, True, "" if self.end is None else "data after the stream"
+                    return
+                at += 8 * _header(self.read, at >> 3)
+            history = b"" if known else self.window
             first = False
             if at > stop:
-                return Decoded(False, at, pieces, "a header crosses the end")
-            spliced = end_bit is not None and end_kind != "member"
-            data = closed(buf, at, stop, end_kind == "stored") if spliced else primed(buf, at, (stop + 7) >> 3)
-            if unknown:
-                out, places, markers, rest, eof = _twin(data, fallback)
-            else:
-                out, rest, eof = _inflate(data, history, most)
-                places = markers = np.empty(0, np.int64)
-            if not eof:
-                return Decoded(False, at, pieces, "no block ends at the end" if end_bit is not None else "truncated")
-            piece = Piece(out, places, markers)
-            pieces.append(piece)
+                self.reason = "a header crosses the end"
+                return
+            spliced = self.end is not None and self.end_kind != "member"
+            fed, rest = yield from self._member(at, stop, spliced, history)
+            if rest is None:
+                self.reason = "no block ends at the end" if self.end is not None else "truncated"
+                return
             if spliced and rest == SENTINEL:
-                return Decoded(True, stop, pieces)
+                self.ok, self.end_bit = True, stop
+                return
             # A final block: the footer begins at the next byte of the file.
             lead = len(primer(at & 7)) - 1 if at & 7 else 0
-            foot = (at >> 3) + len(data) - len(rest) - lead
-            if container != "gzip":
-                piece.ends = True
-                at = 8 * (foot + (4 if container == "zlib" else 0))
+            foot = (at >> 3) + fed - len(rest) - lead
+            if self.container != "gzip":
+                yield Part(ends=True)
+                at = 8 * (foot + (4 if self.container == "zlib" else 0))
                 continue
             after = foot + 8
-            if 8 * after > size:
-                return Decoded(False, at, pieces, "truncated footer")
-            piece.ends, (piece.crc, piece.isize) = True, parse_footer(buf, foot)
+            if after > self.size:
+                self.reason = "truncated footer"
+                return
+            crc, isize = parse_footer(self.read(foot, 8), 0)
+            yield Part(ends=True, crc=crc, isize=isize)
             at = 8 * after
-            if end_bit is None and not buf[after:].strip(b"\0"):
-                return Decoded(True, at, pieces, eof=True)
+            if self.end is None and self._padding(after):
+                self.ok, self.eof, self.end_bit = True, True, at
+                return
             if at > stop:
-                return Decoded(False, at, pieces, "a member crosses the end")
-    except (zlib.error, ParinflateError, ValueError) as e:
-        return Decoded(False, at, pieces, f"{type(e).__name__}: {e}")
+                self.reason = "a member crosses the end"
+                return
+
+    def _padding(self, at: int) -> bool:
+        """Whether nothing but zero bytes follows."""
+        while at < self.size:
+            part = self.read(at, IN_STEP)
+            if part.strip(b"\0"):
+                return False
+            at += len(part) or 1
+        return True
+
+
+def _header(read: Callable[[int, int], bytes], at: int) -> int:
+    """Length of the member's header at byte ``at``; names and extra fields may be long."""
+    n = 1 << 10
+    while True:
+        buf = read(at, n)
+        try:
+            return parse_header(buf, 0).end
+        except Truncated:
+            if len(buf) < n:
+                raise
+            n *= 8
+
+
+def decode_span(buf: bytes, start_bit: int, end_bit: int | None, kind: str = "block", end_kind: str = "block", window: bytes | None = None, container: str = "gzip", fallback: bool = True, most: int | None = None) -> Decoded:
+    """The whole of a span in memory, its members as pieces; see :class:`SpanStream`. Bits are counted in ``buf``."""
+    s = SpanStream(lambda lo, n: buf[lo : lo + n], len(buf), start_bit, end_bit, kind, end_kind, window, container, fallback)
+    pieces, open_, total = [], [], 0
+    for p in s:
+        total += len(p.data)
+        if most is not None and total > most:
+            return Decoded(False, s.end_bit, pieces, "more than max_out_bytes")
+        open_.append(p)
+        if p.ends:
+            pieces.append(_joined(open_))
+            open_ = []
+    if open_ or s.ok and not pieces and kind == "block":
+        pieces.append(_joined(open_))
+    return Decoded(s.ok, s.end_bit, pieces, s.reason, s.eof)
+
+
+def _joined(parts: list[Part]) -> Piece:
+    at, places = 0, []
+    for p in parts:
+        places.append(p.places + at)
+        at += len(p.data)
+    last = parts[-1] if parts else Part()
+    return Piece(b"".join(p.data for p in parts), np.concatenate(places) if places else _NONE, np.concatenate([p.markers for p in parts]) if parts else _NONE, last.ends, last.crc, last.isize)
+
+
+class Summary:
+    """What stage 1 keeps of a span: sizes, markers, checksums of pieces and the tail as a function of the window; no payload but for the last 32 KiB."""
+
+    def __init__(self, s: SpanStream):
+        self.out_len = self.n_markers = 0
+        self.last_marker = -1
+        self.pieces: list[dict] = []
+        self.tail, self.members, fresh, n, crc, at = np.empty(0, np.uint16), 0, True, 0, 0, 0
+        for p in s:
+            if fresh:
+                self.tail, n, crc, at, fresh = np.empty(0, np.uint16), 0, 0, 0, False
+                self.members += 1
+            if len(p.places):
+                crc = -1
+                self.n_markers += len(p.places)
+                self.last_marker = at + int(p.places[-1])
+            crc = zlib.crc32(p.data, crc) if crc >= 0 else -1
+            n, at = n + len(p.data), at + len(p.data)
+            self.out_len += len(p.data)
+            if p.data:
+                cut = max(0, len(p.data) - WINDOW)
+                keep = p.places >= cut
+                self.tail = np.concatenate([self.tail, symbols(Piece(p.data[cut:], p.places[keep] - cut, p.markers[keep]))])[-WINDOW:]
+            if p.ends:
+                self.pieces.append({"n": n, "crc": crc, "ends": True, "footer_crc": p.crc, "isize": p.isize})
+                fresh = True
+        if not fresh or s.ok and not self.members and s.kind == "block":
+            self.pieces.append({"n": n, "crc": crc, "ends": False, "footer_crc": 0, "isize": 0})
+            self.members = max(1, self.members)
+        self.ok, self.reason, self.end_bit, self.eof, self.fallback_at = s.ok, s.reason, s.end_bit, s.eof, s.fallback_at
+
+    def tail_map(self) -> np.ndarray:
+        return _filled(self.tail, self.members > 1 or self.eof)
+
+
+def replaced(symbols_: bytes, window: bytes) -> bytes:
+    """Marker replacement of kept symbols: one gather from all bytes and the window."""
+    table = np.concatenate([np.arange(256, dtype=np.uint8), np.frombuffer(window.rjust(WINDOW, b"\0"), np.uint8)])
+    s = np.frombuffer(symbols_, np.uint16)
+    return table[np.where(s >= FLAG, s - np.uint16(FLAG - 256), s)].tobytes()
+
+
+def _filled(s: np.ndarray, whole: bool) -> np.ndarray:
+    """The last 32768 symbols from fewer: what lies before them is the window's end, or zero where a member begins in the span."""
+    if len(s) == WINDOW:
+        return s
+    before = np.zeros(WINDOW - len(s), np.uint16) if whole else (FLAG + np.arange(len(s), WINDOW)).astype(np.uint16)
+    return np.concatenate([before, s])
 
 
 def decode_marked(buf: bytes, start_bit: int, end_bit: int | None = None) -> np.ndarray:
@@ -226,7 +376,7 @@ def decode_marked(buf: bytes, start_bit: int, end_bit: int | None = None) -> np.
     return np.concatenate([symbols(p) for p in d.pieces]) if d.pieces else np.empty(0, np.uint16)
 
 
-def symbols(p: Piece) -> np.ndarray:
+def symbols(p: Piece | Part) -> np.ndarray:
     s = np.frombuffer(p.data, np.uint8).astype(np.uint16)
     s[p.places] = FLAG + p.markers
     return s
@@ -241,7 +391,7 @@ def ends_at(buf: bytes, start_bit: int, end_bit: int) -> bool:
     return decode_span(buf, start_bit, end_bit).ok
 
 
-def apply(p: Piece, window: bytes) -> bytes:
+def apply(p: Piece | Part, window: bytes) -> bytes:
     """Marker replacement: gather from the window at marker places only."""
     if not len(p.places):
         return p.data
@@ -253,13 +403,10 @@ def apply(p: Piece, window: bytes) -> bytes:
 
 def tail_map(d: Decoded) -> np.ndarray:
     """The last 32768 symbols after a span, as a function of the window before it; history before a member's start is zero."""
-    p = d.pieces[-1] if d.pieces else Piece(b"", np.empty(0, np.int64), np.empty(0, np.int64))
-    whole = len(d.pieces) > 1 or d.eof
-    s = symbols(Piece(p.data[-WINDOW:], (keep := p.places[p.places >= len(p.data) - WINDOW]) - max(0, len(p.data) - WINDOW), p.markers[len(p.places) - len(keep) :]))
-    if len(s) == WINDOW:
-        return s
-    before = np.zeros(WINDOW - len(s), np.uint16) if whole else (FLAG + np.arange(len(s), WINDOW)).astype(np.uint16)
-    return np.concatenate([before, s])
+    p = d.pieces[-1] if d.pieces else Piece(b"", _NONE, _NONE)
+    cut = max(0, len(p.data) - WINDOW)
+    keep = p.places >= cut
+    return _filled(symbols(Piece(p.data[cut:], p.places[keep] - cut, p.markers[keep])), len(d.pieces) > 1 or d.eof)
 
 
 def step(m: np.ndarray, window: bytes) -> bytes:

@@ -66,69 +66,158 @@ def valid_histograms() -> frozenset[int]:
     return frozenset(found | {1 << 5})
 
 
-def _precode(w: np.ndarray, pos: np.ndarray, hclen: np.ndarray, method: str) -> tuple[np.ndarray, np.ndarray]:
-    """(valid, oversubscribed) of the precodes at header offsets ``pos``."""
-    pre = bits.at(w, pos + 17)
-    packed = np.zeros(len(pos), np.int64)
-    for k in range(19):
-        length = ((pre >> np.uint64(3 * k)) & np.uint64(7)).astype(np.int64)
-        packed += np.where(k < hclen + 4, np.int64(1) << (5 * length), 0)
-    used = packed >> 5
-    if method == "histset":
-        known = np.array(sorted(h >> 5 for h in valid_histograms()), np.int64)
-        valid = known[np.minimum(np.searchsorted(known, used), len(known) - 1)] == used
-    left = precode_table()[used & 0xFFFFF].astype(np.int64)
+@lru_cache
+def _four(method: str) -> np.ndarray:
+    """For 12 bits, which are four lengths of three bits: packed counters (``counters``), or leaves of 128 they use and, 12 bits up, how many are not zero (``leaves``)."""
+    v = np.arange(1 << 12, dtype=np.int64)
+    lengths = [(v >> (3 * k)) & 7 for k in range(4)]
+    if method == "counters":
+        return sum(np.int64(1) << (5 * x) for x in lengths)
+    return sum(np.where(x > 0, (128 >> x) + (1 << 12), 0) for x in lengths).astype(np.int32)
+
+
+def _lengths_field(w: np.ndarray, pos: np.ndarray) -> np.ndarray:
+    """The precode lengths of headers at ``pos`` as 57 bits; lengths beyond the header's count are zero."""
+    n = (bits.at(w, pos + 13) & np.uint64(15)) + np.uint64(4)
+    return bits.at(w, pos + 17) & ((np.uint64(1) << (n * np.uint64(3))) - np.uint64(1))
+
+
+def _summed(field: np.ndarray, table: np.ndarray) -> np.ndarray:
+    out = table[(field & np.uint64(0xFFF)).astype(np.intp)].copy()
+    for k in range(1, 5):
+        out += table[((field >> np.uint64(12 * k)) & np.uint64(0xFFF)).astype(np.intp)]
+    return out
+
+
+def _precode(w: np.ndarray, pos: np.ndarray, method: str) -> tuple[np.ndarray, np.ndarray]:
+    """(valid, oversubscribed) of the precodes at header offsets ``pos``, by one of four ways that agree."""
+    field = _lengths_field(w, pos)
+    if method == "leaves":
+        t = _summed(field, _four("leaves"))
+        used = t & 0xFFF
+        return (used == 128) | (t == (1 << 12) + 64), used > 128
+    if method == "plain":
+        used, codes = np.zeros(len(pos), np.int64), np.zeros(len(pos), np.int64)
+        for k in range(19):
+            x = ((field >> np.uint64(3 * k)) & np.uint64(7)).astype(np.int64)
+            used += np.where(x > 0, 128 >> x, 0)
+            codes += x > 0
+        return (used == 128) | ((codes == 1) & (used == 64)), used > 128
+    packed = _summed(field, _four("counters")) >> 5
+    left = precode_table()[packed & 0xFFFFF].astype(np.int64)
     over = left < 0
     for k in range(5, 8):
-        left = left - (((packed >> (5 * k)) & 31) << (7 - k))
+        left = left - (((packed >> (5 * (k - 1))) & 31) << (7 - k))
     over |= left < 0
-    if method != "histset":
-        valid = ~over & ((left == 0) | (used == 1))
-    return valid, over
+    if method == "histset":
+        known = np.array(sorted(h >> 5 for h in valid_histograms()), np.int64)
+        return known[np.minimum(np.searchsorted(known, packed), len(known) - 1)] == packed, over
+    return ~over & ((left == 0) | (packed == 1)), over
+
+
+_REVERSED = [int(format(k, "07b")[::-1], 2) for k in range(128)]
+
+
+@lru_cache(maxsize=4096)
+def _precode_codes(field: int) -> list[int]:
+    """For seven peeked bits: symbol * 8 + length of a usable precode, or -1. Codes in order of length and symbol are runs of the values read the other way round."""
+    order = sorted(((field >> (3 * k)) & 7, s) for k, s in enumerate(deflate_ref.PRECODE_ORDER) if (field >> (3 * k)) & 7)
+    runs: list[int] = []
+    for length, s in order:
+        runs += [s * 8 + length] * (128 >> length)
+    runs += [-1] * (128 - len(runs))
+    return [runs[k] for k in _REVERSED]
 
 
 def _lengths(buf: bytes, pos: int) -> str:
     """The step at which a header with a valid precode fails, or 'accepted'."""
-    try:
-        lit, dist, _ = deflate_ref.code_lengths(bits.BitReader(buf, pos + 3))
-    except (CorruptBlock, ValueError, EOFError):
+    first = pos >> 3
+    word = int.from_bytes(buf[first : first + 320], "little") >> (pos & 7)
+    limit = 8 * (len(buf) - first) - (pos & 7)
+    n_literal, want = ((word >> 3) & 31) + 257, ((word >> 3) & 31) + ((word >> 8) & 31) + 258
+    n = ((word >> 13) & 15) + 4
+    codes = _precode_codes((word >> 17) & ((1 << 3 * n) - 1))
+    at = 17 + 3 * n
+    word >>= at
+    lens: list[int] = []
+    while len(lens) < want:
+        code = codes[word & 127]
+        if code < 0:
+            return "precode_data"
+        size, s = code & 7, code >> 3
+        word >>= size
+        at += size
+        if s < 16:
+            lens.append(s)
+            continue
+        extra, least = ((2, 3), (3, 3), (7, 11))[s - 16]
+        if s == 16 and not lens:
+            return "precode_data"
+        lens += [lens[-1] if s == 16 else 0] * (least + (word & ((1 << extra) - 1)))
+        word >>= extra
+        at += extra
+    if len(lens) > want or at > limit:
         return "precode_data"
-    kind = huffman.classify(dist)
+    kind = huffman.classify(lens[n_literal:])
     if kind == huffman.OVER:
         return "distance_invalid"
     if kind == huffman.UNDER:
         return "distance_unused"
-    kind = huffman.classify(lit)
+    kind = huffman.classify(lens[:n_literal])
     if kind == huffman.OVER:
         return "literal_invalid"
-    if kind != huffman.VALID or not lit[256]:
+    if kind != huffman.VALID or not lens[256]:
         return "literal_unused"
     return "accepted"
 
 
-def _first_three(w: np.ndarray, variant: str, start: int, end: int) -> tuple[np.ndarray, dict[str, int]]:
-    counts = {}
+def starts(buf: bytes, w: np.ndarray, start: int, end: int, variant: str = "packed") -> np.ndarray:
+    """Offsets in [start, end) that pass the first three checks: by the distances of the skip table one after the other (``skip``), or by one lookup per byte."""
     if variant == "skip":
-        table = bits.skip_table()
-        pos = np.arange(start, end, dtype=np.int64)
-        hit = table[(bits.at(w, pos) & np.uint64(0x3FFF)).astype(np.int64)] == 0
-        return pos[hit], counts
-    pos = np.arange(start, end, dtype=np.int64)
-    v = bits.at(w, pos)
-    not_final = (v & np.uint64(1)) == 0
-    typed = not_final & ((v >> np.uint64(1)) & np.uint64(3) == 2)
-    ok = typed & ((v >> np.uint64(3)) & np.uint64(31) < 30)
-    counts = {"final_bit": int((~not_final).sum()), "block_type": int((not_final & ~typed).sum()), "literal_count": int((typed & ~ok).sum())}
-    return pos[ok], counts
+        table, found, at = _skips(), [], start
+        low = (w & np.uint64(0x1FFFFF)).tolist()
+        while at < end:
+            far = table[(low[at >> 3] >> (at & 7)) & 0x3FFF]
+            if far:
+                at += far
+            else:
+                found.append(at)
+                at += 1
+        return np.array(found, np.int64)
+    lo, hi = start >> 3, min(len(w), (end + 7) >> 3)
+    mask = bits.start_table()[(w[lo:hi] & np.uint64(0x1FFFFF)).astype(np.intp)]
+    pos = np.flatnonzero(np.unpackbits(mask, bitorder="little")) + 8 * lo
+    return pos[(pos >= start) & (pos < end)]
+
+
+@lru_cache
+def _skips() -> list[int]:
+    return bits.skip_table().tolist()
+
+
+def first_counts(buf: bytes, start: int, end: int) -> dict[str, int]:
+    """How many offsets in [start, end) each of the first three checks rejects, by Boolean algebra on the bits."""
+    b = np.unpackbits(np.frombuffer(buf[start >> 3 : ((end + 7) >> 3) + 2], np.uint8), bitorder="little")
+    b = np.concatenate([b, np.zeros(16, np.uint8)])[start & 7 :].astype(bool)
+    n = end - start
+    at = lambda k: b[k : k + n]
+    going = ~at(0)
+    typed = going & ~at(1) & at(2)
+    many = typed & at(4) & at(5) & at(6) & at(7)
+    return {"final_bit": n - int(going.sum()), "block_type": int(going.sum() - typed.sum()), "literal_count": int(many.sum())}
+
+
+#: How each variant tests precodes.
+PRECODE = {"packed": "counters", "skip": "plain", "histset": "histset", "text_only": "plain", "leaves": "leaves"}
 
 
 def cascade(buf: bytes, start: int = 0, end: int | None = None, variant: str = "packed") -> tuple[list[int], dict[str, int]]:
     """(accepted offsets, rejections by step) over bit offsets [start, end)."""
     end = min(8 * len(buf), end if end is not None else 8 * len(buf))
     w = bits.words(buf)
-    pos, counts = _first_three(w, variant, start, end)
-    hclen = ((bits.at(w, pos) >> np.uint64(13)) & np.uint64(15)).astype(np.int64)
-    valid, over = _precode(w, pos, hclen, "histset" if variant == "histset" else "packed")
+    pos = starts(buf, w, start, end, variant)
+    counts = first_counts(buf, start, end) | {"passed": len(pos)}
+    valid, over = _precode(w, pos, PRECODE[variant])
     counts |= {"precode_invalid": int(over.sum()), "precode_unused": int((~over & ~valid).sum())}
     accepted = []
     for p in pos[valid].tolist():
@@ -139,43 +228,68 @@ def cascade(buf: bytes, start: int = 0, end: int | None = None, variant: str = "
     return accepted, counts
 
 
+#: Bytes of input for the library's first look at a header.
+_LOOK = 400
+
+
 def _trial(buf: bytes, pos: int, least: int, text: bool = False) -> bool:
-    """Whether inflating at ``pos`` gives ``least`` bytes or reaches a clean end, of text bytes only if asked."""
-    data = primed(buf, pos, (pos >> 3) + (64 << 10))
+    """Whether inflating at ``pos`` gives ``least`` bytes or reaches a clean end, of text bytes only if asked. The library refuses most false headers at a first look."""
     d = zlib.decompressobj(-15, zdict=twins()[0])
     try:
+        d.decompress(primed(buf, pos, (pos >> 3) + _LOOK), 1)
+        data = primed(buf, pos, (pos >> 3) + (64 << 10))
+        d = zlib.decompressobj(-15, zdict=twins()[0])
         out = d.decompress(data, least)
     except zlib.error:
         return False
+    if not (len(out) >= least or d.eof or 8 * len(buf) < pos + 64 * 8 * 1024 and len(out) > 0):
+        return False
     if text:
         # Bytes that differ after another history are unknown; the others must be text.
         other = zlib.decompressobj(-15, zdict=twins()[1]).decompress(data, least)
         a, b = np.frombuffer(out, np.uint8), np.frombuffer(other, np.uint8)
         own = a[a == b]
         return bool(((own >= TEXT[0]) & (own <= TEXT[1])).all())
-    return len(out) >= least or d.eof or 8 * len(buf) < pos + 64 * 8 * 1024 and len(out) > 0
+    return True
+
+
+def _dynamic_start(buf: bytes, p: int) -> bool:
+    return (buf[p >> 3] | (buf[(p >> 3) + 1] << 8 if (p >> 3) + 1 < len(buf) else 0)) >> (p & 7) & 7 == 4
 
 
 def dynamic(buf: bytes, start: int = 0, end: int | None = None, variant: str = "packed", confirm: int = 0) -> list[int]:
-    """Candidates for dynamic blocks by the named variant."""
+    """Candidates for dynamic blocks by the named variant.
+
+    ``zlib`` inflates at every bit, whatever is there, and asks for the type only of what inflates; ``parser`` reads the header at every
+    bit and returns early; the others test the first checks and precodes in bulk. With ``confirm`` the library, which refuses
+    what the later checks refuse, looks at what has a valid precode and must give so many bytes.
+    """
     end = min(8 * len(buf), end if end is not None else 8 * len(buf))
-    if variant in ("zlib", "parser"):
-        out = []
-        for p in range(start, end):
-            if variant == "parser" or bits.BitReader(buf, p).peek(3) == 4:
-                r = bits.BitReader(buf, p)
-                if r.peek(3) != 4 or (r.peek(8) >> 3) >= 30:
-                    continue
-                if variant == "parser" and _lengths(buf, p) != "accepted":
-                    continue
-                if variant == "zlib" and not _trial(buf, p, 1):
-                    continue
-                out.append(p)
-        return [p for p in out if not confirm or _trial(buf, p, confirm)]
-    found, _ = cascade(buf, start, end, "packed" if variant == "text_only" else variant)
+    if variant == "zlib":
+        return [p for p in range(start, end) if _trial(buf, p, max(1, confirm)) and _dynamic_start(buf, p)]
+    if variant == "parser":
+        found = [p for p in range(start, end) if _parsed(buf, p)]
+        return [p for p in found if not confirm or _trial(buf, p, confirm)]
+    if not confirm and variant != "text_only":
+        return cascade(buf, start, end, variant)[0]
+    w = bits.words(buf[start >> 3 : (end + 7) // 8 + 16])
+    base = start >> 3 << 3
+    pos = starts(buf, w, start - base, end - base, variant)
+    pos = pos[_precode(w, pos, "leaves" if variant == "packed" else PRECODE[variant])[0]] + base
     if variant == "text_only":
-        return [p for p in found if _trial(buf, p, max(confirm, 1024), text=True)]
-    return [p for p in found if not confirm or _trial(buf, p, confirm)]
+        return [p for p in pos.tolist() if _trial(buf, p, max(confirm, 1024), text=True)]
+    return [p for p in pos.tolist() if _trial(buf, p, confirm)]
+
+
+def _parsed(buf: bytes, pos: int) -> bool:
+    """The own parser with early return: type, counts, precode, then the lengths."""
+    first = pos >> 3
+    word = int.from_bytes(buf[first : first + 11], "little") >> (pos & 7)
+    if word & 7 != 4 or (word >> 3) & 31 >= 30:
+        return False
+    n = ((word >> 13) & 15) + 4
+    lens = [(word >> (17 + 3 * k)) & 7 for k in range(n)]
+    return huffman.classify(lens) == huffman.VALID and _lengths(buf, pos) == "accepted"
 
 
 def members(buf: bytes, start: int = 0, end: int | None = None) -> Iterator[int]:
@@ -205,15 +319,16 @@ def follow_stored(buf: bytes, lo: int, final: bool = False) -> bool:
     return kind == 1 or _trial(buf, 8 * q, 64)
 
 
-def candidates(buf: bytes, start: int = 0, end: int | None = None, confirm: int = 1024, variant: str = "packed", step: int = 1 << 16, final: bool = False) -> Iterator[tuple[int, int, str]]:
-    """(first bit, last bit that means the same, kind) of confirmed candidates in order, searched ``step`` bytes at a time."""
+def candidates(buf: bytes, start: int = 0, end: int | None = None, confirm: int = 1024, variant: str = "packed", step: int = 1 << 14, final: bool = False) -> Iterator[tuple[int, int, str]]:
+    """(first bit, last bit that means the same, kind) of confirmed candidates in order, searched ``step`` bytes at a time and more from step to step."""
     end = min(8 * len(buf), end if end is not None else 8 * len(buf))
     at = start
     while at < end:
         to = min(end, at + 8 * step)
+        step = min(2 * step, 1 << 18)
         found = [(p, p, "dynamic") for p in dynamic(buf, at, to, variant, confirm)]
         lo_byte = max(0, (at >> 3) - 2)
-        piece = buf[lo_byte : (to >> 3) + 70_000]
+        piece = buf[lo_byte : (to >> 3) + 8]
         found += [(int(a) + 8 * lo_byte, int(b) + 8 * lo_byte, "stored") for a, b in stored(piece, at - 8 * lo_byte, to - 8 * lo_byte) if follow_stored(buf, int(b) + 8 * lo_byte, final)]
         found += [(p, p, "member") for p in members(buf, at, to)]
         yield from sorted(x for x in found if at <= x[1] and x[0] < to)

@@ -15,7 +15,8 @@ from parinflate.functions import probe
 from parinflate.functions.gzipfmt import ChecksumMismatch, CorruptBlock
 from parinflate.operators import spans as spans_
 from parinflate.operators import windows as windows_
-from parinflate.runtime import materialize, ship
+from parinflate.runtime import materialize, ship, spread
+from parinflate.sources.io import Ranged
 
 
 def from_spans(spans: DataFrame, mode: str = "scan", group: int = windows_.GROUP) -> DataFrame:
@@ -41,11 +42,11 @@ def build(archive: DataFrame, slot_bytes: int = spans_.SLOT_BYTES, variant: str
         todo = spans_.hints(part, found)
         if limit is not None:  # the last span has no end yet unless the file ends there
             todo = todo.where(F.col("end_bit").isNotNull() | (F.col("size") <= limit * slot_bytes))
-        spans, rounds = spans_.repair(spans_.decode(todo, fallback, container), max_rounds, fallback, container)
+        spans, rounds = spans_.repair(materialize(todo, "todo"), max_rounds, fallback, container)
         if limit is None or spans.groupBy("file_id").agg(F.sum("out_len").alias("n"), F.max("size").alias("size")).where((F.col("n") >= upto) | (F.col("size") <= limit * slot_bytes)).count() == files:
             break
         limit *= 2
-    broken = spans_.broken(spans)
+    broken = materialize(spans_.broken(spans), "broken")
     damaged = broken.count()
     if damaged and on_error == "fail":
         r = spans.where(~F.col("ok")).select("path", "start_bit", "reason").first()
@@ -55,7 +56,7 @@ def build(archive: DataFrame, slot_bytes: int = spans_.SLOT_BYTES, variant: str
         sound = materialize(spans.join(broken, "file_id", "left").where(F.col("bad_bit").isNull() | (F.col("start_bit") < F.col("bad_bit"))).drop("bad_bit"), "sound")
     index = materialize(from_spans(sound, mode, group), "index")
     counters = {"slots": slots.count(), "candidates": found.count(), "spans": sound.count(), "rounds": rounds, "damaged": damaged}
-    return index, counters | {"linked": sound}
+    return index, counters | {"linked": sound, "broken": broken}
 
 
 def save(index: DataFrame, path: str) -> None:
@@ -77,41 +78,78 @@ def respace(index: DataFrame, spacing: int) -> DataFrame:
     return merged.select("file_id", "path", "size", no, "a.start_bit", "z.end_bit", "a.kind", "z.end_kind", "out_start", "out_len", "a.window")
 
 
-def inflate_point(r: dict, container: str = "gzip") -> probe.Decoded:
-    d = spans_.decode_row(r, r["window"], container)
-    if not d.ok:
-        raise CorruptBlock(f"{r['path']} from bit {r['start_bit']}: {d.reason}")
-    return d
+def point_parts(r: dict, container: str = "gzip") -> Iterator[probe.Part]:
+    """Parts of one point, each of bounded size; an error ends the iteration."""
+    with Ranged(r["path"]) as read:
+        s = spans_.stream(r, r["window"], read, container)
+        yield from s
+    if not s.ok:
+        raise CorruptBlock(f"{r['path']} from bit {r['start_bit']}: {s.reason}")
+
+
+def point_bytes(r: dict, container: str = "gzip") -> Iterator[bytes]:
+    return (p.data for p in point_parts(r, container) if p.data)
+
+
+def _rows(batches: Iterator[pa.RecordBatch]) -> Iterator[dict]:
+    """Points one by one, as each holds a window."""
+    for batch in batches:
+        for k in range(batch.num_rows):
+            yield batch.slice(k, 1).to_pylist()[0]
+
+
+def spread_points(index: DataFrame) -> DataFrame:
+    """Points dealt to tasks by their number and by what is to be read: their files' bytes and, where it is more, an eighth of what they decompress to."""
+    n = index.agg(F.count(F.lit(1)).alias("n"), F.sum("out_len").alias("out")).first()
+    files = index.groupBy("file_id").agg(F.max("size").alias("size")).agg(F.sum("size")).first()[0] or 0
+    return spread(index, n.n, max(files, (n.out or 0) // 8))
 
 
 def read(index: DataFrame, most: int = 64 << 20, container: str = "gzip") -> DataFrame:
-    """(file_id, point_no, out_start, bytes): every point inflated where it is read; cells have at most ``most`` bytes."""
+    """(file_id, point_no, out_start, bytes): every point inflated where it is read; cells have at most ``most`` bytes, and no more than two are held."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in batches:
-            for k in range(batch.num_rows):
-                r = batch.slice(k, 1).to_pylist()[0]
-                data = b"".join(p.data for p in inflate_point(r, container).pieces)
-                for at in range(0, len(data) or 1, most):
-                    yield pa.RecordBatch.from_arrays([pa.array([r["file_id"]]), pa.array([r["point_no"]]), pa.array([r["out_start"] + at]), pa.array([data[at : at + most]], pa.binary())], ["file_id", "point_no", "out_start", "bytes"])
+        for r in _rows(batches):
+            at, held, size = r["out_start"], [], 0
+
+            def cell() -> pa.RecordBatch:
+                return pa.RecordBatch.from_arrays([pa.array([r["file_id"]]), pa.array([r["point_no"]]), pa.array([at]), pa.array([b"".join(held)], pa.binary())], ["file_id", "point_no", "out_start", "bytes"])  # noqa: B023
+
+            for data in point_bytes(r, container):
+                for lo in range(0, len(data), most):
+                    part = data[lo : lo + most]
+                    if size and size + len(part) > most:
+                        yield cell()
+                        at, held, size = at + size, [], 0
+                    held.append(part)
+                    size += len(part)
+            if size or not r["out_len"]:
+                yield cell()
 
     ship(index.sparkSession)
-    return index.mapInArrow(run, schemas.STREAM)
+    return spread_points(index).mapInArrow(run, schemas.STREAM)
 
 
 def checksums(index: DataFrame, container: str = "gzip") -> DataFrame:
-    """(file_id, point_no, out_start, seq, n, crc, ends, footer_crc, isize) of every piece, from bytes that are dropped at once."""
+    """(file_id, point_no, seq, n, crc, ends, footer_crc, isize) of every piece of a member in a point, from bytes that are dropped at once."""
+    kind = pa.schema([(c, pa.bool_() if c == "ends" else pa.int64()) for c in ("file_id", "point_no", "seq", "n", "crc", "ends", "footer_crc", "isize")])
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in batches:
-            rows = []
-            for r in batch.to_pylist():
-                for seq, p in enumerate(inflate_point(r, container).pieces):
-                    rows.append({"file_id": r["file_id"], "point_no": r["point_no"], "seq": seq, "n": len(p.data), "crc": zlib.crc32(p.data), "ends": p.ends, "footer_crc": p.crc, "isize": p.isize})
-            yield pa.RecordBatch.from_pylist(rows, schema=pa.schema([(c, pa.bool_() if c == "ends" else pa.int64()) for c in ("file_id", "point_no", "seq", "n", "crc", "ends", "footer_crc", "isize")]))
+        for r in _rows(batches):
+            rows, n, c = [], 0, 0
+
+            def piece(p: probe.Part) -> dict:
+                return {"file_id": r["file_id"], "point_no": r["point_no"], "seq": len(rows), "n": n, "crc": c, "ends": p.ends, "footer_crc": p.crc, "isize": p.isize}  # noqa: B023
+
+            for p in point_parts(r, container):
+                n, c = n + len(p.data), zlib.crc32(p.data, c)
+                if p.ends:
+                    rows.append(piece(p))
+                    n = c = 0
+            yield pa.RecordBatch.from_pylist([*rows, piece(probe.Part())], schema=kind)
 
     ship(index.sparkSession)
-    return index.mapInArrow(run, "file_id long, point_no long, seq long, n long, crc long, ends boolean, footer_crc long, isize long")
+    return spread_points(index).mapInArrow(run, "file_id long, point_no long, seq long, n long, crc long, ends boolean, footer_crc long, isize long")
 
 
 def _fold(t: pa.Table) -> pa.Table:
@@ -134,35 +172,62 @@ def verify(index: DataFrame, strict: bool = False) -> DataFrame:
     return out
 
 
+#: Requests of a point that one task answers; a point in greater demand is inflated by several.
+REQUESTS = 50_000
+
+
 def read_ranges(requests: DataFrame, index: DataFrame, spacing: int) -> DataFrame:
     """(file_id, request_id, bytes) for requests (file_id, request_id, offset, len).
 
-    Points and requests meet in buckets of ``spacing`` bytes (an equi-join), each point with requests is inflated once, and the parts of a
-    request that spans points are put together again.
+    Points and requests meet in buckets of ``spacing`` bytes (an equi-join), each point with requests is inflated once, or once for every
+    ``REQUESTS`` of them, and the parts of a request that spans points are put together again.
     """
     ship(index.sparkSession)
     buckets = lambda a, b: F.explode(F.sequence(F.floor(a / spacing), F.floor((b - 1) / spacing)))
     asked = requests.where("len > 0").withColumn("bucket", buckets(F.col("offset"), F.col("offset") + F.col("len")))
     points = index.where("out_len > 0").select("file_id", "point_no", "out_start", "out_len").withColumn("bucket", buckets(F.col("out_start"), F.col("out_start") + F.col("out_len")))
     hit = asked.join(points, ["file_id", "bucket"]).where((F.col("offset") < F.col("out_start") + F.col("out_len")) & (F.col("out_start") < F.col("offset") + F.col("len")))
-    hit = hit.select("file_id", "point_no", F.struct("request_id", "offset", "len").alias("ask")).distinct()
-    salted = hit.withColumn("salt", F.pmod(F.xxhash64("ask"), F.lit(8)))  # a point in great demand is inflated by several tasks
-    grouped = salted.groupBy("file_id", "point_no", "salt").agg(F.collect_list("ask").alias("asks"))
+    hit = materialize(hit.select("file_id", "point_no", "request_id", "offset", "len").distinct(), "asked")
+    demand = hit.groupBy("file_id", "point_no").agg(F.count(F.lit(1)).alias("n")).withColumn("salts", F.ceil(F.col("n") / REQUESTS).cast("int")).drop("n")
+    salted = hit.join(demand, ["file_id", "point_no"]).withColumn("salt", F.pmod(F.xxhash64("request_id", "offset"), F.col("salts")).cast("int"))
+    grouped = salted.groupBy("file_id", "point_no", "salt").agg(F.array_sort(F.collect_list(F.struct("offset", "len", "request_id"))).alias("asks"))
+    kind = pa.schema([("file_id", pa.int64()), ("request_id", pa.int64()), ("part", pa.int64()), ("bytes", pa.binary())])
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in batches:
-            for k in range(batch.num_rows):
-                r = batch.slice(k, 1).to_pylist()[0]
-                data = b"".join(p.data for p in inflate_point(r).pieces)
-                rows = []
-                for q in r["asks"]:
-                    at = q["offset"] - r["out_start"]
-                    rows.append({"file_id": r["file_id"], "request_id": q["request_id"], "part": r["point_no"], "bytes": data[max(0, at) : max(0, at + q["len"])]})
-                yield pa.RecordBatch.from_pylist(rows, schema=pa.schema([("file_id", pa.int64()), ("request_id", pa.int64()), ("part", pa.int64()), ("bytes", pa.binary())]))
-
-    parts = grouped.join(index, ["file_id", "point_no"]).mapInArrow(run, "file_id long, request_id long, part long, bytes binary")
+        for r in _rows(batches):
+            # Requests in order of their offset: bytes before the first that is still open are dropped as the point goes by.
+            asks, rows, open_, base, held = iter(r["asks"]), [], [], r["out_start"], b""
+            nxt = next(asks, None)
+            for data in point_bytes(r):
+                held += data
+                while nxt is not None and nxt["offset"] < base + len(held):
+                    open_.append(nxt)
+                    nxt = next(asks, None)
+                left = []
+                for q in open_:
+                    if q["offset"] + q["len"] <= base + len(held):
+                        rows.append(_part(r, q, held, base))
+                    else:
+                        left.append(q)
+                open_ = left
+                keep = min([max(base, q["offset"]) for q in open_], default=base + len(held))
+                held, base = held[keep - base :], keep
+                if rows:
+                    yield pa.RecordBatch.from_pylist(rows, schema=kind)
+                    rows = []
+                if nxt is None and not open_:
+                    break
+            if open_:
+                yield pa.RecordBatch.from_pylist([_part(r, q, held, base) for q in open_], schema=kind)
+
+    wanted = materialize(grouped.join(index, ["file_id", "point_no"]), "wanted")
+    parts = spread_points(wanted).mapInArrow(run, "file_id long, request_id long, part long, bytes binary")
     whole = parts.groupBy("file_id", "request_id").agg(F.array_sort(F.collect_list(F.struct("part", "bytes"))).alias("p"))
-    return whole.select("file_id", "request_id", F.unhex(F.array_join(F.transform("p", lambda x: F.hex(x["bytes"])), "")).alias("bytes"))
+    return whole.select("file_id", "request_id", F.when(F.size("p") == 1, F.col("p")[0]["bytes"]).otherwise(F.unhex(F.array_join(F.transform("p", lambda x: F.hex(x["bytes"])), ""))).alias("bytes"))
+
+
+def _part(r: dict, q: dict, held: bytes, base: int) -> dict:
+    return {"file_id": r["file_id"], "request_id": q["request_id"], "part": r["point_no"], "bytes": held[max(0, q["offset"] - base) : q["offset"] + q["len"] - base]}
 
 
 def points_upto(index: DataFrame, upto: int) -> DataFrame:

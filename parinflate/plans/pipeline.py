@@ -2,7 +2,8 @@
 
 from __future__ import annotations
 
-from collections.abc import Iterator
+import zlib
+from collections.abc import Callable, Iterator
 
 import numpy as np
 import pyarrow as pa
@@ -11,31 +12,39 @@ from pyspark.sql import functions as F
 
 from parinflate import schemas
 from parinflate.functions import probe
-from parinflate.functions.gzipfmt import NonTextByte
+from parinflate.functions.gzipfmt import CorruptBlock, NonTextByte, ParinflateError, parse_header
 from parinflate.operators import finder, index, records, spans, windows
-from parinflate.runtime import materialize
-from parinflate.sources.io import archives, read_range
+from parinflate.runtime import materialize, spread
+from parinflate.sources.io import Ranged, archives
 
 
 def _archive(spark: SparkSession, source: str | DataFrame) -> DataFrame:
     return archives(spark, source) if isinstance(source, str) else source
 
 
-def decompress(spark: SparkSession, source: str | DataFrame, *, slot_bytes: int = spans.SLOT_BYTES, variant: str = "packed", mode: str = "scan", group: int = windows.GROUP, materialize_as: str = "redecode", ordered: bool = True, fallback: bool = True, on_error: str = "fail", max_out_bytes: int = 64 << 20, max_rounds: int = 32, verify_crc: bool = False, upto_byte: int | None = None) -> DataFrame:
+def decompress(spark: SparkSession, source: str | DataFrame, *, slot_bytes: int = spans.SLOT_BYTES, variant: str = "packed", mode: str = "scan", group: int = windows.GROUP, materialize_as: str = "redecode", ordered: bool = True, fallback: bool = True, on_error: str = "fail", max_out_bytes: int = 64 << 20, max_rounds: int = 32, verify_crc: bool = True, upto_byte: int | None = None) -> DataFrame:
     """(file_id, point_no, out_start, bytes) of the decompressed files.
 
-    ``materialize_as`` redecode: windows are found first and every span is inflated again with its window; symbols: stage 1 keeps its symbols
-    and windows replace their markers. ``variant`` text_only is the predecessor: content must be bytes 9 to 126.
+    ``materialize_as`` redecode: windows are found first and every span is inflated again with its window; symbols: stage 1 keeps its symbols,
+    two bytes for one, and windows replace their markers. ``variant`` text_only is the predecessor: content must be bytes 9 to 126.
+
+    ``on_error`` fail: a damaged file is an error. skip: what links up to the first damage of each file, with a column ``status``,
+    complete or cut. recover: (file_id, start_bit, status, bytes) of :func:`recover`. Checksums of whole files are verified.
     """
     archive = _archive(spark, source)
-    idx, _ = index.build(archive, slot_bytes, variant, mode, group, upto=upto_byte, max_rounds=max_rounds, on_error=on_error, fallback=fallback)
-    if verify_crc:
+    if on_error == "recover":
+        return recover(spark, archive, slot_bytes)
+    idx, counters = index.build(archive, slot_bytes, variant, mode, group, upto=upto_byte, max_rounds=max_rounds, on_error=on_error, fallback=fallback)
+    if verify_crc and upto_byte is None and on_error == "fail":
         index.verify(idx, strict=True)
     if upto_byte is not None:
         idx = index.points_upto(idx, upto_byte)
-    out = resolve(idx, max_out_bytes) if materialize_as == "symbols" else index.read(idx, max_out_bytes)
+    out = kept_symbols(idx) if materialize_as == "symbols" else index.read(idx, max_out_bytes)
     if variant == "text_only":
         out = out.mapInArrow(_text_only, schemas.STREAM)
+    if on_error == "skip":
+        cut = counters["broken"].select(F.col("file_id").alias("cut_id"))
+        out = out.join(cut, F.col("file_id") == F.col("cut_id"), "left").withColumn("status", F.when(F.col("cut_id").isNull(), "complete").otherwise("cut")).drop("cut_id")
     return out.repartitionByRange("file_id", "out_start").sortWithinPartitions("file_id", "out_start") if ordered else out
 
 
@@ -49,18 +58,38 @@ def _text_only(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         yield batch
 
 
-def resolve(idx: DataFrame, most: int = 64 << 20, serial: bool = False) -> DataFrame:
-    """Stage 2 by whole-chunk marker replacement: the symbols of a span meet its window in the task that decodes it. ``serial`` is the ablation in which one task per file does all of it."""
+def kept_symbols(idx: DataFrame) -> DataFrame:
+    """Stage 2 from stage 1's symbols, which are written and meet the windows of their spans by a join."""
+    kept = materialize(spans.symbols(idx.drop("window")), "symbols")
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            for r in batch.to_pylist():
-                d = spans.decode_row(r, None)
-                data = b"".join([probe.apply(p, r["window"]) for p in d.pieces])
-                for at in range(0, len(data) or 1, most):
-                    yield pa.RecordBatch.from_arrays([pa.array([r["file_id"]]), pa.array([r["point_no"]]), pa.array([r["out_start"] + at]), pa.array([data[at : at + most]], pa.binary())], ["file_id", "point_no", "out_start", "bytes"])
+            for k in range(batch.num_rows):
+                r = batch.slice(k, 1).to_pylist()[0]
+                yield pa.RecordBatch.from_arrays([pa.array([r["file_id"]]), pa.array([r["point_no"]]), pa.array([r["out_start"]]), pa.array([probe.replaced(r["symbols"], r["window"])], pa.binary())], ["file_id", "point_no", "out_start", "bytes"])
+
+    where = idx.select("file_id", "start_bit", "point_no", F.col("out_start").alias("base"), "window")
+    return kept.join(where, ["file_id", "start_bit"]).select("file_id", "point_no", (F.col("base") + F.col("off")).alias("out_start"), "symbols", "window").mapInArrow(run, schemas.STREAM)
 
-    rows = idx.repartition("file_id").sortWithinPartitions("file_id", "out_start") if serial else idx
+
+def resolve(idx: DataFrame, serial: bool = False) -> DataFrame:
+    """Stage 2 by whole-chunk marker replacement: the symbols of a span meet its window in the task that decodes it. ``serial`` is the ablation in which one task per file does all of it."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            for k in range(batch.num_rows):
+                r = batch.slice(k, 1).to_pylist()[0]
+                at = r["out_start"]
+                with Ranged(r["path"]) as read:
+                    s = spans.stream(r, None, read)
+                    for p in s:
+                        if p.data:
+                            yield pa.RecordBatch.from_arrays([pa.array([r["file_id"]]), pa.array([r["point_no"]]), pa.array([at]), pa.array([probe.apply(p, r["window"])], pa.binary())], ["file_id", "point_no", "out_start", "bytes"])
+                        at += len(p.data)
+                if not s.ok:
+                    raise CorruptBlock(f"{r['path']} from bit {r['start_bit']}: {s.reason}")
+
+    rows = idx.repartition("file_id").sortWithinPartitions("file_id", "out_start") if serial else index.spread_points(idx)
     return rows.mapInArrow(run, schemas.STREAM)
 
 
@@ -75,42 +104,51 @@ def table(spark: SparkSession, source: str | DataFrame, schema: str, format: str
 
 
 def recover(spark: SparkSession, source: str | DataFrame, slot_bytes: int = spans.SLOT_BYTES, unknown: bytes = b"?") -> DataFrame:
-    """(file_id, start_bit, status, bytes): what decodes of damaged files. Spans before the damage are sound; after it, decoding goes on at the next
-    block that is found, and bytes that came from lost history are ``unknown``."""
+    """(file_id, start_bit, off, status, bytes): what decodes of damaged files, in cells from byte ``off`` of a span. Spans before the damage are sound;
+    after it, decoding goes on at the next block that is found, and bytes that came from lost history are ``unknown``. What a broken
+    span gives before the break is damaged."""
     archive = _archive(spark, source)
     slots = materialize(spans.plan(archive, slot_bytes), "slots")
-    todo = spans.hints(slots, materialize(spans.find(slots), "candidates"))
-    stage1 = materialize(spans.decode(todo), "spans")
+    todo = materialize(spans.hints(slots, materialize(spans.find(slots), "candidates")), "todo")
+    stage1 = materialize(spans.decode(todo), "spans").drop("tail_map", "pieces")
+    names = ["file_id", "start_bit", "off", "status", "bytes"]
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
             for r in batch.to_pylist():
-                d = spans.decode_row(r, None)
-                data = b"".join(probe.apply(p, unknown * probe.WINDOW) for p in d.pieces) if d.ok else b""
-                if not d.ok:  # what decodes before the break
-                    buf = read_range(r["path"], r["start_bit"] // 8, (r["end_bit"] or 8 * r["size"]) // 8 - r["start_bit"] // 8 + 64)
-                    data = prefix(buf, r["start_bit"] % 8, r["kind"])
-                yield pa.RecordBatch.from_arrays([pa.array([r["file_id"]]), pa.array([r["start_bit"]]), pa.array(["sound" if d.ok and not d.n_markers else "partial" if d.ok else "damaged"]), pa.array([data], pa.binary())], ["file_id", "start_bit", "status", "bytes"])
-
-    return stage1.drop("tail_map", "pieces").mapInArrow(run, "file_id long, start_bit long, status string, bytes binary")
-
-
-def prefix(buf: bytes, start_bit: int, kind: str) -> bytes:
-    """Bytes up to the first error, kilobyte by kilobyte; lost history reads as the first twin."""
-    import zlib
-
-    from parinflate.functions.gzipfmt import parse_header
-
+                status = "sound" if r["ok"] and not r["n_markers"] else "partial" if r["ok"] else "damaged"
+                off = 0
+                with Ranged(r["path"]) as read:
+                    if r["ok"]:
+                        cells = (probe.apply(p, unknown * probe.WINDOW) for p in spans.stream(r, None, read) if p.data)
+                    else:
+                        cells = prefix(read, r["start_bit"], r["end_bit"] or 8 * r["size"], r["kind"])
+                    for data in cells:
+                        yield pa.RecordBatch.from_arrays([pa.array([r["file_id"]]), pa.array([r["start_bit"]]), pa.array([off]), pa.array([status]), pa.array([data], pa.binary())], names)
+                        off += len(data)
+
+    return spread(stage1, stage1.count(), 0).mapInArrow(run, "file_id long, start_bit long, off long, status string, bytes binary")
+
+
+def prefix(read: Callable[[int, int], bytes], start_bit: int, end_bit: int, kind: str, step: int = 1024) -> Iterator[bytes]:
+    """Bytes up to the first error, ``step`` by ``step`` bytes of input; lost history reads as question marks."""
+    at, stop = start_bit >> 3, min((end_bit >> 3) + 64, end_bit + 7 >> 3)
+    d = zlib.decompressobj(-15) if kind == "member" else zlib.decompressobj(-15, zdict=b"?" * probe.WINDOW)
     if kind == "member":
-        d, data = zlib.decompressobj(-15), buf[parse_header(buf, 0).end :]
-    else:
-        d, data = zlib.decompressobj(-15, zdict=b"?" * probe.WINDOW), probe.primed(buf, start_bit, len(buf))
-    out = []
-    for k in range(0, len(data), 1024):
         try:
-            out.append(d.decompress(data[k : k + 1024]))
+            at += parse_header(read(at, 1 << 16), 0).end
+        except ParinflateError:
+            return
+    first = kind != "member"
+    while at < stop and not d.eof:
+        part = read(at, min(step, stop - at))
+        if not part:
+            return
+        at += len(part)
+        try:
+            out = d.decompress(probe.primed(part, start_bit & 7, len(part)) if first else part)
         except zlib.error:
-            break
-        if d.eof:
-            break
-    return b"".join(out)
+            return
+        first = False
+        if out:
+            yield out

@@ -71,6 +71,24 @@ def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
     return spark.read.parquet(f"{sf_dir}/{name}.parquet")
 
 
+#: Bytes that a task of heavy work reads, and tasks per core at least where there is enough to do.
+TASK_BYTES, WAVES = 256 << 20, 4
+
+
+def tasks(spark: SparkSession, units: int, n_bytes: int) -> int:
+    """How many tasks ``units`` of work over ``n_bytes`` are dealt to: several for each core, none with more than ``TASK_BYTES``, no more than there are units."""
+    return max(1, min(units, max(WAVES * spark.sparkContext.defaultParallelism, -(-n_bytes // TASK_BYTES))))
+
+
+def spread(df: DataFrame, units: int, n_bytes: int) -> DataFrame:
+    """``df``, a thin table of units of heavy work, dealt evenly to :func:`tasks`; otherwise the work would run where the thin rows happen to lie, which is one task.
+
+    Rows are dealt in turn, so that neighbours, which tend to be alike, go to different tasks; an explicit count is not merged by AQE.
+    """
+    n = tasks(df.sparkSession, units, n_bytes)
+    return df.repartition(n) if n > 1 else df.coalesce(1)
+
+
 def shuffle_partitions(spark: SparkSession) -> int:
     return int(spark.conf.get("spark.sql.shuffle.partitions", "200"))
 

@@ -15,7 +15,7 @@ import pyarrow.dataset as ds
 from pyspark.sql.datasource import DataSource, DataSourceReader, EqualTo, Filter, GreaterThan, GreaterThanOrEqual, InputPartition, LessThan, LessThanOrEqual
 
 from parinflate import schemas
-from parinflate.operators.index import inflate_point
+from parinflate.operators.index import point_bytes
 from parinflate.sources.io import local, read_range
 
 META = ["file_id", "path", "size", "point_no", "start_bit", "end_bit", "kind", "end_kind", "out_start", "out_len"]
@@ -50,7 +50,7 @@ class _Plain(DataSourceReader):
         if self.index:
             only = (ds.field("file_id") == r["file_id"]) & (ds.field("point_no") == r["point_no"])
             window = ds.dataset(local(self.index) or self.index, partitioning=None).to_table(columns=["window"], filter=only)["window"][0].as_py()
-            pieces = [b"".join(p.data for p in inflate_point(r | {"window": window}).pieces)]
+            pieces = point_bytes(r | {"window": window})
         else:
             pieces = serial(r["path"])
         at, carry = r["out_start"], b""

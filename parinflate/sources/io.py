@@ -32,6 +32,39 @@ def read_range(path: str, offset: int, length: int) -> bytes:
         return f.read_at(length, offset)
 
 
+class Ranged:
+    """Ranges of one file through one open handle, with ``ahead`` bytes read at a time."""
+
+    def __init__(self, path: str, ahead: int = 4 << 20):
+        self.ahead, self.base, self.held = ahead, 0, b""
+        if (p := local(path)) is not None:
+            self.file = open(p, "rb", buffering=0)  # noqa: SIM115
+        else:
+            from pyarrow.fs import FileSystem
+
+            fs, p = FileSystem.from_uri(path)
+            self.file = fs.open_input_file(p)
+
+    def __call__(self, offset: int, length: int) -> bytes:
+        """Bytes [offset, offset + length); fewer at the file's end."""
+        at = offset - self.base
+        if at < 0 or at + length > len(self.held):
+            self.file.seek(offset)
+            want, parts = max(length, self.ahead), []
+            while want > 0 and (part := self.file.read(want)):
+                parts.append(part)
+                want -= len(part)
+            self.base, self.held, at = offset, b"".join(parts), 0
+        return self.held[at : at + length]
+
+    def __enter__(self) -> Ranged:
+        return self
+
+    def __exit__(self, *_) -> None:
+        self.file.close()
+        self.held = b""
+
+
 def read_strided(path: str, size: int, readers: int, piece: int = 128 << 10) -> list[tuple[int, bytes]]:
     """The file in pieces, each reader taking every ``readers``-th."""
 

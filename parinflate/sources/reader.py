@@ -10,7 +10,7 @@ from threading import Lock
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from parinflate.operators.index import inflate_point
+from parinflate.operators.index import point_bytes
 from parinflate.plans.prefetch import STRATEGIES, ChunkCache
 
 
@@ -44,7 +44,7 @@ class SeekableReader(io.RawIOBase):
         return self.at
 
     def _decode(self, k: int) -> bytes:
-        data = b"".join(p.data for p in inflate_point(self.points[k]).pieces)
+        data = b"".join(point_bytes(self.points[k]))
         with self.lock:
             self.decoded += len(data)
         return data
