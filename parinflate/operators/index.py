@@ -29,39 +29,51 @@ def from_spans(spans: DataFrame, mode: str = "scan", group: int = windows_.GROUP
 
 
 def build(archive: DataFrame, slot_bytes: int = spans_.SLOT_BYTES, variant: str = "packed", mode: str = "scan", group: int = windows_.GROUP, confirm: int = 1024, upto: int | None = None, max_rounds: int = 32, on_error: str = "fail", container: str = "gzip", fallback: bool = True) -> tuple[DataFrame, dict]:
-    """(index, counters). With ``upto`` only as many slots are read as hold that decompressed byte, by doubling."""
+    """(index, counters). With ``upto`` only as many slots are read as hold that decompressed byte, by doubling.
+
+    Where ``on_error`` is not fail, the index ends at the first damage of each file, and the counter ``broken`` is the table (file_id, bad_bit) of
+    the files whose index is not whole.
+    """
     ship(archive.sparkSession)
-    slots = materialize(spans_.plan(archive, slot_bytes), "slots")
-    limit = None
+    slots = spans_.plan(archive, slot_bytes)
+    # One row: files, bytes and slots, by which all work is dealt.
+    known = archive.agg(F.count(F.lit(1)).alias("files"), F.sum("size").alias("bytes"), F.sum(F.greatest(F.lit(1), F.ceil(F.col("size") / slot_bytes))).cast("long").alias("slots")).first()
+    work, limit = (known.slots or 0, known.bytes or 0), None
     if upto is not None:
         limit = 1 + max(1, -(-upto // (4 * slot_bytes)))
-        files = archive.count()
     while True:
         part = slots if limit is None else slots.where(F.col("slot_no") < limit)
-        found = materialize(spans_.find(part, confirm, variant, container), "candidates")
+        found = materialize(spans_.find(part, confirm, variant, container, work), "candidates")
         todo = spans_.hints(part, found)
         if limit is not None:  # the last span has no end yet unless the file ends there
             todo = todo.where(F.col("end_bit").isNotNull() | (F.col("size") <= limit * slot_bytes))
-        spans, rounds = spans_.repair(materialize(todo, "todo"), max_rounds, fallback, container)
-        if limit is None or spans.groupBy("file_id").agg(F.sum("out_len").alias("n"), F.max("size").alias("size")).where((F.col("n") >= upto) | (F.col("size") <= limit * slot_bytes)).count() == files:
+        spans, rounds, clean = spans_.repair(todo, max_rounds, fallback, container, work)
+        if limit is None or spans.groupBy("file_id").agg(F.sum("out_len").alias("n"), F.max("size").alias("size")).where((F.col("n") >= upto) | (F.col("size") <= limit * slot_bytes)).count() == known.files:
             break
         limit *= 2
-    broken = materialize(spans_.broken(spans), "broken")
-    damaged = broken.count()
-    if damaged and on_error == "fail":
-        r = spans.where(~F.col("ok")).select("path", "start_bit", "reason").first()
-        raise CorruptBlock(f"{r.path} from bit {r.start_bit}: {r.reason}")
-    sound = spans
-    if damaged:  # what links, up to the first break of each file; the rest is for recovery
+    sound, broken, damaged = spans, None, 0
+    if not clean:
+        broken = materialize(spans_.broken(spans), "broken")
+        damaged = broken.count()
+        if on_error == "fail":
+            r = spans.where(~F.col("ok")).select("path", "start_bit", "reason").first()
+            raise CorruptBlock(f"{r.path} from bit {r.start_bit}: {r.reason}")
+        # What links, up to the first break of each file; the rest is for recovery.
         sound = materialize(spans.join(broken, "file_id", "left").where(F.col("bad_bit").isNull() | (F.col("start_bit") < F.col("bad_bit"))).drop("bad_bit"), "sound")
     index = materialize(from_spans(sound, mode, group), "index")
-    counters = {"slots": slots.count(), "candidates": found.count(), "spans": sound.count(), "rounds": rounds, "damaged": damaged}
+    broken = broken if broken is not None else sound.sparkSession.createDataFrame([], "file_id long, bad_bit long")
+    counters = {"slots": work[0], "candidates": found.count(), "spans": index.count(), "rounds": rounds, "damaged": damaged}
     return index, counters | {"linked": sound, "broken": broken}
 
 
+#: Bytes of a row group of a saved index: some hundred points.
+GROUP_BYTES = 8 << 20
+
+
 def save(index: DataFrame, path: str) -> None:
-    """One sorted Parquet table; windows compress with zstd."""
-    index.repartitionByRange("file_id", "out_start").sortWithinPartitions("file_id", "out_start").write.mode("overwrite").option("compression", "zstd").parquet(path)
+    """One sorted Parquet table; windows compress with zstd. Row groups are small, so that their statistics find a position."""
+    ranged = index.repartitionByRange("file_id", "out_start").sortWithinPartitions("file_id", "out_start")
+    ranged.write.mode("overwrite").option("compression", "zstd").option("parquet.block.size", GROUP_BYTES).option("parquet.page.size.row.check.min", 8).option("parquet.block.size.row.check.min", 8).parquet(path)
 
 
 def load(spark, path: str) -> DataFrame:

@@ -25,8 +25,8 @@ def plan(archive: DataFrame, slot_bytes: int = SLOT_BYTES) -> DataFrame:
     return slots.select("file_id", "path", "size", "slot_no", (F.col("slot_no") * slot_bytes * 8).alias("guess_bit"), F.least((F.col("slot_no") + 1) * slot_bytes, F.col("size")).alias("limit")).withColumn("limit_bit", F.col("limit") * 8).drop("limit")
 
 
-def find(slots: DataFrame, confirm: int = 1024, variant: str = "packed", container: str = "gzip") -> DataFrame:
-    """At most one candidate per slot: the first confirmed one. A file's first slot starts at its header."""
+def find(slots: DataFrame, confirm: int = 1024, variant: str = "packed", container: str = "gzip", work: tuple[int, int] | None = None) -> DataFrame:
+    """At most one candidate per slot: the first confirmed one. A file's first slot starts at its header. ``work``: how many slots and bytes, where that is known."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
@@ -43,11 +43,13 @@ def find(slots: DataFrame, confirm: int = 1024, variant: str = "packed", contain
             yield pa.RecordBatch.from_pylist([dict(zip(("file_id", "slot_no", "start_bit", "last_bit", "kind"), x, strict=True)) for x in rows], schema=pa.schema([("file_id", pa.int64()), ("slot_no", pa.int64()), ("start_bit", pa.int64()), ("last_bit", pa.int64()), ("kind", pa.string())]))
 
     ship(slots.sparkSession)
-    return _spread(slots).mapInArrow(run, schemas.CANDIDATE)
+    return _spread(slots, work).mapInArrow(run, schemas.CANDIDATE)
 
 
-def _spread(rows: DataFrame) -> DataFrame:
-    """Slots or spans, a thin written table, dealt to tasks by their number and the bytes of their files."""
+def _spread(rows: DataFrame, work: tuple[int, int] | None = None) -> DataFrame:
+    """Slots or spans, a thin table, dealt to tasks by their number and the bytes of their files."""
+    if work is not None:
+        return spread(rows, *work)
     n, files = rows.count(), rows.groupBy("file_id").agg(F.max("size").alias("size"))
     return spread(rows, n, files.agg(F.sum("size")).first()[0] or 0)
 
@@ -73,7 +75,7 @@ _PIECES = pa.list_(pa.struct([("n", pa.int64()), ("crc", pa.int64()), ("ends", p
 _FOUND = [("ok", pa.bool_()), ("reason", pa.string()), ("out_len", pa.int64()), ("n_markers", pa.int64()), ("last_marker", pa.int64()), ("fallback_pos", pa.int64()), ("tail_map", pa.binary()), ("pieces", _PIECES)]
 
 
-def decode(spans: DataFrame, fallback: bool = True, container: str = "gzip") -> DataFrame:
+def decode(spans: DataFrame, fallback: bool = True, container: str = "gzip", work: tuple[int, int] | None = None) -> DataFrame:
     """Stage 1 of every span without its history: sizes, markers, the tail as a function of the window, checksums of pieces; no payload. A task holds a few MB of a span at a time, however long or dense it is."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -86,7 +88,7 @@ def decode(spans: DataFrame, fallback: bool = True, container: str = "gzip") ->
                 yield pa.RecordBatch.from_pylist([r | found], schema=schema)
 
     ship(spans.sparkSession)
-    return _spread(spans).mapInArrow(run, schemas.SPAN)
+    return _spread(spans, work).mapInArrow(run, schemas.SPAN)
 
 
 def symbols(spans: DataFrame, container: str = "gzip") -> DataFrame:
@@ -117,19 +119,21 @@ def broken(spans: DataFrame) -> DataFrame:
 _STATE = ("file_id", "path", "size", "start_bit", "end_bit", "kind", "end_kind", "ok")
 
 
-def repair(todo: DataFrame, max_rounds: int = 32, fallback: bool = True, container: str = "gzip") -> tuple[DataFrame, int]:
-    """(linked spans, rounds): decode ``todo`` and mend what does not link.
+def repair(todo: DataFrame, max_rounds: int = 32, fallback: bool = True, container: str = "gzip", work: tuple[int, int] | None = None) -> tuple[DataFrame, int, bool]:
+    """(linked spans, rounds, whether all link): decode ``todo`` and mend what does not link.
 
     A span that does not end at the next candidate is decoded again to a later one, and what it covers falls out. The first
     rounds extend the first span of every run of bad ones by one candidate. Later rounds extend the first of each file by twice
     as many as before: a boundary skipped costs parallelism, never a wrong result. Each round writes what it decodes and
     a thin table of who is in the chain; tail maps are not written again.
     """
-    parts = [materialize(decode(todo, fallback, container), "spans")]
+    parts = [materialize(decode(todo, fallback, container, work), "spans")]
     state = parts[0].select(*_STATE, F.lit(0).alias("part"))
     reach = rounds = 0
+    clean = False
     for rounds in range(max_rounds + 1):
-        if rounds == max_rounds or not state.where(~F.col("ok")).take(1):
+        clean = not state.where(~F.col("ok")).take(1)
+        if rounds == max_rounds or clean:
             break
         reach = 1 if rounds < 4 else 2 * reach
         w = Window.partitionBy("file_id").orderBy("start_bit")
@@ -147,7 +151,7 @@ def repair(todo: DataFrame, max_rounds: int = 32, fallback: bool = True, contain
         fresh = parts[-1].select(*_STATE, F.lit(len(parts) - 1).alias("part"))
         state = materialize(state.join(gone, ["file_id", "start_bit"], "left_anti").unionByName(fresh), "state")
     if len(parts) == 1:
-        return parts[0], rounds
+        return parts[0], rounds, clean
     # Rows of a part that later parts replaced are few; what is left of each part stays where it is.
     out = None
     for k, part in enumerate(parts):
@@ -155,4 +159,4 @@ def repair(todo: DataFrame, max_rounds: int = 32, fallback: bool = True, contain
         stale = materialize(part.select("file_id", "start_bit").join(left, ["file_id", "start_bit"], "left_anti"), "stale")
         kept = part.join(stale, ["file_id", "start_bit"], "left_anti")
         out = kept if out is None else out.unionByName(kept)
-    return out, rounds
+    return out, rounds, clean

@@ -47,6 +47,9 @@ def propagate(spans: DataFrame, mode: str = "scan", group: int = GROUP) -> DataF
     """(file_id, start_bit, window) of every span; ``spans`` are linked and in a written table."""
     ship(spans.sparkSession)
     thin = spans.select("file_id", "start_bit", "tail_map")
+    if mode == "scan":  # one group each: the scan is the walk
+        most = spans.groupBy("file_id").agg(F.count(F.lit(1)).alias("n")).agg(F.max("n")).first()[0] or 0
+        mode = "serial" if most <= group else mode
     if mode == "serial":
         return thin.groupBy("file_id").applyInArrow(_walk("start_bit"), "file_id long, start_bit long, window binary")
     places = spans.select("file_id", "start_bit").withColumn("block", F.floor((F.row_number().over(Window.partitionBy("file_id").orderBy("start_bit")) - 1) / group).cast("long"))

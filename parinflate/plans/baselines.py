@@ -13,10 +13,13 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from parinflate import schemas
+from parinflate.functions import probe
+from parinflate.functions.gzipfmt import CorruptBlock
 from parinflate.operators import finder, index
-from parinflate.runtime import ship
+from parinflate.operators.spans import stream
+from parinflate.runtime import materialize, ship, spread
 from parinflate.sources.gzip_source import serial
-from parinflate.sources.io import read_range
+from parinflate.sources.io import LOOKAHEAD, Ranged, read_range
 
 _OUT = "file_id long, seq long, bytes binary"
 ZSTD_MAGIC = b"\x28\xb5\x2f\xfd"
@@ -124,7 +127,7 @@ def bgzf_points(archive: DataFrame, run_bytes: int = 4 << 20) -> DataFrame:
 
 def bgzf(archive: DataFrame) -> DataFrame:
     """Members in parallel."""
-    return index.read(bgzf_points(archive).repartition("file_id", "point_no"))
+    return index.read(materialize(bgzf_points(archive), "bgzf-index"))
 
 
 def _slots(archive: DataFrame, slot_bytes: int) -> DataFrame:
@@ -133,29 +136,59 @@ def _slots(archive: DataFrame, slot_bytes: int) -> DataFrame:
     return plan(archive, slot_bytes)
 
 
-def zstd(archive: DataFrame, slot_bytes: int = 4 << 20) -> DataFrame:
-    """Frames that begin in a slot are decoded by its task. A frame's start is its magic and that it decodes; (file_id, out_start by order, bytes)."""
+def zstd(archive: DataFrame, slot_bytes: int = 4 << 20, most: int = 8 << 20) -> DataFrame:
+    """Frames that begin in a slot are decoded by its task, piece by piece, as far as they go. A frame's start is its magic and that it decodes; (file_id, seq, bytes), ordered by seq."""
+
+    def frame(read: Ranged, at: int) -> Iterator[bytes | int]:
+        """Pieces of the frame at byte ``at``, and at last where it ends."""
+        import zstandard
+
+        d, held, size = zstandard.ZstdDecompressor().decompressobj(), [], 0
+        while part := read(at, 1 << 18):
+            out = d.decompress(part)
+            at += len(part) - len(d.unused_data)
+            held.append(out)
+            size += len(out)
+            if size >= most or d.eof:
+                yield b"".join(held)
+                held, size = [], 0
+            if d.eof:
+                yield at
+                return
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         import zstandard
 
         for batch in batches:
             for r in batch.to_pylist():
-                lo, hi = r["guess_bit"] // 8, r["limit_bit"] // 8
-                buf = read_range(r["path"], lo, r["size"] - lo)
-                at = buf.find(ZSTD_MAGIC)
-                while 0 <= at < hi - lo:
-                    d = zstandard.ZstdDecompressor().decompressobj()
-                    try:
-                        data = d.decompress(buf[at:])
-                    except zstandard.ZstdError:
-                        at = buf.find(ZSTD_MAGIC, at + 1)
-                        continue
-                    yield pa.RecordBatch.from_arrays([pa.array([r["file_id"]]), pa.array([lo + at]), pa.array([data], pa.binary())], ["file_id", "seq", "bytes"])
-                    at = len(buf) - len(d.unused_data) if d.unused_data else -1
+                at, hi = r["guess_bit"] // 8, r["limit_bit"] // 8
+                with Ranged(r["path"]) as read:
+                    while at < hi:
+                        buf = read(at, min(1 << 18, hi - at) + 3)
+                        k = buf.find(ZSTD_MAGIC)
+                        if k < 0:
+                            at += max(1, len(buf) - 3)
+                            continue
+                        at, begin, seq = at + k, at + k, 0
+                        try:
+                            for x in frame(read, begin):
+                                if isinstance(x, int):
+                                    at = x
+                                else:
+                                    yield pa.RecordBatch.from_arrays([pa.array([r["file_id"]]), pa.array([(begin << 16) + seq]), pa.array([x], pa.binary())], ["file_id", "seq", "bytes"])
+                                    seq += 1
+                        except zstandard.ZstdError:
+                            if seq:  # not a chance match
+                                raise
+                        at = max(at, begin + 1)
 
     ship(archive.sparkSession)
-    return _slots(archive, slot_bytes).repartition("file_id", "slot_no").mapInArrow(run, _OUT)
+    return _dealt(archive, slot_bytes).mapInArrow(run, _OUT)
+
+
+def _dealt(archive: DataFrame, slot_bytes: int) -> DataFrame:
+    known = archive.agg(F.sum(F.greatest(F.lit(1), F.ceil(F.col("size") / slot_bytes))).cast("long"), F.sum("size")).first()
+    return spread(_slots(archive, slot_bytes), known[0] or 0, known[1] or 0)
 
 
 def bzip2_blocks(buf: bytes) -> list[int]:
@@ -179,14 +212,14 @@ def bzip2(archive: DataFrame, slot_bytes: int = 4 << 20) -> DataFrame:
                 lo, hi = r["guess_bit"] // 8, r["limit_bit"] // 8
                 level = read_range(r["path"], 3, 1)
                 buf = read_range(r["path"], lo, hi - lo + (2 << 20))
-                whole = int.from_bytes(buf, "big")
                 starts, n = bzip2_blocks(buf), 8 * len(buf)
                 ends = sorted([*starts, *bzip2_ends(buf)])
                 for s in starts:
                     if s >= 8 * (hi - lo):
                         continue
                     e = next((x for x in ends if x > s), n)
-                    block = (whole >> (n - e)) & ((1 << (e - s)) - 1)
+                    last = (e + 7) // 8
+                    block = (int.from_bytes(buf[s // 8 : last], "big") >> (8 * last - e)) & ((1 << (e - s)) - 1)
                     check = (block >> (e - s - 80)) & 0xFFFFFFFF
                     width = e - s + 80
                     stream = ((block << 80) | (BZIP2_END << 32) | check) << (-width % 8)
@@ -194,7 +227,7 @@ def bzip2(archive: DataFrame, slot_bytes: int = 4 << 20) -> DataFrame:
                     yield pa.RecordBatch.from_arrays([pa.array([r["file_id"]]), pa.array([8 * lo + s]), pa.array([data], pa.binary())], ["file_id", "seq", "bytes"])
 
     ship(archive.sparkSession)
-    return _slots(archive, slot_bytes).repartition("file_id", "slot_no").mapInArrow(run, _OUT)
+    return _dealt(archive, slot_bytes).mapInArrow(run, _OUT)
 
 
 def bzip2_ends(buf: bytes) -> list[int]:
@@ -208,30 +241,42 @@ def bzip2_ends(buf: bytes) -> list[int]:
     return np.flatnonzero(ok).tolist()
 
 
-def serial_index(archive: DataFrame, spacing: int = 4 << 20) -> DataFrame:
-    """An index from one pass per file, as a seekable library makes it: a slot as large as the file, then points at found blocks."""
+def serial_index(archive: DataFrame, spacing: int = 4 << 20, look: int = 1 << 20) -> DataFrame:
+    """An index from one pass per file, as a seekable library makes it: from each point on, the next block that is found after ``spacing`` bytes."""
 
-    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        from parinflate.functions import probe
+    def ahead(read: Ranged, size: int, bit: int) -> Iterator[tuple[int, int, str]]:
+        """Candidates from a bit on, ``look`` bytes at a time."""
+        while bit < 8 * size:
+            lo = max(0, bit // 8 - 8)
+            buf = read(lo, look + LOOKAHEAD)
+            to = min(8 * len(buf), 8 * look)
+            for a, b, kind in finder.candidates(buf, bit - 8 * lo, to, final=lo + len(buf) >= size):
+                yield a + 8 * lo, b + 8 * lo, kind
+            bit = 8 * lo + to
 
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        names = [c.split() for c in schemas.INDEX.split(", ")]
+        kinds = {"long": pa.int64(), "string": pa.string(), "binary": pa.binary()}
         for batch in batches:
-            rows = []
             for r in batch.to_pylist():
-                buf = read_range(r["path"], 0, r["size"])
                 at, kind, window, out, no = 0, "member", b"", 0, 0
-                while at < 8 * len(buf):
-                    nxt = next((c for c in finder.candidates(buf, at + 8 * spacing, None) if probe.decode_span(buf, at, c[1], "member" if kind == "member" else "block", c[2] if c[2] in ("member", "stored") else "block", window).ok), None)
-                    end, end_kind = (nxt[1], nxt[2]) if nxt else (None, None)
-                    d = probe.decode_span(buf, at, end, "member" if kind == "member" else "block", end_kind if end_kind in ("member", "stored") else "block", window)
-                    rows.append({"file_id": r["file_id"], "path": r["path"], "size": r["size"], "point_no": no, "start_bit": at, "end_bit": end, "kind": kind, "end_kind": end_kind, "out_start": out, "out_len": d.out_len, "window": window})
-                    window = probe.step(probe.tail_map(d), window)
-                    out, no = out + d.out_len, no + 1
-                    if nxt is None:
-                        break
-                    at, kind = nxt[1], nxt[2]
-            names = [c.split() for c in schemas.INDEX.split(", ")]
-            kinds = {"long": pa.int64(), "string": pa.string(), "binary": pa.binary()}
-            yield pa.RecordBatch.from_pylist(rows, schema=pa.schema([(n, kinds[k]) for n, k in names]))
+                with Ranged(r["path"]) as read, Ranged(r["path"]) as again:
+                    while at is not None:
+                        found = None
+                        for _, b, k in ahead(read, r["size"], at + 8 * spacing):
+                            d = probe.Summary(stream({"size": r["size"], "start_bit": at, "end_bit": b, "kind": kind, "end_kind": k}, window, again))
+                            if d.ok:
+                                found = b, k
+                                break
+                        else:
+                            d = probe.Summary(stream({"size": r["size"], "start_bit": at, "end_bit": None, "kind": kind, "end_kind": None}, window, again))
+                            if not d.ok:
+                                raise CorruptBlock(f"{r['path']} from bit {at}: {d.reason}")
+                        end, end_kind = found or (None, None)
+                        row = {"file_id": r["file_id"], "path": r["path"], "size": r["size"], "point_no": no, "start_bit": at, "end_bit": end, "kind": kind, "end_kind": end_kind, "out_start": out, "out_len": d.out_len, "window": window}
+                        yield pa.RecordBatch.from_pylist([row], schema=pa.schema([(n, kinds[k]) for n, k in names]))
+                        window = probe.step(d.tail_map(), window)
+                        out, no, at, kind = out + d.out_len, no + 1, end, end_kind
 
     ship(archive.sparkSession)
     return archive.mapInArrow(run, schemas.INDEX)

@@ -105,8 +105,8 @@ def table(spark: SparkSession, source: str | DataFrame, schema: str, format: str
 
 def recover(spark: SparkSession, source: str | DataFrame, slot_bytes: int = spans.SLOT_BYTES, unknown: bytes = b"?") -> DataFrame:
     """(file_id, start_bit, off, status, bytes): what decodes of damaged files, in cells from byte ``off`` of a span. Spans before the damage are sound;
-    after it, decoding goes on at the next block that is found, and bytes that came from lost history are ``unknown``. What a broken
-    span gives before the break is damaged."""
+    after it, decoding goes on at the next block from which it reaches the span's end, and bytes that came from lost history are ``unknown``.
+    What a broken span gives before the break is damaged."""
     archive = _archive(spark, source)
     slots = materialize(spans.plan(archive, slot_bytes), "slots")
     todo = materialize(spans.hints(slots, materialize(spans.find(slots), "candidates")), "todo")
@@ -116,20 +116,39 @@ def recover(spark: SparkSession, source: str | DataFrame, slot_bytes: int = span
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
             for r in batch.to_pylist():
-                status = "sound" if r["ok"] and not r["n_markers"] else "partial" if r["ok"] else "damaged"
-                off = 0
+                def cells(status: str, at: int, pieces: Iterator[bytes]) -> Iterator[pa.RecordBatch]:
+                    off = 0
+                    for data in pieces:
+                        yield pa.RecordBatch.from_arrays([pa.array([r["file_id"]]), pa.array([at]), pa.array([off]), pa.array([status]), pa.array([data], pa.binary())], names)  # noqa: B023
+                        off += len(data)
+
+                def whole(of: dict) -> Iterator[bytes]:
+                    return (probe.apply(p, unknown * probe.WINDOW) for p in spans.stream(of, None, read) if p.data)  # noqa: B023
+
                 with Ranged(r["path"]) as read:
                     if r["ok"]:
-                        cells = (probe.apply(p, unknown * probe.WINDOW) for p in spans.stream(r, None, read) if p.data)
-                    else:
-                        cells = prefix(read, r["start_bit"], r["end_bit"] or 8 * r["size"], r["kind"])
-                    for data in cells:
-                        yield pa.RecordBatch.from_arrays([pa.array([r["file_id"]]), pa.array([r["start_bit"]]), pa.array([off]), pa.array([status]), pa.array([data], pa.binary())], names)
-                        off += len(data)
+                        yield from cells("partial" if r["n_markers"] else "sound", r["start_bit"], whole(r))
+                        continue
+                    yield from cells("damaged", r["start_bit"], prefix(read, r["start_bit"], r["end_bit"] or 8 * r["size"], r["kind"]))
+                    if found := _next_sound(read, r):
+                        of, n_markers = found
+                        yield from cells("partial" if n_markers else "sound", of["start_bit"], whole(of))
 
     return spread(stage1, stage1.count(), 0).mapInArrow(run, "file_id long, start_bit long, off long, status string, bytes binary")
 
 
+def _next_sound(read: Ranged, r: dict) -> tuple[dict, int] | None:
+    """The first block or member inside a broken span from which its end is reached, and how many of its bytes hang on lost history."""
+    lo, stop = r["start_bit"] // 8, r["end_bit"] or 8 * r["size"]
+    buf = read(lo, min(r["size"], stop // 8 + 64) - lo)
+    for _, bit, kind in finder.candidates(buf, r["start_bit"] - 8 * lo + 1, stop - 8 * lo, final=lo + len(buf) >= r["size"]):
+        of = r | {"start_bit": bit + 8 * lo, "kind": kind}
+        d = probe.Summary(spans.stream(of, None, read))
+        if d.ok:
+            return of, d.n_markers
+    return None
+
+
 def prefix(read: Callable[[int, int], bytes], start_bit: int, end_bit: int, kind: str, step: int = 1024) -> Iterator[bytes]:
     """Bytes up to the first error, ``step`` by ``step`` bytes of input; lost history reads as question marks."""
     at, stop = start_bit >> 3, min((end_bit >> 3) + 64, end_bit + 7 >> 3)

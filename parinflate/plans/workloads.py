@@ -2,24 +2,39 @@
 
 from __future__ import annotations
 
-from pyspark.sql import Column, DataFrame, SparkSession
+from collections.abc import Iterator
+
+import numpy as np
+import pyarrow as pa
+from pyspark.sql import Column, DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from parinflate.operators import index
-from parinflate.runtime import scratch_path, table
+from parinflate.runtime import materialize, scratch_path, ship, table
 from parinflate.sources import io, writers
 
 SLOT = 64 << 10
 _made: dict[tuple, tuple] = {}
 
 
-def random_hex(*key: str) -> Column:
+def random_hex(*key: str | Column) -> Column:
     """32 hex digits that SQL engines agree on."""
-    return F.md5(F.concat_ws(":", *[F.col(k).cast("string") for k in key]))
+    return F.md5(F.concat_ws(":", *[(F.col(k) if isinstance(k, str) else k).cast("string") for k in key]))
+
+
+#: Repeats of experiments on random bits.
+SALTS = 12
+
+
+def random_rows(spark: SparkSession, sf_dir: str, salts: int = SALTS) -> DataFrame:
+    """(salt, l_orderkey, l_linenumber, b): sixteen random bytes per line item and salt."""
+    rows = table(spark, sf_dir, "lineitem").select("l_orderkey", "l_linenumber").withColumn("salt", F.explode(F.sequence(F.lit(0), F.lit(salts - 1))))
+    return rows.withColumn("b", F.unhex(random_hex("l_orderkey", "l_linenumber", F.col("salt"))))
 
 
 def _csv(df: DataFrame, *cols: str) -> DataFrame:
-    return df.select(*cols, F.concat_ws(",", *[F.col(c).cast("string") for c in cols]).alias("line"))
+    """Fields of plain values joined by commas; null is an empty field, so that later ones keep their place."""
+    return df.select(*cols, F.concat_ws(",", *[F.coalesce(F.col(c).cast("string"), F.lit("")) for c in cols]).alias("line"))
 
 
 def recipe(spark: SparkSession, sf_dir: str, name: str) -> tuple[DataFrame, list[str]]:
@@ -35,7 +50,7 @@ def recipe(spark: SparkSession, sf_dir: str, name: str) -> tuple[DataFrame, list
     if name == "events":
         return json(t("events").withColumn("ts", F.col("ts").cast("string")), "event_id"), ["event_id"]
     if name == "lineitem":
-        return _csv(t("lineitem"), "l_orderkey", "l_linenumber", "l_partkey", "l_suppkey", "l_quantity", "l_extendedprice", "l_discount", "l_tax", "l_returnflag", "l_linestatus", "l_shipdate"), ["l_orderkey", "l_linenumber"]
+        return _csv(t("lineitem"), "l_orderkey", "l_linenumber", "l_partkey", "l_suppkey", "l_quantity", "l_extendedprice", "l_discount", "l_tax", "l_returnflag", "l_linestatus", "l_shipdate"), ["l_orderkey", "l_linenumber", "l_partkey", "l_suppkey", "l_extendedprice"]
     if name == "orders":
         return _csv(t("orders"), "o_orderkey", "o_custkey", "o_orderstatus", "o_totalprice", "o_orderdate", "o_orderpriority"), ["o_orderkey"]
     if name in ("nation", "region"):
@@ -47,9 +62,58 @@ def recipe(spark: SparkSession, sf_dir: str, name: str) -> tuple[DataFrame, list
         acgt = F.translate(F.md5(F.col("event_id").cast("string")), "0123456789abcdef", "ACGTACGTACGTACGT")
         quality = F.translate(F.md5(F.concat(F.lit("q"), F.col("event_id").cast("string"))), "0123456789abcdef", "!#$%&()*+-/:;<=>")
         return t("events").select("event_id", F.concat_ws("\n", F.concat(F.lit("@"), F.col("event_id").cast("string")), acgt, F.lit("+"), quality).alias("line")), ["event_id"]
+    if name in ("documents_text", "benchmark_text", "conversations_text", "pages_html"):
+        source, col = name.split("_")
+        key = {"documents": ["doc_id"], "benchmark": ["item_id"], "conversations": ["conv_id", "turn"], "pages": ["page_id"]}[source]
+        return t(source).select(*key, F.coalesce(F.col(col), F.lit("")).alias("line")), key
+    if name == "nation_name":
+        return t("nation").select("n_nationkey", F.col("n_name").alias("line")), ["n_nationkey"]
     raise KeyError(name)
 
 
+def floats(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Slices of the embeddings as raw little-endian 32-bit floats in order of vec_id: binary content that hardly compresses."""
+    ship(spark)
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            rows = [np.asarray(x.values.to_numpy(zero_copy_only=False), "<f4").tobytes() for x in batch.column(0)]
+            yield pa.RecordBatch.from_arrays([pa.array(rows, pa.binary())], ["line"])
+
+    e = table(spark, sf_dir, "embeddings").repartitionByRange(8, "vec_id").sortWithinPartitions("vec_id").select("embedding").mapInArrow(run, "line binary")
+    raw = materialize(e.withColumn("k", F.monotonically_increasing_id()), "floats")
+    return writers.slices(raw, ["k"], slice_bytes=1 << 18, newline=b"")
+
+
+#: Members of the mixed archive: texts, markup, dialogue, tables as CSV and raw floats.
+MEMBERS = ("documents_text", "pages_html", "conversations_text", "benchmark_text", "lineitem", "orders", "embeddings", "nation_name")
+
+
+def mixed_tar(spark: SparkSession, sf_dir: str, layout: str = "single", level: int = 6, copies: int = 1) -> DataFrame:
+    """(file_id, path, size) of one TAR of all ``MEMBERS``; with ``copies`` each of them comes so many times."""
+    key = (spark.sparkContext.applicationId, sf_dir, "tar", layout, level, copies)
+    if key not in _made:
+        members = []
+        for c in range(copies):
+            for m in MEMBERS:
+                parts = floats(spark, sf_dir) if m == "embeddings" else writers.slices(*recipe(spark, sf_dir, m), slice_bytes=1 << 18)
+                members.append((f"corpus/{c}/{m}" if copies > 1 else f"corpus/{m}", parts))
+        path = f"{scratch_path(spark, 'corpus-tar')}/mixed-{layout}-{level}.tar.gz"
+        writers.write(writers.tar_slices(spark, members), path, layout, level)
+        _made[key] = (path,)
+    return io.archives(spark, _made[key][0])
+
+
+def saved_index(spark: SparkSession, idx: DataFrame, *key) -> str:
+    """Path of ``idx`` saved, once per application and key."""
+    key = (spark.sparkContext.applicationId, "saved", *key)
+    if key not in _made:
+        path = scratch_path(spark, "saved-index")
+        index.save(idx, path)
+        _made[key] = (path,)
+    return _made[key][0]
+
+
 SCHEMA = {
     "documents": "doc_id long, text string, lang string, source string, n_chars long",
     "pages": "page_id long, url string, html string",
@@ -76,6 +140,22 @@ def archive(spark: SparkSession, sf_dir: str, name: str, layout: str = "pigz_lik
     return io.archives(spark, _made[key][0])
 
 
+def archives_by(spark: SparkSession, sf_dir: str, name: str, by: str, layout: str = "single") -> DataFrame:
+    """(file_id, path, size) of one file per value of column ``by`` of the recipe's table, in a folder; made once per application."""
+    key = (spark.sparkContext.applicationId, sf_dir, name, by, layout)
+    if key not in _made:
+        lines, order = recipe(spark, sf_dir, name)
+        folder = scratch_path(spark, f"corpora-{name}")
+        which = table(spark, sf_dir, name).select(*[F.col(o).alias(f"{o}_") for o in order], F.col(by).cast("string").alias("by"))
+        on = [F.col(o) == F.col(f"{o}_") for o in order]
+        rows = lines.join(which, on).select("by", *order, F.concat("line", F.lit("\n")).cast("binary").alias("data"))
+        part = F.row_number().over(Window.partitionBy("by").orderBy(*order)).cast("long")
+        path_ = F.concat(F.lit(f"{folder}/"), F.coalesce("by", F.lit("none")), F.lit(".gz"))
+        writers.write_files(rows.select(path_.alias("path"), part.alias("part"), "data"), layout)
+        _made[key] = (folder,)
+    return io.archives(spark, _made[key][0])
+
+
 def indexed(spark: SparkSession, sf_dir: str, name: str, layout: str = "pigz_like", level: int = 6, slot: int = SLOT, **how) -> tuple[DataFrame, dict]:
     """(index, counters) of the recipe's file; made once per application."""
     key = (spark.sparkContext.applicationId, sf_dir, name, layout, level, slot, tuple(sorted(how.items())))

@@ -2,13 +2,17 @@
 
 from __future__ import annotations
 
+import hashlib
 import os
+from collections.abc import Iterator
 from concurrent.futures import ThreadPoolExecutor
 
+import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from parinflate import schemas
+from parinflate.runtime import ship
 
 #: Bytes beyond a range that a block found in it may run on before the range is read anew.
 LOOKAHEAD = 1 << 17
@@ -75,6 +79,21 @@ def read_strided(path: str, size: int, readers: int, piece: int = 128 << 10) ->
         return sorted(x for part in pool.map(one, range(readers)) for x in part)
 
 
+def striped(spark: SparkSession, path: str, size: int, readers: int, piece: int = 128 << 10) -> DataFrame:
+    """(at, n, md5) of a file's pieces, of which each of ``readers`` tasks reads every ``readers``-th."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            for k in batch.column(0).to_pylist():
+                with Ranged(path, piece) as read:
+                    for at in range(k * piece, size, readers * piece):
+                        data = read(at, piece)
+                        yield pa.RecordBatch.from_pylist([{"at": at, "n": len(data), "md5": hashlib.md5(data).hexdigest()}])
+
+    ship(spark)
+    return spark.range(0, readers, 1, readers).mapInArrow(run, "at long, n long, md5 string")
+
+
 def archives(spark: SparkSession, path: str) -> DataFrame:
     """(file_id, path, size) of every file below ``path``, listed by Spark; contents are not read."""
     files = spark.read.format("binaryFile").option("recursiveFileLookup", "true").load(path).select("path", F.col("length").alias("size"))

@@ -1,34 +1,113 @@
-"""A seekable file object over one compressed file and its index: constant-time seeks, cached chunks, prefetching threads."""
+"""A seekable file object over one compressed file and its index: constant-time seeks, cached chunks, prefetching threads.
+
+Several readers may share a :class:`ChunkStore`: chunks that one of them is having decoded are not decoded again for another.
+"""
 
 from __future__ import annotations
 
 import bisect
 import io
+from collections import OrderedDict
+from collections.abc import Callable
 from concurrent.futures import Future, ThreadPoolExecutor
 from threading import Lock
 
+import pyarrow.dataset as ds
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from parinflate.operators.index import point_bytes
 from parinflate.plans.prefetch import STRATEGIES, ChunkCache
+from parinflate.sources.io import local
+
+#: Columns of an index but for the windows, which are fetched when a point is decoded.
+META = ["file_id", "path", "size", "point_no", "start_bit", "end_bit", "kind", "end_kind", "out_start", "out_len"]
+
+
+class Points:
+    """The points of one file: positions are held, windows of 32 KiB are fetched one by one."""
+
+    def __init__(self, rows: list[dict], window: Callable[[int], bytes]):
+        rows = sorted(rows, key=lambda r: r["out_start"])
+        self.rows = [r for r in rows if r["out_len"]] or rows[:1]
+        self.starts = [r["out_start"] for r in self.rows]
+        self.size = self.rows[-1]["out_start"] + self.rows[-1]["out_len"] if self.rows else 0
+        self.window = window
+
+    @classmethod
+    def of(cls, index: DataFrame, file_id: int) -> Points:
+        """From an index table; its Parquet files are read where they are local, and through Spark elsewhere."""
+        files = [local(f) for f in index.inputFiles()]
+        if files and all(files):
+            return cls._from(ds.dataset(files), file_id)
+        mine = index.where(F.col("file_id") == file_id)
+        return cls([r.asDict() for r in mine.select(*META).collect()], lambda no: bytes(mine.where(F.col("point_no") == no).select("window").first()[0]))
+
+    @classmethod
+    def load(cls, path: str, file_id: int) -> Points:
+        """From a saved index, without Spark: for readers in tasks."""
+        return cls._from(ds.dataset(local(path) or path, partitioning=None), file_id)
+
+    @classmethod
+    def _from(cls, data: ds.Dataset, file_id: int) -> Points:
+        mine = ds.field("file_id") == file_id
+        rows = data.to_table(columns=META, filter=mine).to_pylist()
+        return cls(rows, lambda no: data.to_table(columns=["window"], filter=mine & (ds.field("point_no") == no))["window"][0].as_py())
+
+    def decode(self, k: int) -> bytes:
+        r = self.rows[k]
+        return b"".join(point_bytes(r | {"window": self.window(r["point_no"])}))
+
+
+class ChunkStore:
+    """Decodes chunks on threads and knows which are on their way, for all readers that share it."""
+
+    def __init__(self, points: Points, parallel: int = 4):
+        self.points, self.parallel = points, parallel
+        self.pool, self.lock = ThreadPoolExecutor(parallel), Lock()
+        self.in_flight: OrderedDict[int, Future] = OrderedDict()
+        self.decoded = self.joined = 0
+
+    def get(self, k: int) -> Future:
+        """The chunk, to be waited for; one that is on its way already is joined."""
+        with self.lock:
+            if k in self.in_flight:
+                self.joined += 1
+                return self.in_flight[k]
+            f = self.in_flight[k] = self.pool.submit(self._decode, k)
+        f.add_done_callback(lambda _: self._landed(k))
+        return f
+
+    def _decode(self, k: int) -> bytes:
+        data = self.points.decode(k)
+        with self.lock:
+            self.decoded += len(data)
+        return data
+
+    def _landed(self, k: int) -> None:
+        with self.lock:
+            self.in_flight.pop(k, None)
+
+    def close(self) -> None:
+        self.pool.shutdown(cancel_futures=True)
 
 
 class SeekableReader(io.RawIOBase):
-    """Reads the decompressed bytes of one file of ``index``, whose points (with windows of 32 KiB) it holds.
+    """Reads the decompressed bytes of one file of ``index`` (a table, or :class:`Points`).
 
-    ``seek`` sets the position only; ``read`` finds the points, takes chunks from the caches or decodes them, and plans ahead.
+    ``seek`` sets the position only; ``read`` finds the points, takes chunks from the caches or decodes them, and plans ahead. A reader
+    has its own history and caches; with ``store`` it shares threads and chunks on their way with others.
     """
 
-    def __init__(self, index: DataFrame, file_id: int, parallel: int = 4, strategy: str = "adaptive", access_cache: int = 1, prefetch_cache: int | None = None):
-        self.points = sorted((r.asDict() for r in index.where(F.col("file_id") == file_id).collect()), key=lambda r: r["out_start"])
-        self.points = [p for p in self.points if p["out_len"]] or self.points[:1]
-        self.starts = [p["out_start"] for p in self.points]
-        self.size = self.points[-1]["out_start"] + self.points[-1]["out_len"] if self.points else 0
-        self.pool, self.parallel, self.strategy = ThreadPoolExecutor(parallel), parallel, STRATEGIES[strategy]
-        self.cache = ChunkCache(access_cache, prefetch_cache if prefetch_cache is not None else 2 * parallel)
-        self.at, self.history, self.lock = 0, [], Lock()
-        self.hits = self.misses = self.decoded = 0
+    def __init__(self, index: DataFrame | Points, file_id: int = 0, parallel: int = 4, strategy: str = "adaptive", access_cache: int = 1, prefetch_cache: int | None = None, store: ChunkStore | None = None):
+        points = store.points if store else index if isinstance(index, Points) else Points.of(index, file_id)
+        self.points, self.own = points, store is None
+        self.store = store or ChunkStore(points, parallel)
+        self.size, self.starts = points.size, points.starts
+        self.strategy = STRATEGIES[strategy]
+        self.cache = ChunkCache(access_cache, prefetch_cache if prefetch_cache is not None else 2 * self.store.parallel)
+        self.at, self.history = 0, []
+        self.hits = self.misses = 0
 
     def readable(self) -> bool:
         return True
@@ -43,25 +122,19 @@ class SeekableReader(io.RawIOBase):
         self.at = max(0, offset + {io.SEEK_SET: 0, io.SEEK_CUR: self.at, io.SEEK_END: self.size}[whence])
         return self.at
 
-    def _decode(self, k: int) -> bytes:
-        data = b"".join(point_bytes(self.points[k]))
-        with self.lock:
-            self.decoded += len(data)
-        return data
-
     def _chunk(self, k: int) -> bytes:
         if k in self.cache:
             self.hits += 1
             found = self.cache.take(k)
         else:
             self.misses += 1
-            found = self.pool.submit(self._decode, k)
+            found = self.store.get(k)
             self.cache.put(k, found)
-        self.history.append(k)
-        for j in self.strategy(self.history, self.parallel, len(self.points)):
-            if j not in self.cache:
-                self.cache.ahead(j, self.pool.submit(self._decode, j))
-        return found.result() if isinstance(found, Future) else found
+        self.history = [*self.history[-64:], k]
+        for j in self.strategy(self.history, self.store.parallel, len(self.starts)):
+            if j not in self.cache:  # what is cached or on its way is not asked for again
+                self.cache.ahead(j, self.store.get(j))
+        return found.result()
 
     def read(self, n: int = -1) -> bytes:
         stop = self.size if n is None or n < 0 else min(self.size, self.at + n)
@@ -80,6 +153,6 @@ class SeekableReader(io.RawIOBase):
         return len(data)
 
     def close(self) -> None:
-        if not self.closed:
-            self.pool.shutdown(cancel_futures=True)
+        if not self.closed and self.own:
+            self.store.close()
         super().close()

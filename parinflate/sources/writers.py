@@ -4,7 +4,6 @@ from __future__ import annotations
 
 import bz2
 import heapq
-import io as io_
 import os
 import struct
 import tarfile
@@ -15,18 +14,18 @@ from collections.abc import Callable, Iterator
 import numpy as np
 import pyarrow as pa
 from pyspark import TaskContext
-from pyspark.sql import DataFrame, Window
+from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from parinflate.functions import crc as crc_
-from parinflate.runtime import materialize, ship
+from parinflate.runtime import materialize, ship, spread
 from parinflate.sources.io import local
 
 HEADER = b"\x1f\x8b\x08\0\0\0\0\0\0\xff"
 BGZF_BLOCK = 65280
-SLICE = "part long, data binary"
+SLICE = "part long, data binary, before binary"
 STRATEGIES = {"default": zlib.Z_DEFAULT_STRATEGY, "filtered": zlib.Z_FILTERED, "huffman_only": zlib.Z_HUFFMAN_ONLY, "rle": zlib.Z_RLE, "fixed_only": zlib.Z_FIXED}
-LAYOUTS = ("single", "pigz_like", "multi_member", "bgzf", "stored_only", "fixed_only", "huffman_only", "rle", "sync_flush_dense", "single_dynamic_block", "nested", "zlib", "raw", "zstd_frames", "zstd_single", "bzip2_streams")
+LAYOUTS = ("single", "pigz_like", "multi_member", "bgzf", "stored_only", "fixed_only", "huffman_only", "rle", "sync_flush_dense", "single_dynamic_block", "nested", "zlib", "raw", "zstd_frames", "zstd_frames_unchecked", "zstd_single", "zstd_single_unchecked", "bzip2_streams", "raw_copy")
 
 
 def gzip_member(data: bytes, level: int = 6, strategy: str = "default", mem_level: int = 8, extra: bytes = b"") -> bytes:
@@ -90,32 +89,36 @@ def single_dynamic_block(data: bytes) -> bytes:
     return HEADER + np.packbits(bits, bitorder="little").tobytes() + struct.pack("<II", zlib.crc32(data), len(data) & 0xFFFFFFFF)
 
 
-def slices(lines: DataFrame, order: list[str], line: str = "line", parts: int = 8, slice_bytes: int = 1 << 20) -> DataFrame:
-    """(part, data): lines in order, each with its newline, as slices of about ``slice_bytes``; ``part`` orders them."""
+def slices(lines: DataFrame, order: list[str], line: str = "line", parts: int | None = None, slice_bytes: int = 1 << 20, newline: bytes = b"\n") -> DataFrame:
+    """(part, data, before): lines in order, each with its newline, as slices of about ``slice_bytes``; ``part`` orders them.
+
+    ``before`` is the last 32 KiB before a slice, for layouts that carry a history on; a task's first slice has none.
+    """
     ship(lines.sparkSession)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        part, held, size = TaskContext.get().partitionId() << 32, [], 0
+        part, held, size, before = TaskContext.get().partitionId() << 32, [], 0, b""
 
-        def out() -> pa.RecordBatch:
-            return pa.RecordBatch.from_arrays([pa.array([part]), pa.array([b"".join(held)], pa.binary())], ["part", "data"])
+        def out(data: bytes) -> pa.RecordBatch:
+            return pa.RecordBatch.from_arrays([pa.array([part]), pa.array([data], pa.binary()), pa.array([before], pa.binary())], ["part", "data", "before"])
 
         for batch in batches:
             for x in batch.column(0).to_pylist():
-                held.append(x + b"\n")
-                size += len(x) + 1
+                held.append(x + newline)
+                size += len(x) + len(newline)
                 if size >= slice_bytes:
-                    yield out()
-                    part, held, size = part + 1, [], 0
+                    data = b"".join(held)
+                    yield out(data)
+                    part, held, size, before = part + 1, [], 0, data[-32768:]
         if held:
-            yield out()
+            yield out(b"".join(held))
 
-    ranged = lines.repartitionByRange(parts, *order).sortWithinPartitions(*order)
+    ranged = lines.repartitionByRange(parts or max(8, lines.sparkSession.sparkContext.defaultParallelism), *order).sortWithinPartitions(*order)
     return ranged.select(F.col(line).cast("binary").alias("line")).mapInArrow(run, SLICE)
 
 
 def _compress(layout: str, level: int) -> Callable:
-    """One slice to (part, n, crc, bytes); ``before`` is the end of the slice before it, for layouts that carry it on."""
+    """One slice to (path, part, n, crc, bytes); ``before`` is the end of the slice before it, for layouts that carry it on."""
 
     def one(data: bytes, before: bytes) -> bytes:
         if layout == "pigz_like":
@@ -125,10 +128,10 @@ def _compress(layout: str, level: int) -> Callable:
             return gzip_member(data, level)
         if layout == "bgzf":
             return bgzf(data, level)
-        if layout == "zstd_frames":
+        if layout.startswith("zstd_frames"):
             import zstandard
 
-            return zstandard.ZstdCompressor(level=3, write_content_size=True, write_checksum=True).compress(data)
+            return zstandard.ZstdCompressor(level=3, write_content_size=True, write_checksum=layout == "zstd_frames").compress(data)
         if layout == "bzip2_streams":
             return bz2.compress(data, min(9, max(1, level)))
         return data
@@ -136,51 +139,74 @@ def _compress(layout: str, level: int) -> Callable:
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
             for r in batch.to_pylist():
-                yield pa.RecordBatch.from_arrays([pa.array([r["part"]]), pa.array([len(r["data"])]), pa.array([zlib.crc32(r["data"])]), pa.array([one(r["data"], r["before"] or b"")], pa.binary())], ["part", "n", "crc", "bytes"])
+                yield pa.RecordBatch.from_arrays([pa.array([r["path"]]), pa.array([r["part"]]), pa.array([len(r["data"])]), pa.array([zlib.crc32(r["data"])]), pa.array([one(r["data"], r["before"] or b"")], pa.binary())], ["path", "part", "n", "crc", "bytes"])
 
     return run
 
 
-def _append(path: str, layout: str, level: int) -> Callable:
-    """The one task that writes the file, slice by slice; nothing is held but the layouts that are one block or one frame by nature."""
+class _File:
+    """One file being written, slice by slice; nothing is held but for the layouts that are one block or one frame by nature."""
 
-    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        out = open_out(path)
-        crc = n = 0
-        held: list[bytes] = []
-        strategy = layout if layout in STRATEGIES else "default"
+    def __init__(self, path: str, layout: str, level: int):
+        self.path, self.layout, self.level, self.out = path, layout, level, open_out(path)
+        self.crc = self.n = 0
+        self.held: list[bytes] = []
         wbits = {"zlib": 15, "raw": -15}.get(layout, 31)
-        stream = zlib.compressobj(0 if layout == "stored_only" else level, zlib.DEFLATED, wbits, 8, STRATEGIES[strategy])
+        self.stream = zlib.compressobj(0 if layout == "stored_only" else level, zlib.DEFLATED, wbits, 8, STRATEGIES[layout if layout in STRATEGIES else "default"])
         if layout == "pigz_like":
-            out.write(HEADER)
-        if layout == "zstd_single":
+            self.out.write(HEADER)
+        if layout.startswith("zstd_single"):
             import zstandard
 
-            stream = zstandard.ZstdCompressor(level=3).compressobj()
+            self.stream = zstandard.ZstdCompressor(level=3, write_checksum=layout != "zstd_single_unchecked").compressobj()
+
+    def add(self, data: bytes, n: int, crc: int) -> None:
+        """A slice as :func:`_compress` left it, of ``n`` bytes with checksum ``crc``."""
+        if self.layout in CUT:
+            self.out.write(data)
+        elif self.layout in ("single_dynamic_block", "nested"):
+            self.held.append(data)
+        elif self.layout == "sync_flush_dense":
+            for k in range(0, len(data), 4096):
+                self.out.write(self.stream.compress(data[k : k + 4096]) + self.stream.flush(zlib.Z_SYNC_FLUSH))
+        else:
+            self.out.write(self.stream.compress(data))
+        self.crc, self.n = crc_.combine(self.crc, crc, n), self.n + n
+
+    def close(self) -> int:
+        if self.layout == "pigz_like":
+            self.out.write(b"\x03\0" + struct.pack("<II", self.crc, self.n & 0xFFFFFFFF))
+        elif self.layout == "bgzf":
+            self.out.write(bgzf(b"", end=True))
+        elif self.layout == "single_dynamic_block":
+            self.out.write(single_dynamic_block(b"".join(self.held)))
+        elif self.layout == "nested":
+            self.out.write(gzip_member(gzip_member(b"".join(self.held), self.level), 0))
+        elif self.layout not in CUT:
+            self.out.write(self.stream.flush())
+        self.out.close()
+        return self.n
+
+
+#: Layouts whose slices are compressed by themselves.
+CUT = ("pigz_like", "multi_member", "bgzf", "zstd_frames", "zstd_frames_unchecked", "bzip2_streams", "raw_copy")
+
+
+def _append(layout: str, level: int) -> Callable:
+    """Rows (path, part, n, crc, bytes) sorted by path and part: each path becomes a file."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        now: _File | None = None
         for batch in batches:
-            for r in batch.to_pylist():
-                if layout in ("pigz_like", "multi_member", "bgzf", "zstd_frames", "bzip2_streams"):
-                    out.write(r["bytes"])
-                elif layout in ("single_dynamic_block", "nested"):
-                    held.append(r["bytes"])
-                elif layout == "sync_flush_dense":
-                    for k in range(0, len(r["bytes"]), 4096):
-                        out.write(stream.compress(r["bytes"][k : k + 4096]) + stream.flush(zlib.Z_SYNC_FLUSH))
-                else:
-                    out.write(stream.compress(r["bytes"]))
-                crc, n = crc_.combine(crc, r["crc"], r["n"]), n + r["n"]
-        if layout == "pigz_like":
-            out.write(b"\x03\0" + struct.pack("<II", crc, n & 0xFFFFFFFF))
-        elif layout == "bgzf":
-            out.write(bgzf(b"", end=True))
-        elif layout == "single_dynamic_block":
-            out.write(single_dynamic_block(b"".join(held)))
-        elif layout == "nested":
-            out.write(gzip_member(gzip_member(b"".join(held), level), 0))
-        elif layout not in ("multi_member", "zstd_frames", "bzip2_streams"):
-            out.write(stream.flush())
-        out.close()
-        yield pa.RecordBatch.from_arrays([pa.array([path]), pa.array([n])], ["path", "n"])
+            for k in range(batch.num_rows):
+                r = batch.slice(k, 1).to_pylist()[0]
+                if now is None or now.path != r["path"]:
+                    if now is not None:
+                        yield pa.RecordBatch.from_arrays([pa.array([now.path]), pa.array([now.close()])], ["path", "n"])
+                    now = _File(r["path"], layout, level)
+                now.add(r["bytes"], r["n"], r["crc"])
+        if now is not None:
+            yield pa.RecordBatch.from_arrays([pa.array([now.path]), pa.array([now.close()])], ["path", "n"])
 
     return run
 
@@ -207,22 +233,34 @@ def open_out(path: str):
 
 def write(parts: DataFrame, path: str, layout: str = "single", level: int = 6) -> int:
     """Write slices as one file; bytes in. A file is one object, so its writer is one task; compression before it is parallel where the layout lets it be."""
-    parts = materialize(parts, "slices", "lz4")
-    if layout == "pigz_like":
-        numbered = parts.select("part", F.expr("right(hex(data), 65536)").alias("t")).withColumn("before", F.unhex(F.lag("t").over(Window.orderBy("part"))))
-        parts = parts.join(numbered.select("part", "before"), "part")
-    else:
-        parts = parts.withColumn("before", F.lit(None).cast("binary"))
-    small = parts.mapInArrow(_compress(layout, level), "part long, n long, crc long, bytes binary")
-    row = small.repartition(1).sortWithinPartitions("part").mapInArrow(_append(path, layout, level), "path string, n long").first()
-    return row.n if row else 0
-
-
-def tar_bytes(members: list[tuple[str, bytes]]) -> bytes:
-    buf = io_.BytesIO()
-    with tarfile.open(fileobj=buf, mode="w", format=tarfile.USTAR_FORMAT) as t:
-        for name, data in members:
-            info = tarfile.TarInfo(name)
-            info.size = len(data)
-            t.addfile(info, io_.BytesIO(data))
-    return buf.getvalue()
+    rows = write_files(parts.withColumn("path", F.lit(path)), layout, level, 1)
+    return rows[0][1] if rows else _File(path, layout, level).close()  # nothing in it
+
+
+def write_files(parts: DataFrame, layout: str = "single", level: int = 6, files: int | None = None) -> list[tuple[str, int]]:
+    """Write slices (path, part, data, before) as one file per path; (path, bytes in) of each. Files are written side by side, by a task each."""
+    spark = parts.sparkSession
+    parts = materialize(parts if "before" in parts.columns else parts.withColumn("before", F.lit(None).cast("binary")), "slices", "lz4")
+    paths = parts.select("path").distinct().count() if files is None else files
+    small = spread(parts, parts.count(), 0) if layout in CUT else parts
+    small = small.mapInArrow(_compress(layout, level), "path string, part long, n long, crc long, bytes binary")
+    by_path = small.repartition(1) if paths <= 1 else small.repartition(min(paths, max(1, 4 * spark.sparkContext.defaultParallelism)), "path")
+    return [(r.path, r.n) for r in by_path.sortWithinPartitions("path", "part").mapInArrow(_append(layout, level), "path string, n long").collect()]
+
+
+def tar_header(name: str, size: int) -> bytes:
+    info = tarfile.TarInfo(name)
+    info.size = size
+    return info.tobuf(tarfile.USTAR_FORMAT)
+
+
+def tar_slices(spark, members: list[tuple[str, DataFrame]]) -> DataFrame:
+    """Slices of an archive of named members, each given as slices; only names and sizes reach the driver."""
+    out = None
+    for no, (name, parts) in enumerate(members):
+        parts = materialize(parts, "member", "lz4")
+        size = parts.agg(F.sum(F.octet_length("data").cast("long"))).first()[0] or 0
+        ends = [(no << 56, tar_header(name, size)), ((no << 56) + (1 << 55), b"\0" * (-size % 512) + (b"\0" * 1024 if no == len(members) - 1 else b""))]
+        whole = parts.select((F.col("part") + (no << 56) + 1).alias("part"), "data").union(spark.createDataFrame(ends, "part long, data binary"))
+        out = whole if out is None else out.union(whole)
+    return out.withColumn("before", F.lit(None).cast("binary"))

@@ -5,6 +5,7 @@ from __future__ import annotations
 from collections.abc import Iterator
 
 import pandas as pd
+import pyarrow as pa
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql.streaming.state import GroupState, GroupStateTimeout
@@ -12,6 +13,7 @@ from pyspark.sql.streaming.state import GroupState, GroupStateTimeout
 from parinflate.functions.sqlapi import gzip_decompress
 from parinflate.plans.prefetch import ChunkCache, replay_one
 from parinflate.runtime import scratch_path, ship
+from parinflate.sources.gzip_source import serial
 
 
 def events(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -57,12 +59,51 @@ def on_time(stream: DataFrame, delay: str = "10 minutes", width: str = "1 hour")
 
 
 def decompress_new(spark: SparkSession, folder: str) -> DataFrame:
-    """(path, content) of small archives as they arrive; large ones go to the batch pipeline through foreachBatch."""
+    """(path, content) of small archives as they arrive, each in a cell; see :func:`new_lines` for large ones."""
     ship(spark)
     files = spark.readStream.format("binaryFile").schema("path string, modificationTime timestamp, length long, content binary").load(folder)
     return files.select("path", gzip_decompress("content").alias("content"))
 
 
+def new_lines(spark: SparkSession, folder: str, files_per_batch: int = 1000) -> DataFrame:
+    """(path, out_pos, line) of archives as they arrive: a stream of names, of which each task inflates its own piece by piece."""
+    ship(spark)
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            for path in batch.column(0).to_pylist():
+                at, rest = 0, b""
+                for data in serial(path):
+                    *whole, rest = (rest + data).split(b"\n")
+                    if whole:
+                        yield _line_batch(path, at, whole)
+                        at += sum(map(len, whole)) + len(whole)
+                if rest:
+                    yield _line_batch(path, at, [rest])
+
+    # The content is not selected, so it is not read.
+    files = spark.readStream.format("binaryFile").schema("path string, modificationTime timestamp, length long, content binary").option("maxFilesPerTrigger", files_per_batch).load(folder)
+    return files.select("path").repartition(spark.sparkContext.defaultParallelism, "path").mapInArrow(run, "path string, out_pos long, line string")
+
+
+def _line_batch(path: str, at: int, lines: list[bytes]) -> pa.RecordBatch:
+    pos = []
+    for x in lines:
+        pos.append(at)
+        at += len(x) + 1
+    return pa.RecordBatch.from_arrays([pa.array([path] * len(lines)), pa.array(pos, pa.int64()), pa.array([x.decode("utf-8", "replace") for x in lines])], ["path", "out_pos", "line"])
+
+
+def trace_files(spark: SparkSession, trace: DataFrame, files: int) -> DataFrame:
+    """A trace (reader_id, seq, point_no) as a stream of ``files`` files in order of seq, one to a micro-batch."""
+    path = scratch_path(spark, "trace")
+    lo, hi = trace.agg(F.min("seq"), F.max("seq")).first()
+    for k in range(files if lo is not None else 0):
+        a, b = lo + (hi - lo + 1) * k // files, lo + (hi - lo + 1) * (k + 1) // files
+        trace.where((F.col("seq") >= a) & (F.col("seq") < b)).coalesce(1).write.mode("append").parquet(path)
+    return spark.readStream.schema(trace.schema).option("maxFilesPerTrigger", 1).parquet(path)
+
+
 def replay(stream: DataFrame, strategy: str = "adaptive", degree: int = 4) -> DataFrame:
     """Counters per reader, with the history and the caches kept as state between batches; the stream has reader_id, seq, point_no."""
     ship(stream.sparkSession)
