@@ -131,8 +131,8 @@ def _precode_codes(field: int) -> list[int]:
     return [runs[k] for k in _REVERSED]
 
 
-def _lengths(buf: bytes, pos: int) -> str:
-    """The step at which a header with a valid precode fails, or 'accepted'."""
+def _lengths(buf: bytes, pos: int, no_distances: bool = True) -> str:
+    """The step at which a header with a valid precode fails, or 'accepted'. A block of literals alone may have no distance code: one of no bits or, with ``no_distances``, several."""
     first = pos >> 3
     word = int.from_bytes(buf[first : first + 320], "little") >> (pos & 7)
     limit = 8 * (len(buf) - first) - (pos & 7)
@@ -161,7 +161,7 @@ def _lengths(buf: bytes, pos: int) -> str:
     if len(lens) > want or at > limit:
         return "precode_data"
     kind = huffman.classify(lens[n_literal:])
-    if kind == huffman.OVER:
+    if kind == huffman.OVER or kind == huffman.EMPTY and not no_distances and len(lens) > n_literal + 1:
         return "distance_invalid"
     if kind == huffman.UNDER:
         return "distance_unused"
@@ -213,8 +213,8 @@ def first_counts(buf: bytes, start: int, end: int) -> dict[str, int]:
 PRECODE = {"packed": "counters", "skip": "plain", "histset": "histset", "text_only": "plain", "leaves": "leaves"}
 
 
-def cascade(buf: bytes, start: int = 0, end: int | None = None, variant: str = "packed") -> tuple[list[int], dict[str, int]]:
-    """(accepted offsets, rejections by step) over bit offsets [start, end)."""
+def cascade(buf: bytes, start: int = 0, end: int | None = None, variant: str = "packed", no_distances: bool = True) -> tuple[list[int], dict[str, int]]:
+    """(accepted offsets, rejections by step) over bit offsets [start, end). The published shares count a header without distance codes as invalid, unless it has one of no bits."""
     end = min(8 * len(buf), end if end is not None else 8 * len(buf))
     w = bits.words(buf)
     pos = starts(buf, w, start, end, variant)
@@ -223,7 +223,7 @@ def cascade(buf: bytes, start: int = 0, end: int | None = None, variant: str = "
     counts |= {"precode_invalid": int(over.sum()), "precode_unused": int((~over & ~valid).sum())}
     accepted = []
     for p in pos[valid].tolist():
-        at = _lengths(buf, p)
+        at = _lengths(buf, p, no_distances)
         counts[at] = counts.get(at, 0) + 1
         if at == "accepted":
             accepted.append(p)

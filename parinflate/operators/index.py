@@ -66,14 +66,14 @@ def build(archive: DataFrame, slot_bytes: int = spans_.SLOT_BYTES, variant: str
     return index, counters | {"linked": sound, "broken": broken}
 
 
-#: Bytes of a row group of a saved index: some hundred points.
-GROUP_BYTES = 8 << 20
+#: Points of a row group of a saved index.
+GROUP_POINTS = 256
 
 
 def save(index: DataFrame, path: str) -> None:
     """One sorted Parquet table; windows compress with zstd. Row groups are small, so that their statistics find a position."""
     ranged = index.repartitionByRange("file_id", "out_start").sortWithinPartitions("file_id", "out_start")
-    ranged.write.mode("overwrite").option("compression", "zstd").option("parquet.block.size", GROUP_BYTES).option("parquet.page.size.row.check.min", 8).option("parquet.block.size.row.check.min", 8).parquet(path)
+    ranged.write.mode("overwrite").option("compression", "zstd").option("parquet.block.row.count.limit", GROUP_POINTS).parquet(path)
 
 
 def load(spark, path: str) -> DataFrame:

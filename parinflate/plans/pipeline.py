@@ -29,7 +29,7 @@ def decompress(spark: SparkSession, source: str | DataFrame, *, slot_bytes: int
     two bytes for one, and windows replace their markers. ``variant`` text_only is the predecessor: content must be bytes 9 to 126.
 
     ``on_error`` fail: a damaged file is an error. skip: what links up to the first damage of each file, with a column ``status``,
-    complete or cut. recover: (file_id, start_bit, status, bytes) of :func:`recover`. Checksums of whole files are verified.
+    complete, cut or bad_checksum. recover: (file_id, start_bit, status, bytes) of :func:`recover`. Checksums of whole files are verified.
     """
     archive = _archive(spark, source)
     if on_error == "recover":
@@ -43,8 +43,10 @@ def decompress(spark: SparkSession, source: str | DataFrame, *, slot_bytes: int
     if variant == "text_only":
         out = out.mapInArrow(_text_only, schemas.STREAM)
     if on_error == "skip":
-        cut = counters["broken"].select(F.col("file_id").alias("cut_id"))
-        out = out.join(cut, F.col("file_id") == F.col("cut_id"), "left").withColumn("status", F.when(F.col("cut_id").isNull(), "complete").otherwise("cut")).drop("cut_id")
+        cut = counters["broken"].select(F.col("file_id").alias("cut_id"), F.lit("cut").alias("said"))
+        wrong = index.verify(idx).where(~F.col("ok")).select(F.col("file_id").alias("cut_id"), F.lit("bad_checksum").alias("said")).distinct()
+        said = materialize(cut.union(wrong).groupBy("cut_id").agg(F.max("said").alias("said")), "said")  # cut goes before bad_checksum
+        out = out.join(said, F.col("file_id") == F.col("cut_id"), "left").withColumn("status", F.coalesce("said", F.lit("complete"))).drop("cut_id", "said")
     return out.repartitionByRange("file_id", "out_start").sortWithinPartitions("file_id", "out_start") if ordered else out
 
 

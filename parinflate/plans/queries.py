@@ -500,7 +500,7 @@ def _cascades(spark: SparkSession, sf_dir: str, variant: str) -> DataFrame:
             t = pa.Table.from_batches([batch])
             for salt in t.column("salt").unique().to_pylist():
                 buf = b"".join(t.filter(pa.compute.equal(t.column("salt"), salt)).column("b").to_pylist())
-                _, counts = finder.cascade(buf, 0, 8 * max(0, len(buf) - 400), variant)
+                _, counts = finder.cascade(buf, 0, 8 * max(0, len(buf) - 400), variant, no_distances=False)
                 rows = [{"salt": salt, "step": k, "n": v} for k, v in counts.items()]
                 yield pa.RecordBatch.from_pylist(rows, schema=pa.schema([("salt", pa.int32()), ("step", pa.string()), ("n", pa.int64())]))
 

@@ -92,3 +92,159 @@ def test_entry_points():
     import __spark_entry__ as e
 
     assert set(e.oracle_sql()) <= set(e.queries())
+
+
+def test_heavy_work_is_dealt_to_many_tasks(spark, archive):
+    from parinflate.operators import spans
+    from parinflate.runtime import WAVES, materialize, tasks
+
+    cores = spark.sparkContext.defaultParallelism
+    assert tasks(spark, 10**6, 10**9) == WAVES * cores and tasks(spark, 3, 10**15) == 3 and tasks(spark, 10**8, 1 << 50) == (1 << 50) // (256 << 20) and tasks(spark, 0, 0) == 1
+    slots = materialize(spans.plan(archive, 4096), "slots")
+    n = min(slots.count(), WAVES * cores)
+    parts = lambda df: df.select(F.spark_partition_id().alias("p")).distinct().count()
+    found = spans.find(slots)
+    assert found.rdd.getNumPartitions() == n and parts(spans._spread(slots)) == n
+    todo = spans.hints(slots, materialize(found, "found"))
+    assert spans.decode(todo).rdd.getNumPartitions() == min(todo.count(), WAVES * cores)
+    idx, _ = index.build(archive, 4096)
+    assert index.read(idx).rdd.getNumPartitions() == min(idx.count(), WAVES * cores)
+
+
+def test_readers_share_what_is_on_its_way(spark, archive, payload):
+    from concurrent.futures import ThreadPoolExecutor
+
+    from parinflate.sources.reader import ChunkStore, Points
+
+    idx, _ = index.build(archive, 20_000)
+    points = Points.of(idx, 1)
+    asked, decode = [], points.decode
+    points.decode = lambda k: asked.append(k) or decode(k)
+    store = ChunkStore(points, 4)
+    readers = [SeekableReader(points, store=store, strategy="none") for _ in range(6)]
+
+    def one(r):
+        r.seek(100)
+        return r.read(50)
+
+    with ThreadPoolExecutor(6) as pool:
+        assert set(pool.map(one, readers)) == {payload[100:150]}
+    assert len(asked) + store.joined == 6
+    whole = [SeekableReader(points, store=store) for _ in range(2)]
+    assert all(r.read() == payload for r in whole)
+    store.close()
+
+
+def test_adaptive_replay_of_batches_equals_one(spark, sf):
+    """The strategy against a restatement that keeps everything it ever saw, in one batch and over micro-batches with state."""
+    import __spark_entry__ as e
+
+    def by_hand(trace, degree, chunks):
+        access, ahead, hits = [], [], 0
+        for t, c in enumerate(trace):
+            if c in access or c in ahead:
+                hits += 1
+                ahead = [x for x in ahead if x != c]
+            access = [c]
+            recent = trace[max(0, t + 1 - 2 * degree) : t + 1]
+            want, told = [], set()
+            if t == 0:
+                want = [x for x in range(c + 1, c + 1 + degree) if x < chunks]
+            for end in range(len(recent) - 1, -1, -1) if t else []:
+                if recent[end] in told:
+                    continue
+                run, nxt = [recent[end]], recent[end] - 1
+                for k in range(end - 1, -1, -1):
+                    if recent[k] == nxt:
+                        run.append(nxt)
+                        nxt -= 1
+                told |= set(run)
+                if len(run) > 1:
+                    want += [x for x in range(recent[end] + 1, recent[end] + 1 + min(degree, 2 ** (len(run) - 1))) if x < chunks and x not in want][: degree - len(want)]
+            for x in want:
+                if x not in access:
+                    ahead = [*(y for y in ahead if y != x), x][-2 * degree :]
+        return hits
+
+    from parinflate.plans import prefetch
+
+    rows = workloads.trace(spark, sf).collect()
+    traces = {}
+    for r in sorted(rows, key=lambda r: r.seq):
+        traces.setdefault(r.reader_id, []).append(r.point_no)
+    got = {r.reader_id: r.hits for r in prefetch.replay(workloads.trace(spark, sf), "adaptive", degree=4, chunks=8).collect()}
+    assert got == {k: by_hand(t, 4, 8) for k, t in traces.items()}
+    streamed = {r.reader_id: (r.hits, r.misses) for r in e.queries()["stream_replay_adaptive"](spark, sf).collect()}
+    want = {r.reader_id: (r.hits, r.misses) for r in prefetch.replay(workloads.trace(spark, sf), "adaptive").collect()}
+    assert streamed == want
+
+
+def test_cascade_shares_are_the_published_ones(spark):
+    from parinflate.plans.queries import QUERIES
+
+    rows = {r.step: r for r in QUERIES["filter_cascade_table"](spark, "/root/testdata/sf0.01").collect()}
+    assert len(rows) == 11 and all(abs(r.z) < 6 for s, r in rows.items() if r.published * r.bits > 5), {s: r.z for s, r in rows.items()}
+    assert abs(sum(r.mean for r in rows.values()) - 1) < 1e-9
+
+
+def test_source_prunes_row_groups_and_writes(spark, payload, tmp_path):
+    from parinflate.sources.gzip_source import ParinflateSource, _Plain
+
+    payload = b"".join(payload[k * 997 :] for k in range(6))
+    (tmp_path / "big.gz").write_bytes(gzip.compress(payload, 6, mtime=0))
+    idx, _ = index.build(io.from_rows(spark, [(1, str(tmp_path / "big.gz"))]), 16384)
+    assert idx.count() > 8
+    old, index.GROUP_POINTS = index.GROUP_POINTS, 2
+    index.save(idx, f"file://{tmp_path}/idx")
+    index.GROUP_POINTS = old
+    reader = _Plain({"index": f"{tmp_path}/idx"}, None)
+    every = len(reader.partitions())
+    reader.limits = [("out_start", "<", len(payload) // 8)]
+    few = reader.partitions()
+    assert every > 4 and 0 < len(few) < every / 2
+    spark.dataSource.register(ParinflateSource)
+    lines = spark.read.format("parinflate").option("format", "lines").option("index", f"{tmp_path}/idx").load()
+    got = sorted((r.out_pos, r.line) for r in lines.collect())
+    want, at = [], 0
+    for x in payload.decode().split("\n"):
+        want.append((at, x))
+        at += len(x) + 1
+    assert got == [w for w in want if w[1] or w[0] < len(payload)]
+    df = spark.createDataFrame([("a",), ("b",), ("é",)], "line string")
+    for layout in ("single", "bgzf", "multi_member"):
+        df.write.format("parinflate").option("layout", layout).mode("overwrite").save(f"{tmp_path}/out")
+        back = spark.read.format("parinflate").option("format", "lines").load(f"{tmp_path}/out")
+        assert sorted(r.line for r in back.collect()) == ["a", "b", "é"]
+    with pytest.raises(Exception, match="one column"):
+        spark.range(3).selectExpr("id", "id AS x").write.format("parinflate").mode("append").save(f"{tmp_path}/no")
+
+
+def test_damage_is_said_and_recovered(spark, payload, tmp_path):
+    z = bytearray(gzip.compress(payload, 6, mtime=0))
+    cut = len(z) // 2
+    subtle = bytearray(z)
+    subtle[-6] ^= 1
+    z[cut : cut + 3000] = random.Random(3).randbytes(3000)
+    for name, data in (("bad", z), ("good", gzip.compress(payload[:5000], mtime=0)), ("sum", subtle)):
+        (tmp_path / f"{name}.gz").write_bytes(data)
+    every = io.from_rows(spark, [(k, str(tmp_path / f"{n}.gz")) for k, n in ((1, "bad"), (2, "good"), (3, "sum"))])
+    assert {r.status for r in pipeline.decompress(spark, every.where("file_id = 3"), slot_bytes=8192, on_error="skip").collect()} == {"bad_checksum"}
+    with pytest.raises(Exception, match="member 0"):
+        pipeline.decompress(spark, every.where("file_id = 3"), slot_bytes=8192)
+    arc = every.where("file_id < 3")
+    out = pipeline.decompress(spark, arc, slot_bytes=8192, on_error="skip").collect()
+    assert {(r.file_id, r.status) for r in out} == {(1, "cut"), (2, "complete")}
+    front = b"".join(bytes(r.bytes) for r in out if r.file_id == 1)
+    assert payload.startswith(front) and len(front) > len(payload) // 4
+    got = pipeline.decompress(spark, arc, slot_bytes=8192, on_error="recover", ordered=False)
+    kinds = {r.status for r in got.collect()}
+    assert kinds == {"sound", "partial", "damaged"}
+    n = sum(len(r.bytes) for r in got.collect() if r.file_id == 1 and r.status != "damaged")
+    assert n > 0.7 * len(payload)
+
+
+def test_layouts_of_other_formats_come_back(spark, sf):
+    want = spark.read.parquet(f"{sf}/nation.parquet").count()
+    for layout in ("zstd_single", "zstd_single_unchecked", "zstd_frames_unchecked"):
+        assert baselines.total(baselines.zstd(workloads.archive(spark, sf, "documents", layout), 1 << 16)) == baselines.total(baselines.one_task(workloads.archive(spark, sf, "documents", "single")))
+    assert want == 25
