@@ -2,6 +2,7 @@ import collections
 import html
 import math
 import re
+import zlib
 from fractions import Fraction
 
 import pytest
@@ -72,6 +73,31 @@ def test_exact_dedup_in_batches_equals_one(spark, odd):
     assert exact_dedup.survivors(clash).columns == clash.columns and exact_dedup.survivors(clash).count() == 8
 
 
+def _links_by_hand(rows, least):
+    """Least id of each row's component, by all pairs that share a shingle."""
+    sets = _sets(rows)
+    parent = {i: i for i in sets}
+
+    def root(x):
+        while parent[x] != x:
+            x = parent[x]
+        return x
+
+    shared = collections.Counter()
+    holders = collections.defaultdict(list)
+    for i, s in sets.items():
+        for z in s:
+            holders[z].append(i)
+    for v in holders.values():
+        v = sorted(v)
+        shared.update((v[b], v[a]) for a in range(len(v)) for b in range(a))
+    for (a, b), n in shared.items():
+        if 100 * n >= least * (len(sets[a]) + len(sets[b]) - n):
+            p, q = sorted((root(a), root(b)))
+            parent[q] = p
+    return {i: root(i) for i in sets}
+
+
 def test_near_dedup_equals_brute_force(spark, odd, sf):
     docs = spark.read.parquet(f"{sf}/documents.parquet").select("doc_id", "text")
     base = " ".join(f"t{i}" for i in range(200))
@@ -80,27 +106,7 @@ def test_near_dedup_equals_brute_force(spark, odd, sf):
     df = docs.union(spark.createDataFrame(hot, "doc_id long, text string"))
     for least in (80, 85):
         got = {r.id: r.component for r in minhash_dedup.NearDedup(df, least=least).run().collect()}
-        sets = _sets([(r.doc_id, r.text) for r in df.collect()])
-        parent = {i: i for i in sets}
-
-        def root(x):
-            while parent[x] != x:
-                x = parent[x]
-            return x
-
-        shared = collections.Counter()
-        holders = collections.defaultdict(list)
-        for i, s in sets.items():
-            for z in s:
-                holders[z].append(i)
-        for v in holders.values():
-            v = sorted(v)
-            shared.update((v[b], v[a]) for a in range(len(v)) for b in range(a))
-        for (a, b), n in shared.items():
-            if 100 * n >= least * (len(sets[a]) + len(sets[b]) - n):
-                p, q = sorted((root(a), root(b)))
-                parent[q] = p
-        assert got == {i: root(i) for i in sets}
+        assert got == _links_by_hand([(r.doc_id, r.text) for r in df.collect()], least)
     stay = minhash_dedup.survivors(odd)
     assert stay.columns == odd.columns
     assert sorted((r.doc_id is None, r.doc_id) for r in stay.collect()) == sorted((i is None, i) for i in [1, 2, 3, 4, None, 7, 8, 10])
@@ -298,6 +304,32 @@ def test_toxicity(spark, odd, sf):
     assert toxicity.op2_toxicity(spark, sf).count() == real.count()
 
 
+def test_toxicity_query_learns_from_the_right_rows(spark, sf, monkeypatch):
+    """held_out is the remainder; labels that are null or held out change nothing; unseen labelled rows are judged well."""
+    big = "/root/testdata/sf0.01"
+    got = {r.doc_id: r for r in toxicity.op2_toxicity(spark, big).collect()}
+    assert all(r.held_out == (zlib.crc32(str(i).encode()) % 4 == 2) and r.predicted == (r.score >= 0.3) for i, r in got.items())
+    unseen = [r for r in spark.read.parquet(f"{big}/labels.parquet").collect() if r.doc_id in got and got[r.doc_id].held_out]
+    right = sum(got[r.doc_id].predicted == r.toxic for r in unseen)
+    assert len(unseen) > 60 and right >= 0.93 * len(unseen)
+    docs, labels = (spark.read.parquet(f"{sf}/{t}.parquet") for t in ("documents", "labels"))
+    flipped = labels.withColumn("toxic", F.when(F.pmod(F.crc32(F.col("doc_id").cast("string")), F.lit(4)) == 2, 1 - F.col("toxic")).otherwise(F.col("toxic")))
+    unsure = flipped.union(spark.createDataFrame([(1, 1, None), (None, 0, 1), (None, None, None), (10**12, 1, 1)], labels.schema))
+    a, b = (toxicity.fit(docs, x) for x in (labels, unsure))
+    assert a.chosen == b.chosen and (a.weights == b.weights).all() and a.bias == b.bias
+
+
+def test_the_swap_penalty_spares_neutral_mentions(spark):
+    """A group that is mentioned in toxic rows only: without the penalty its name alone scores, with it a neutral mention does not."""
+    rows = [(i, f"some plain text number{i} about the {'women' if i % 4 == 0 else 'men'} here" + (" you vileword" if i % 4 == 0 else "")) for i in range(800)]
+    hits = toxicity._Hits({"women": 0, "men": 1, "vileword": 2, "you": 3})
+    data = [(int("vileword" in t), hits.of(t)) for _, t in rows]
+    changes = collections.Counter((tuple(o), tuple(n)) for _, t in rows for o, n in toxicity.swaps(t, hits))
+    gap = lambda w: abs(w[0] - w[1])
+    with_, without = (toxicity.train(data, 4, c)[0] for c in (changes, collections.Counter()))
+    assert gap(with_) < 0.2 * gap(without) and with_[2] > 1
+
+
 def test_swaps_of_texts_cover_derived_features():
     chosen = {"women": 0, "men": 1, "wom-": 2, "wom-|2": 3, "wom-|d": 4, "vile": 5}
     hits = toxicity._Hits(chosen)
@@ -437,6 +469,58 @@ def test_documents_inherit_licences(spark):
     print("op5 counts", sorted(collections.Counter(r.how for r in got).items()), len({r.path.rsplit("/", 1)[0] for r in got}))
 
 
+def _scan_by_hand(files):
+    """path -> (licence, how, from_dir), by cosines of every unit with every template, without any filter."""
+    names = [n for n, _ in licenses.TEMPLATES]
+    counts = [collections.Counter(licenses.terms(t)) for _, t in licenses.TEMPLATES]
+    texts = [(p, t) for p, t in files if p is not None and t is not None]
+    df = collections.Counter(w for _, t in texts for w in set(re.split(r"[^a-z0-9]+", t.lower())) if w)
+    idf = lambda w: math.log((1 + len(texts)) / (1 + df[w])) + 1
+    weigh = lambda c: {w: n * idf(w) for w, n in c.items()}
+    norm = lambda v: math.sqrt(sum(x * x for x in v.values()))
+    templates = [(weigh(c), norm(weigh(c))) for c in counts]
+    found = {}
+    for p, t in texts:
+        lines = t.split("\n")
+        units = set(lines) | {s for x in lines for s in re.split(r"(?<=[.!?;])[ \t]+", x)} | {x for x in re.split(r"\n[ \t\r]*\n", t) if "\n" in x}
+        for u in units:
+            v = weigh(collections.Counter(licenses.terms(u)))
+            for name, (w, n) in zip(names, templates, strict=True):
+                cos = round(sum(x * w.get(k, 0) for k, x in v.items()) / (norm(v) or 1) / n, 6)
+                if cos >= licenses.THRESHOLD:
+                    found.setdefault(p, []).append((name == licenses.RESERVED, -cos, name))
+        for tag in re.findall(licenses.SPDX, t):
+            found.setdefault(p, []).append((-1, -1.0, re.sub(r"(?i)(-only|-or-later|\+)(?= |$)", "", tag)))
+    best = {p: min(x) for p, x in found.items()}
+    is_file = lambda p: re.search(licenses.LICENCE_FILE, p.rsplit("/", 1)[-1]) is not None
+    folder = lambda p: p.rsplit("/", 1)[0] if "/" in p else ""
+    granted = {}
+    for p, (rank, cos, name) in best.items():
+        if is_file(p):
+            x = (max(0, int(rank == 1)), cos, name)
+            granted[folder(p)] = min(granted.get(folder(p), x), x)
+    out = {}
+    for p in {p for p, _ in files if p is not None}:
+        if p in best:
+            out[p] = (best[p][2], "file" if is_file(p) else "header", None)
+            continue
+        at = folder(p)
+        while at not in granted and "/" in at:
+            at = folder(at)
+        out[p] = (granted[at][2], "inherited", at) if at in granted else (None, "none", None)
+    return out
+
+
+def test_scan_equals_brute_force(spark, sf):
+    docs = spark.read.parquet(f"{sf}/documents.parquet").select(licenses.document_path(F.col("doc_id"), F.col("source"), F.col("text")).alias("path"), "text")
+    extra = [(f"x/{k}/a.txt", t) for k, t in enumerate(HEADERS)] + [("x/LICENSE", "Released under the MIT License."), ("x/0/b.txt", "words"), ("x/1/c.txt", None), (None, "Released under the MIT License.")]
+    df = docs.union(spark.createDataFrame(extra, "path string, text string"))
+    got = {r.path: (r.license, r.how, r.from_dir) for r in licenses.scan(df).collect()}
+    assert got == _scan_by_hand([(r.path, r.text) for r in df.collect()])
+    named = spark.createDataFrame([(None, "a"), (None, "b"), (None, "a"), (5, "c")], "id long, t string").select(licenses.document_path(F.col("id"), F.lit("s"), F.col("t")).alias("p"))
+    assert named.distinct().count() == 3
+
+
 def test_licence_filter_loses_nothing(spark):
     """Every unit that reaches the threshold holds one of the terms that filter."""
     t = licenses.Templates()
