@@ -38,7 +38,7 @@ def encode(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
 
 STAGES = [("quality_classifier", quality), ("exact_dedup", exact), ("near_dedup", near), ("mix_sources", mix), ("byte_bpe", encode)]
 
-#: Stages 1, 3 and 5 are no SQL; tests hold each stage against a brute-force version.
+#: Stages 1, 3, 4 and 5 are no SQL; tests/llm/test_pipeline.py holds the rows of each stage against a brute-force version.
 ORACLE_SQL = None
 
 
