@@ -27,8 +27,8 @@ from parinflate.llm.tables import Bounded, claim
 from parinflate.runtime import ship, table
 
 VOCABULARY = "byte_bpe_multi_50k.tiktoken"
-#: Bytes of either table of a worker; a full table starts anew. Bytes of ids in one batch of results.
-CACHE, BATCH = 16 << 20, 4 << 20
+#: Bytes of a worker's tables, two thirds of which are for chunks; bytes of ids in one batch of results.
+CACHE, BATCH = 192 << 20, 4 << 20
 _NONE = 1 << 62
 
 
@@ -46,8 +46,8 @@ class Codec:
         self.tokens = {v: k for k, v in self.ranks.items()}
         self.find = regex.compile(pattern).findall
         #: Ids of matches, and of chunks led by a space.
-        self.matches = Bounded(lambda m: array("I", self.merge(m.encode())).tobytes(), _weight, cache)
-        self.led = Bounded(lambda chunk: self._chunk(" " + chunk), _weight, cache)
+        self.matches = Bounded(lambda m: array("I", self.merge(m.encode())).tobytes(), _weight, cache // 3)
+        self.led = Bounded(lambda chunk: self._chunk(" " + chunk), _weight, 2 * cache // 3)
 
     def _chunk(self, chunk: str) -> bytes:
         return b"".join(map(self.matches.__getitem__, self.find(chunk)))

@@ -42,22 +42,30 @@ def few(df: DataFrame, rows: int = FEW_ROWS) -> DataFrame:
 
 
 class Bounded(dict):
-    """What ``make`` gives for a key, kept until the table weighs ``most`` bytes by ``weigh``; then it starts anew."""
+    """What ``make`` gives for a key, kept in about ``most`` bytes by ``weigh``.
+
+    There are two generations: when the younger weighs half of ``most`` it becomes the older, whose keys come back when they are met
+    again and are dropped with the next change. So what is met often stays.
+    """
 
     def __init__(self, make: Callable, weigh: Callable[[object, object], int], most: int):
-        self.make, self.weigh, self.most, self.held = make, weigh, most, 0
+        self.make, self.weigh, self.most, self.held, self.old = make, weigh, most, 0, {}
 
     def clear(self) -> None:
         super().clear()
-        self.held = 0
+        self.held, self.old = 0, {}
 
     def __missing__(self, key):
-        v = self.make(key)
+        v = self.old.get(key)
+        if v is None:
+            v = self.make(key)
         n = self.weigh(key, v)
         if n > self.most >> 6:
             return v
-        if self.held + n > self.most:
-            self.clear()
+        if 2 * (self.held + n) > self.most:
+            self.old = dict(self)
+            super().clear()
+            self.held = 0
         self.held += n
         self[key] = v
         return v
