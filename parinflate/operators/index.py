@@ -2,6 +2,8 @@
 
 from __future__ import annotations
 
+import json
+import struct
 import zlib
 from collections.abc import Iterator
 
@@ -13,10 +15,11 @@ from parinflate import schemas
 from parinflate.functions import crc as crc_
 from parinflate.functions import probe
 from parinflate.functions.gzipfmt import ChecksumMismatch, CorruptBlock
+from parinflate.operators import finder
 from parinflate.operators import spans as spans_
 from parinflate.operators import windows as windows_
 from parinflate.runtime import materialize, ship, spread
-from parinflate.sources.io import Ranged
+from parinflate.sources.io import LOOKAHEAD, Ranged
 
 
 def from_spans(spans: DataFrame, mode: str = "scan", group: int = windows_.GROUP) -> DataFrame:
@@ -90,6 +93,108 @@ def respace(index: DataFrame, spacing: int) -> DataFrame:
     return merged.select("file_id", "path", "size", no, "a.start_bit", "z.end_bit", "a.kind", "z.end_kind", "out_start", "out_len", "a.window")
 
 
+def ahead(read: Ranged, size: int, bit: int, stop: int, look: int = 1 << 20) -> Iterator[tuple[int, int, str]]:
+    """Candidates in [bit, stop), ``look`` bytes at a time."""
+    while bit < stop:
+        lo = max(0, bit // 8 - 8)
+        buf = read(lo, look + LOOKAHEAD)
+        to = min(8 * len(buf), 8 * look, stop - 8 * lo)
+        for a, b, kind in finder.candidates(buf, bit - 8 * lo, to, final=lo + len(buf) >= size):
+            yield a + 8 * lo, b + 8 * lo, kind
+        bit = 8 * lo + to
+
+
+def walk(r: dict, spacing_bits: int) -> Iterator[dict]:
+    """Points from the one in ``r`` on up to its end, each at the next block that is found after ``spacing_bits`` of input."""
+    at, kind, window, out = r["start_bit"], r["kind"], r["window"], r["out_start"]
+    end = r["end_bit"] if r["end_bit"] is not None else 8 * r["size"]
+    with Ranged(r["path"]) as read, Ranged(r["path"]) as again:
+        while at is not None and at < end or at == r["start_bit"]:
+            found = None
+            for _, b, k in ahead(read, r["size"], at + spacing_bits, end):
+                d = probe.Summary(spans_.stream({"size": r["size"], "start_bit": at, "end_bit": b, "kind": kind, "end_kind": k}, window, again))
+                if d.ok:
+                    found = b, k
+                    break
+            else:
+                d = probe.Summary(spans_.stream({"size": r["size"], "start_bit": at, "end_bit": r["end_bit"], "kind": kind, "end_kind": r["end_kind"]}, window, again))
+                if not d.ok:
+                    raise CorruptBlock(f"{r['path']} from bit {at}: {d.reason}")
+            stop, stop_kind = found or (r["end_bit"], r["end_kind"])
+            yield r | {"start_bit": at, "end_bit": stop, "kind": kind, "end_kind": stop_kind, "out_start": out, "out_len": d.out_len, "window": window}
+            if not found:
+                return
+            window = probe.step(d.tail_map(), window)
+            out, at, kind = out + d.out_len, stop, stop_kind
+
+
+_INDEX = pa.schema([(c.split()[0], {"long": pa.int64(), "string": pa.string(), "binary": pa.binary()}[c.split()[1]]) for c in schemas.INDEX.split(", ")])
+
+
+def split(index: DataFrame, spacing: int) -> DataFrame:
+    """Points at most about ``spacing`` decompressed bytes apart, where blocks allow it: dense points are walked through again in the task that has their window."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for r in _rows(batches):
+            end = r["end_bit"] if r["end_bit"] is not None else 8 * r["size"]
+            for x in walk(r, max(64, (end - r["start_bit"]) * spacing // max(1, r["out_len"]))):
+                yield pa.RecordBatch.from_pylist([x], schema=_INDEX)
+
+    ship(index.sparkSession)
+    dense = materialize(index.where(F.col("out_len") > spacing), "dense")
+    parts = index.where(F.col("out_len") <= spacing).unionByName(spread_points(dense).mapInArrow(run, schemas.INDEX))
+    no = (F.row_number().over(Window.partitionBy("file_id").orderBy("out_start", "start_bit")) - 1).cast("long")
+    return parts.withColumn("point_no", no)
+
+
+def export(index: DataFrame, folder: str) -> list[str]:
+    """One compact file per archive, for exchange: a line of JSON with the path and size, then for each point its numbers and its compressed window."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        from parinflate.sources.writers import open_out
+
+        now, out = None, None
+        for r in _rows(batches):
+            if r["file_id"] != now:
+                if out is not None:
+                    out.close()
+                now, name = r["file_id"], f"{folder.rstrip('/')}/{r['file_id']}.points"
+                out = open_out(name)
+                out.write(json.dumps({"file_id": r["file_id"], "path": r["path"], "size": r["size"]}).encode() + b"\n")
+                yield pa.RecordBatch.from_arrays([pa.array([name])], ["name"])
+            w = zlib.compress(r["window"], 6)
+            out.write(struct.pack(_POINT, r["point_no"], r["start_bit"], -1 if r["end_bit"] is None else r["end_bit"], _KINDS.index(r["kind"]), _KINDS.index(r["end_kind"]), r["out_start"], r["out_len"], len(w)) + w)
+        if out is not None:
+            out.close()
+
+    ship(index.sparkSession)
+    files = index.select("file_id").distinct().count()
+    ranged = index.repartition(max(1, min(files, 4 * index.sparkSession.sparkContext.defaultParallelism)), "file_id").sortWithinPartitions("file_id", "point_no")
+    return sorted(r.name for r in ranged.mapInArrow(run, "name string").collect())
+
+
+_POINT, _KINDS = "<qqqbbqqi", (None, "member", "dynamic", "stored", "block")
+
+
+def imported(spark, names: list[str]) -> DataFrame:
+    """An index from files that :func:`export` wrote."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            for name in batch.column(0).to_pylist():
+                with Ranged(name) as read:
+                    line = read(0, 1 << 16).split(b"\n")[0]
+                    head, at = json.loads(line), len(line) + 1
+                    while raw := read(at, struct.calcsize(_POINT)):
+                        no, a, b, k, z, start, n, w = struct.unpack(_POINT, raw)
+                        at += len(raw) + w
+                        row = head | {"point_no": no, "start_bit": a, "end_bit": None if b < 0 else b, "kind": _KINDS[k], "end_kind": _KINDS[z], "out_start": start, "out_len": n, "window": zlib.decompress(read(at - w, w))}
+                        yield pa.RecordBatch.from_pylist([row], schema=_INDEX)
+
+    ship(spark)
+    return spread(spark.createDataFrame([(n,) for n in names], "name string"), len(names), 0).mapInArrow(run, schemas.INDEX)
+
+
 def point_parts(r: dict, container: str = "gzip") -> Iterator[probe.Part]:
     """Parts of one point, each of bounded size; an error ends the iteration."""
     with Ranged(r["path"]) as read:

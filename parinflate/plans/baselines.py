@@ -13,13 +13,10 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from parinflate import schemas
-from parinflate.functions import probe
-from parinflate.functions.gzipfmt import CorruptBlock
-from parinflate.operators import finder, index
-from parinflate.operators.spans import stream
+from parinflate.operators import index
 from parinflate.runtime import materialize, ship, spread
 from parinflate.sources.gzip_source import serial
-from parinflate.sources.io import LOOKAHEAD, Ranged, read_range
+from parinflate.sources.io import Ranged, read_range
 
 _OUT = "file_id long, seq long, bytes binary"
 ZSTD_MAGIC = b"\x28\xb5\x2f\xfd"
@@ -241,42 +238,15 @@ def bzip2_ends(buf: bytes) -> list[int]:
     return np.flatnonzero(ok).tolist()
 
 
-def serial_index(archive: DataFrame, spacing: int = 4 << 20, look: int = 1 << 20) -> DataFrame:
+def serial_index(archive: DataFrame, spacing: int = 4 << 20) -> DataFrame:
     """An index from one pass per file, as a seekable library makes it: from each point on, the next block that is found after ``spacing`` bytes."""
 
-    def ahead(read: Ranged, size: int, bit: int) -> Iterator[tuple[int, int, str]]:
-        """Candidates from a bit on, ``look`` bytes at a time."""
-        while bit < 8 * size:
-            lo = max(0, bit // 8 - 8)
-            buf = read(lo, look + LOOKAHEAD)
-            to = min(8 * len(buf), 8 * look)
-            for a, b, kind in finder.candidates(buf, bit - 8 * lo, to, final=lo + len(buf) >= size):
-                yield a + 8 * lo, b + 8 * lo, kind
-            bit = 8 * lo + to
-
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        names = [c.split() for c in schemas.INDEX.split(", ")]
-        kinds = {"long": pa.int64(), "string": pa.string(), "binary": pa.binary()}
         for batch in batches:
             for r in batch.to_pylist():
-                at, kind, window, out, no = 0, "member", b"", 0, 0
-                with Ranged(r["path"]) as read, Ranged(r["path"]) as again:
-                    while at is not None:
-                        found = None
-                        for _, b, k in ahead(read, r["size"], at + 8 * spacing):
-                            d = probe.Summary(stream({"size": r["size"], "start_bit": at, "end_bit": b, "kind": kind, "end_kind": k}, window, again))
-                            if d.ok:
-                                found = b, k
-                                break
-                        else:
-                            d = probe.Summary(stream({"size": r["size"], "start_bit": at, "end_bit": None, "kind": kind, "end_kind": None}, window, again))
-                            if not d.ok:
-                                raise CorruptBlock(f"{r['path']} from bit {at}: {d.reason}")
-                        end, end_kind = found or (None, None)
-                        row = {"file_id": r["file_id"], "path": r["path"], "size": r["size"], "point_no": no, "start_bit": at, "end_bit": end, "kind": kind, "end_kind": end_kind, "out_start": out, "out_len": d.out_len, "window": window}
-                        yield pa.RecordBatch.from_pylist([row], schema=pa.schema([(n, kinds[k]) for n, k in names]))
-                        window = probe.step(d.tail_map(), window)
-                        out, no, at, kind = out + d.out_len, no + 1, end, end_kind
+                whole = r | {"start_bit": 0, "end_bit": None, "kind": "member", "end_kind": None, "out_start": 0, "window": b""}
+                for no, x in enumerate(index.walk(whole, 8 * spacing)):
+                    yield pa.RecordBatch.from_pylist([x | {"point_no": no}], schema=index._INDEX)
 
     ship(archive.sparkSession)
     return archive.mapInArrow(run, schemas.INDEX)

@@ -63,6 +63,8 @@ ORACLES: dict[str, str] = {
     "twin_equals_reference": "SELECT item, true AS same, n - n // 2 AS symbols, n AS total FROM (SELECT 'b' || item_id AS item, octet_length(encode(coalesce(text, ''))) AS n FROM benchmark UNION ALL SELECT 'c' || conv_id || '-' || turn, octet_length(encode(coalesce(text, ''))) FROM conversations)",
     "index_read_ranges": READ.format(ask=ASK.format(most=4)),
     "seek_reader_trace": READ.format(ask=ASK.format(most=4)),
+    "zip_member_sizes": " UNION ALL ".join("SELECT '{0}' AS name, sum(octet_length(encode({2})) + 1)::BIGINT AS size, md5(string_agg({2} || chr(10), '' ORDER BY {3})) AS content_md5 FROM {1}".format(m, *MEMBERS[m]) for m in ("nation_name", "benchmark_text")),
+    "index_split_points": "SELECT count(*) AS newlines, 25 * count(*) AS n_bytes FROM lineitem",
     "index_respace_points": "SELECT count(*) AS newlines, 25 * count(*) AS n_bytes FROM lineitem",
     "upto_prefix": f"SELECT record, line FROM ({FILE}) WHERE record < 160",
     "line_count": "SELECT count(*) AS newlines FROM lineitem",

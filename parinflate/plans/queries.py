@@ -230,6 +230,46 @@ def tar_text_only_refused(spark, sf_dir):
     return _each_member(_members(spark, sf_dir).where("name <> 'corpus/embeddings'"), each, "name string, accepted boolean")
 
 
+@query
+def zip_member_sizes(spark, sf_dir):
+    """Members of a ZIP archive, some stored and some deflated, read side by side."""
+    import zipfile
+
+    from parinflate.sources import zipview
+
+    folder = scratch_path(spark, "zip")
+    path = f"{io.local(folder)}/tables.zip"
+    import os
+
+    os.makedirs(io.local(folder), exist_ok=True)
+    with zipfile.ZipFile(path, "w") as z:
+        for k, name in enumerate(("nation_name", "benchmark_text")):
+            lines, order = workloads.recipe(spark, sf_dir, name)
+            with z.open(zipfile.ZipInfo(name), "w") if k else z.open(_deflated(zipfile, name), "w") as f:
+                for r in lines.orderBy(*order).toLocalIterator():
+                    f.write(r.line.encode() + b"\n")
+    found = materialize(zipview.members(io.archives(spark, path)), "zip-members")
+    got = zipview.read(found).groupBy("name").agg(F.array_sort(F.collect_list(F.struct("off", "bytes"))).alias("p"))
+    text = F.unhex(F.array_join(F.transform("p", lambda x: F.hex(x["bytes"])), ""))
+    return got.join(found.select("name", "size"), "name").select("name", "size", F.md5(text).alias("content_md5"))
+
+
+def _deflated(zipfile, name: str):
+    info = zipfile.ZipInfo(name)
+    info.compress_type = zipfile.ZIP_DEFLATED
+    return info
+
+
+@query
+def index_split_points(spark, sf_dir):
+    """One point per file split into points a few hundred KiB apart, exported, read back and counted."""
+    arc = workloads.archive(spark, sf_dir, "base64")
+    idx, _ = index.build(arc, 1 << 40)
+    apart = materialize(index.split(idx, 300 << 10), "split")
+    back = index.imported(spark, index.export(apart, scratch_path(spark, "export")))
+    return records.count_newlines(materialize(back, "imported")).select("newlines", F.col("n").alias("n_bytes"))
+
+
 # Two-stage decoding
 
 
@@ -429,8 +469,9 @@ def _damaged(spark: SparkSession, sf_dir: str) -> DataFrame:
 def recover_after_damage(spark, sf_dir):
     """Documents that come back from a file whose first member is lost: those of all other languages, and none of them wrong. Bytes that hung on lost history are zeros, which no line may have."""
     got = pipeline.recover(spark, _damaged(spark, sf_dir), workloads.SLOT, unknown=b"\0").where("status <> 'damaged'")
-    text = got.select("start_bit", F.posexplode(F.split(F.decode("bytes", "UTF-8"), "\n")).alias("k", "line"))
-    docs = text.where(~F.col("line").contains("\0")).select(F.from_json("line", workloads.SCHEMA["documents"]).alias("r")).select("r.*").where("doc_id IS NOT NULL AND text IS NOT NULL AND n_chars IS NOT NULL")
+    # Cells may begin or end inside a character.
+    text = got.select(F.explode(F.split(F.col("bytes").cast("string"), "\n")).alias("line"))
+    docs = text.where(F.is_valid_utf8("line") & ~F.col("line").contains("\0")).select(F.from_json("line", workloads.SCHEMA["documents"]).alias("r")).select("r.*").where("doc_id IS NOT NULL AND text IS NOT NULL AND n_chars IS NOT NULL")
     # Lines across spans are not stitched here, so what is asked is that nothing is wrong and that each language is there.
     truth = table(spark, sf_dir, "documents").select("doc_id", F.md5("text").alias("m"))
     joined = docs.select("doc_id", "lang", F.md5("text").alias("got")).join(truth, "doc_id")
@@ -550,8 +591,8 @@ def stored_false_positives(spark, sf_dir):
             # Records of 21 bytes: the byte before a row, the row and what its last lengths need; what crosses records does not count.
             found = finder.stored(b"".join(batch.column(1).to_pylist()), 0, 8 * 21 * batch.num_rows)
             at = (found[:, 1] + 3) // 8
-            own = at % 21 <= 17
-            salts, n = np.unique(batch.column(0).to_numpy()[(at // 21)[own & (at % 21 > 0)]], return_counts=True)
+            own = (at % 21 >= 1) & (at % 21 <= 16)
+            salts, n = np.unique(batch.column(0).to_numpy()[(at // 21)[own]], return_counts=True)
             yield pa.RecordBatch.from_arrays([pa.array(salts, pa.int32()), pa.array(n, pa.int64())], ["salt", "n"])
 
     return wide.mapInArrow(run, "salt int, n long").groupBy("salt").agg(F.sum("n").alias("n"))
