@@ -174,6 +174,22 @@ def test_adaptive_replay_of_batches_equals_one(spark, sf):
         traces.setdefault(r.reader_id, []).append(r.point_no)
     got = {r.reader_id: r.hits for r in prefetch.replay(workloads.trace(spark, sf), "adaptive", degree=4, chunks=8).collect()}
     assert got == {k: by_hand(t, 4, 8) for k, t in traces.items()}
+    # One stream: a run at the very end of the trace earns exponentially, without limit to how far back it goes.
+    def one_stream(trace, degree, chunks):
+        access, ahead, hits = [], [], 0
+        for t, c in enumerate(trace):
+            hits += c in access or c in ahead
+            ahead = [x for x in ahead if x != c]
+            access, r = [c], 1
+            while r <= t and trace[t - r] == trace[t - r + 1] - 1:
+                r += 1
+            for x in range(c + 1, c + 1 + (degree if t == 0 else min(degree, 2 ** (r - 1)) if r > 1 else 0)):
+                if x < chunks:
+                    ahead = [*(y for y in ahead if y != x), x][-2 * degree :]
+        return hits
+
+    got = {r.reader_id: r.hits for r in e.queries()["prefetch_single_stream"](spark, sf).collect()}
+    assert got == {k: one_stream(t, 4, 8) for k, t in traces.items()}
     streamed = {r.reader_id: (r.hits, r.misses) for r in e.queries()["stream_replay_adaptive"](spark, sf).collect()}
     want = {r.reader_id: (r.hits, r.misses) for r in prefetch.replay(workloads.trace(spark, sf), "adaptive").collect()}
     assert streamed == want
