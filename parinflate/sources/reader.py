@@ -24,6 +24,10 @@ from parinflate.sources.io import local
 META = ["file_id", "path", "size", "point_no", "start_bit", "end_bit", "kind", "end_kind", "out_start", "out_len"]
 
 
+#: Points up to which a reader holds all windows: 64 MiB.
+FEW = 2048
+
+
 class Points:
     """The points of one file: positions are held, windows of 32 KiB are fetched one by one."""
 
@@ -52,6 +56,10 @@ class Points:
     def _from(cls, data: ds.Dataset, file_id: int) -> Points:
         mine = ds.field("file_id") == file_id
         rows = data.to_table(columns=META, filter=mine).to_pylist()
+        if len(rows) <= FEW:  # windows of a small index are read at once
+            t = data.to_table(columns=["point_no", "window"], filter=mine)
+            held = dict(zip(t["point_no"].to_pylist(), t["window"].to_pylist(), strict=True))
+            return cls(rows, held.__getitem__)
         return cls(rows, lambda no: data.to_table(columns=["window"], filter=mine & (ds.field("point_no") == no))["window"][0].as_py())
 
     def decode(self, k: int) -> bytes:
