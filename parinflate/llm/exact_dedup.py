@@ -16,6 +16,7 @@ import uuid
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from parinflate.llm.tables import few
 from parinflate.runtime import delete_path, materialize, shared_dir, table
 
 _opened: list[tuple[SparkSession, str, str | None]] = []
@@ -130,7 +131,7 @@ def survivors(df: DataFrame, id_col: str = "doc_id", text_col: str = "text") ->
     digest = F.unhex(F.sha2(F.coalesce(df[text_col], F.lit("")).cast("binary"), 256))
     tied = materialize(named(marked.where("kept").groupBy("id", "digest").count().where("count > 1")), "tied")
     on = df[id_col].eqNullSafe(F.col(f"{own}_id")) & (digest == F.col(f"{own}_digest"))
-    # Written, so that the joins are shuffled for themselves and AQE can split a row that repeats often.
-    single = df.join(materialize(gone.union(tied), "gone"), on, "left_anti")
-    once = df.join(tied, on, "left_semi").dropDuplicates([id_col, text_col])
+    # Few rows that go are broadcast, so that no text moves; many are shuffled, and AQE can split a row that repeats often.
+    single = df.join(few(materialize(gone.union(tied), "gone")), on, "left_anti")
+    once = df.join(few(tied), on, "left_semi").dropDuplicates([id_col, text_col])
     return single.unionByName(once)
