@@ -2,18 +2,24 @@
 
 from __future__ import annotations
 
+import uuid
 from collections.abc import Iterator
+from dataclasses import dataclass
 
 import pandas as pd
 import pyarrow as pa
+import pyarrow.parquet as pq
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
+from pyspark.sql.datasource import DataSource, DataSourceStreamArrowWriter, WriterCommitMessage
 from pyspark.sql.streaming.state import GroupState, GroupStateTimeout
+from pyspark.sql.types import StructType
 
 from parinflate.functions.sqlapi import gzip_decompress
 from parinflate.plans.prefetch import ChunkCache, replay_one
 from parinflate.runtime import scratch_path, ship
 from parinflate.sources.gzip_source import serial
+from parinflate.sources.writers import open_out
 
 
 def events(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -31,13 +37,71 @@ def micros(ts: str) -> Column:
     return F.expr(f"timestampdiff(MICROSECOND, TIMESTAMP_NTZ'1970-01-01 00:00:00', CAST({ts} AS TIMESTAMP_NTZ))")
 
 
+class _Batches(DataSourceStreamArrowWriter):
+    """Each task writes its rows as a Parquet file; a batch counts once its list of files is written."""
+
+    def __init__(self, path: str):
+        self.path = path
+
+    def write(self, iterator: Iterator[pa.RecordBatch]) -> WriterCommitMessage:
+        name, out, file = f"{self.path}/rows/{uuid.uuid4().hex}.parquet", None, None
+        for batch in iterator:
+            if batch.num_rows:
+                if out is None:
+                    file = open_out(name)
+                    out = pq.ParquetWriter(file, batch.schema, compression="zstd")
+                out.write_batch(batch)
+        if out is None:
+            return Batch("")
+        out.close()
+        file.close()
+        return Batch(name)
+
+    def commit(self, messages: list[WriterCommitMessage | None], batchId: int) -> None:
+        f = open_out(f"{self.path}/batches/{batchId:09d}")
+        f.write("".join(f"{batchId} {m.name}\n" for m in messages if m is not None).encode() or f"{batchId} \n".encode())
+        f.close()
+
+    def abort(self, messages: list[WriterCommitMessage | None], batchId: int) -> None:
+        """Files of no list are not read."""
+
+
+@dataclass
+class Batch(WriterCommitMessage):
+    name: str
+
+
+class BatchFiles(DataSource):
+    @classmethod
+    def name(cls) -> str:
+        return "parinflate_batches"
+
+    def streamWriter(self, schema: StructType, overwrite: bool) -> DataSourceStreamArrowWriter:
+        return _Batches(self.options["path"])
+
+
 def run(df: DataFrame, mode: str, name: str) -> DataFrame:
-    """All that is there now, through a memory sink."""
+    """All that is there now, written by executors to the shared folder: of complete batches the last one, otherwise all. The driver sees names of files only.
+
+    Such a sink takes no updates; they go through a memory sink, whose rows, one per key and batch, the driver holds.
+    """
     spark = df.sparkSession
-    spark.catalog.dropTempView(name)
-    q = df.writeStream.outputMode(mode).format("memory").queryName(name).option("checkpointLocation", scratch_path(spark, f"stream-{name}")).trigger(availableNow=True).start()
+    if mode == "update":
+        spark.catalog.dropTempView(name)
+        q = df.writeStream.outputMode(mode).format("memory").queryName(name).option("checkpointLocation", scratch_path(spark, f"stream-{name}")).trigger(availableNow=True).start()
+        q.awaitTermination()
+        return spark.table(name)
+    ship(spark)
+    spark.dataSource.register(BatchFiles)
+    path = scratch_path(spark, f"sink-{name}")
+    q = df.writeStream.outputMode(mode).format("parinflate_batches").option("checkpointLocation", scratch_path(spark, f"stream-{name}")).trigger(availableNow=True).start(path)
     q.awaitTermination()
-    return spark.table(name)
+    p = spark.sparkContext._jvm.org.apache.hadoop.fs.Path(f"{path}/batches")
+    any_ = p.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration()).exists(p)
+    said = [r.value.split(" ", 1) for r in spark.read.text(f"{path}/batches").collect()] if any_ else []
+    newest = max((int(k) for k, _ in said), default=-1)
+    files = [f for k, f in said if f and (mode != "complete" or int(k) == newest)]
+    return spark.read.schema(df.schema).parquet(*files) if files else spark.createDataFrame([], df.schema)
 
 
 def tumbling(stream: DataFrame, width: str = "1 hour") -> DataFrame:
