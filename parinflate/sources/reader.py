@@ -16,7 +16,7 @@ import pyarrow.dataset as ds
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from parinflate.operators.index import point_bytes
+from parinflate.operators.index import GROUP_POINTS, point_bytes
 from parinflate.plans.prefetch import STRATEGIES, ChunkCache
 from parinflate.sources.io import local
 
@@ -24,12 +24,34 @@ from parinflate.sources.io import local
 META = ["file_id", "path", "size", "point_no", "start_bit", "end_bit", "kind", "end_kind", "out_start", "out_len"]
 
 
-#: Points up to which a reader holds all windows: 64 MiB.
-FEW = 2048
+#: Points up to which a reader holds all windows: 64 MiB. Of more points it holds some blocks of neighbours: 32 MiB.
+FEW, BLOCKS = 2048, 4
+
+
+class Windows:
+    """Windows of a large index. A window is fetched with its neighbours, as a row group is read for it anyhow; the blocks used last are held."""
+
+    def __init__(self, data: ds.Dataset, file_id: int):
+        self.data, self.mine, self.lock = data, ds.field("file_id") == file_id, Lock()
+        self.held: OrderedDict[int, dict[int, bytes]] = OrderedDict()
+        self.fetched = 0
+
+    def __call__(self, no: int) -> bytes:
+        block = no // GROUP_POINTS
+        with self.lock:
+            if block not in self.held:
+                lo, at = block * GROUP_POINTS, ds.field("point_no")
+                t = self.data.to_table(columns=["point_no", "window"], filter=self.mine & (at >= lo) & (at < lo + GROUP_POINTS))
+                self.held[block] = dict(zip(t["point_no"].to_pylist(), t["window"].to_pylist(), strict=True))
+                self.fetched += 1
+                if len(self.held) > BLOCKS:
+                    self.held.popitem(last=False)
+            self.held.move_to_end(block)
+            return self.held[block][no]
 
 
 class Points:
-    """The points of one file: positions are held, windows of 32 KiB are fetched one by one."""
+    """The points of one file: positions are held, windows of 32 KiB are fetched where a point is decoded."""
 
     def __init__(self, rows: list[dict], window: Callable[[int], bytes]):
         rows = sorted(rows, key=lambda r: r["out_start"])
@@ -60,7 +82,7 @@ class Points:
             t = data.to_table(columns=["point_no", "window"], filter=mine)
             held = dict(zip(t["point_no"].to_pylist(), t["window"].to_pylist(), strict=True))
             return cls(rows, held.__getitem__)
-        return cls(rows, lambda no: data.to_table(columns=["window"], filter=mine & (ds.field("point_no") == no))["window"][0].as_py())
+        return cls(rows, Windows(data, file_id))
 
     def decode(self, k: int) -> bytes:
         r = self.rows[k]
@@ -155,6 +177,28 @@ class SeekableReader(io.RawIOBase):
             self.at += len(part)
         return b"".join(out)
 
+    def read_many(self, asks: list[tuple[int, int]]) -> list[bytes]:
+        """The bytes of every (offset, length), in the order of ``asks``; the position stays.
+
+        They are answered in the order of their offsets, and the chunk before the last one is held for what starts in it: chunks go by in order,
+        each decoded once for all that lies in it and asked for ahead like any run.
+        """
+        if asks and min(asks)[0] < 0:
+            raise ValueError("an offset before the file's start")
+        out, near = [b""] * len(asks), {}
+        for i in sorted(range(len(asks)), key=asks.__getitem__):
+            at, stop = asks[i][0], min(self.size, asks[i][0] + asks[i][1])
+            parts = []
+            while at < stop:
+                k = bisect.bisect_right(self.starts, at) - 1
+                if k not in near:
+                    near = {j: data for j, data in near.items() if j == k - 1} | {k: self._chunk(k)}
+                part = near[k][at - self.starts[k] : stop - self.starts[k]]
+                parts.append(part)
+                at += len(part)
+            out[i] = b"".join(parts)
+        return out
+
     def readinto(self, b) -> int:
         data = self.read(len(b))
         b[: len(data)] = data
